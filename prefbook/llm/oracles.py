@@ -63,4 +63,48 @@ SELECT l.doc_id, coalesce(s.n, 0)::BIGINT AS n_shingles, min(o.doc_id) AS compon
 FROM listed l LEFT JOIN sizes s USING (r) JOIN reach ON reach.a = l.r JOIN listed o ON o.r = reach.b
 GROUP BY l.r, l.doc_id, s.n"""
 
-SQL: dict[str, str] = {"op2_repetition_coverage": _OP2, "op7_token_group_join": _OP7}
+_ALNUM = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
+
+
+def _folded(table: str, key: str) -> str:
+    return f"SELECT row_number() OVER () AS r, {key}, regexp_extract_all({_FOLD.format("coalesce(text, '')")}, '{_ALNUM}') AS w FROM {table}"
+
+
+def _runs(source: str, key: str) -> str:
+    """Runs of 10 words."""
+    return f"SELECT {key}, i, array_to_string(w[i:i + 9], ' ') AS g FROM (SELECT {key}, w, unnest(generate_series(1, len(w) - 9)) AS i FROM {source} WHERE len(w) >= 10)"
+
+
+_OP8 = f"""
+WITH listed AS ({_folded("documents", "doc_id")}),
+items AS ({_folded("benchmark", "item_id::VARCHAR AS item_id")}),
+windows AS (SELECT DISTINCT item_id, g FROM ({_runs("items", "item_id")})),
+short AS (SELECT DISTINCT item_id, len(w) AS m, array_to_string(w, ' ') AS g FROM items WHERE len(w) BETWEEN 1 AND 9),
+found AS (
+    SELECT r, i, 10 AS m, item_id FROM ({_runs("listed", "r")}) d JOIN windows USING (g)
+    UNION ALL
+    SELECT r, i, m, item_id
+    FROM (SELECT r, w, unnest(generate_series(1, len(w))) AS i FROM listed WHERE len(w) > 0) d JOIN short ON array_to_string(w[i:i + m - 1], ' ') = g AND i + m - 1 <= len(w)),
+hit AS (SELECT r, count(*) AS n_hit FROM (SELECT DISTINCT r, unnest(generate_series(i, i + m - 1)) AS k FROM found) GROUP BY r),
+named AS (SELECT r, count(*) AS n_items, string_agg(item_id, ',' ORDER BY item_id) AS ids FROM (SELECT DISTINCT r, item_id FROM found) GROUP BY r)
+SELECT doc_id, len(w)::BIGINT AS n_words, coalesce(n_hit, 0)::BIGINT AS n_hit, coalesce(n_items, 0)::BIGINT AS n_items,
+       sha256(coalesce(ids, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated
+FROM listed LEFT JOIN hit USING (r) LEFT JOIN named USING (r)"""
+
+
+def _score(key: str, shard: int) -> str:
+    return f"-1.0 / ln((('0x' || substr(md5({key} || '|{shard}'), 1, 13))::BIGINT::DOUBLE + 0.5) / 4503599627370496.0)"
+
+
+def _best(key: str, shards: int) -> str:
+    return f"list_position([{', '.join(_score(key, k) for k in range(shards))}], greatest({', '.join(_score(key, k) for k in range(shards))})) - 1"
+
+
+#: CRC-32 of a text can't be computed in DuckDB: the query's is tested against zlib instead.
+_OP9 = f"""
+WITH keyed AS (SELECT doc_id, coalesce(doc_id::VARCHAR, '') AS key, strlen(coalesce(text, ''))::BIGINT + 8 AS size FROM documents)
+SELECT doc_id, size, {_best("key", 24)} AS shard, {_best("key", 25)} AS grown_shard FROM keyed"""
+
+SQL: dict[str, str] = {
+    "op8_shift_table_search": _OP8,
+    "op2_repetition_coverage": _OP2, "op7_token_group_join": _OP7}

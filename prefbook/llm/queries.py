@@ -5,10 +5,14 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from . import oracles
+from .bin_packing import pack_documents
+from .decontaminate import find_contamination
 from .quality_rules import measure_quality
 from .session import table
+from .sharding import shard_documents
 from .shingle_join import similar_components
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -23,5 +27,18 @@ def op7_token_group_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return similar_components(table(spark, sf_dir, "documents")).select("doc_id", "n_shingles", "component_id")
 
 
-QUERIES: dict[str, Query] = {f.__name__: f for f in (op2_repetition_coverage, op7_token_group_join)}
+def op8_shift_table_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = find_contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+    return out.select("doc_id", "n_words", "n_hit", "n_items", F.sha2(F.array_join("items", ","), 256).alias("items_sha256"), "contaminated")
+
+
+def op5_minimum_bin_slack(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pack_documents(table(spark, sf_dir, "documents"))
+
+
+def op9_rendezvous_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return shard_documents(table(spark, sf_dir, "documents"))
+
+
+QUERIES: dict[str, Query] = {f.__name__: f for f in (op2_repetition_coverage, op7_token_group_join, op8_shift_table_search, op5_minimum_bin_slack, op9_rendezvous_shards)}
 ORACLES: dict[str, str] = {k: v for k, v in oracles.SQL.items() if k in QUERIES}
