@@ -4,8 +4,8 @@ Sets of equal content are one class. Classes that agree on a MinHash band and ar
 verified to link with the band's first class form a root; the classes of a root are cut
 into groups of bounded size. The matrix has a row for each token and group: a group's
 token union, reduced to the tokens that prefix filtering needs. Two groups meet only when
-they share such a token, belong to different roots and can still reach the threshold by
-size and position. For each meeting pair the overlap of every query set with the other
+they share as many such tokens as a link needs, by the sizes of their sets, and belong to
+different roots. For each meeting pair the overlap of every query set with the other
 group's whole token union is bounded, and only groups that pass are opened and compared
 set by set. A link between any two sets of two groups joins their roots, whose sets are
 connected already, so no pair inside a root is ever formed.
@@ -225,7 +225,7 @@ def set_rows(docs: DataFrame, wanted: DataFrame, p: JoinParameters) -> DataFrame
 
 
 def prefix_rows(docs: DataFrame, classes: DataFrame, order, p: JoinParameters, tokens_filter=None) -> DataFrame:
-    """(sig, n, tokens, places): the first tokens of each class in the common order, rare ones first.
+    """(sig, tokens): the first tokens of each class in the common order, rare ones first.
 
     Sets that reach the threshold share a token within both prefixes, for any order.
     """
@@ -234,24 +234,19 @@ def prefix_rows(docs: DataFrame, classes: DataFrame, order, p: JoinParameters, t
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ranks = order.value
         for sig, sets, spans in work.sets(batches):
-            kept, places, sizes, bounds = [], [], [], [0]
+            kept, bounds = [], [0]
             for a, b in spans.tolist():
                 own = sets[a:b]
                 n = b - a
                 rank = (ranks[(own & np.uint64(len(ranks) - 1)).astype(np.int64)].astype(np.uint64) << np.uint64(56)) | (mix64(own) >> np.uint64(8))
                 first = own[np.argsort(rank)[: n - ceil(p.percent * n / 100) + 1]].view(np.int64)
-                place = np.arange(len(first), dtype=np.int32)
                 if tokens_filter is not None:
-                    good = hits(tokens_filter.value, first)
-                    first, place = first[good], place[good]
+                    first = first[hits(tokens_filter.value, first)]
                 kept.append(first)
-                places.append(place)
-                sizes.append(n)
                 bounds.append(bounds[-1] + len(first))
-            at = pa.array(bounds, pa.int32())
-            yield pa.RecordBatch.from_arrays([pa.array(sig), pa.array(sizes, pa.int64()), pa.ListArray.from_arrays(at, pa.array(np.concatenate(kept))), pa.ListArray.from_arrays(at, pa.array(np.concatenate(places)))], names=["sig", "n", "tokens", "places"])
+            yield pa.RecordBatch.from_arrays([pa.array(sig), pa.ListArray.from_arrays(pa.array(bounds, pa.int32()), pa.array(np.concatenate(kept)))], names=["sig", "tokens"])
 
-    return docs.mapInArrow(rows, "sig long, n long, tokens array<long>, places array<int>")
+    return docs.mapInArrow(rows, "sig long, tokens array<long>")
 
 
 # --- comparison ------------------------------------------------------------------------
@@ -322,6 +317,23 @@ def _jump(parents: DataFrame) -> DataFrame:
             return now
 
 
+def needed_tokens(percent: int) -> F.Column:
+    """Prefix tokens that two groups with sizes a1 to a2 and b1 to b2 must share at least, if some of their sets link.
+
+    Linked sets of a and b tokens share ceil(percent * (a + b) / (100 + percent)). In the common order, those up to the
+    nearer end of the two prefixes lie in both prefixes; beyond it, the set whose prefix ends there has
+    ceil(percent * size / 100) - 1 tokens left. What this leaves is least at a corner of the size ranges, and 1 where a
+    corner is too uneven to link.
+    """
+    corners = []
+    for a in ("a1", "a2"):
+        for b in ("b1", "b2"):
+            low, high = F.least(a, b), F.greatest(a, b)
+            need = F.ceil(percent * (F.col(a) + F.col(b)) / (100 + percent) - 1e-6) - F.ceil(percent * high / 100 - 1e-6) + 1
+            corners.append(F.when(100 * low < percent * high, F.lit(1)).otherwise(need))
+    return F.greatest(F.lit(1), F.least(*corners))
+
+
 # --- the join ---------------------------------------------------------------------------
 
 
@@ -358,18 +370,19 @@ def similar_components(docs: DataFrame, id_column: str = "doc_id", text_column:
     shared = firsts.select(F.explode("tokens").alias("token")).groupBy("token").agg(F.count("*").alias("m")).filter("m > 1")
     shared_filter = spark.sparkContext.broadcast(bit_filter(shared, F.col("token"), p.token_filter_bits))
     entries = prefix_rows(texts, grouped, order, p, shared_filter).filter(F.size("tokens") > 0)
-    entries = entries.select("sig", F.explode(F.arrays_zip("tokens", "places")).alias("e")).select("sig", F.col("e.tokens").alias("token"), F.col("e.places").alias("place"))
-    entries = entries.join(grouped, "sig")
-    matrix = entries.groupBy("token", "grp", "root").agg(F.max(F.col("n") - F.col("place")).alias("rest"), F.min("n").alias("least"), F.max("n").alias("most"))
+    entries = entries.select("sig", "tokens").join(grouped, "sig").select("grp", "root", "n", F.explode("tokens").alias("token"))
+    matrix = entries.groupBy("token", "grp", "root").agg(F.min("n").alias("least"), F.max("n").alias("most"))
     by_token = Window.partitionBy("token")
     matrix = settle(matrix.withColumns({"lo": F.min("root").over(by_token), "hi": F.max("root").over(by_token)}).filter("lo <> hi").drop("lo", "hi"))
 
-    # Candidate pairs of groups; rest: tokens of a set from the shared one on, so the most that it can share.
+    # Candidate pairs of groups: enough prefix tokens in common, and sizes that can link.
     x, y = matrix.alias("x"), matrix.alias("y")
-    reach = (100 + p.percent) * F.least("x.rest", "y.rest") >= p.percent * (F.col("x.least") + F.col("y.least"))
     sizes = (100 * F.col("x.most") >= p.percent * F.col("y.least")) & (100 * F.col("y.most") >= p.percent * F.col("x.least"))
-    pairs = x.join(y, (F.col("x.token") == F.col("y.token")) & (F.col("x.root") < F.col("y.root")) & reach & sizes)
-    pairs = settle(pairs.select(F.col("x.grp").alias("ga"), F.col("y.grp").alias("gb"), F.col("x.root").alias("ra"), F.col("y.root").alias("rb")).distinct())
+    met = x.join(y, (F.col("x.token") == F.col("y.token")) & (F.col("x.root") < F.col("y.root")) & sizes)
+    met = met.groupBy(F.col("x.grp").alias("ga"), F.col("y.grp").alias("gb"), F.col("x.root").alias("ra"), F.col("y.root").alias("rb")).agg(
+        F.count("*").alias("common"), F.min("x.least").alias("a1"), F.max("x.most").alias("a2"), F.min("y.least").alias("b1"), F.max("y.most").alias("b2")
+    )
+    pairs = settle(met.filter(F.col("common") >= needed_tokens(p.percent)).select("ga", "gb", "ra", "rb"))
 
     # Open the groups that meet.
     if pairs.head(1):
