@@ -105,6 +105,25 @@ _OP9 = f"""
 WITH keyed AS (SELECT doc_id, coalesce(doc_id::VARCHAR, '') AS key, strlen(coalesce(text, ''))::BIGINT + 8 AS size FROM documents)
 SELECT doc_id, size, {_best("key", 24)} AS shard, {_best("key", 25)} AS grown_shard FROM keyed"""
 
+_OP1 = r"""
+WITH source AS (
+    SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
+    UNION ALL SELECT -7, 0, 'user', '</s>[INST] ok [/INST]' UNION ALL SELECT -7, 1, 'assistant', '</s>[INST] ok [/INST]'),
+sized AS (
+    SELECT *, length(role) + length(text) + length(role || text) - length(replace(role || text, chr(92), ''))
+           + len(regexp_extract_all(role, '</?s>|<</?SYS>>|\[/?INST\]')) + len(regexp_extract_all(text, '</?s>|<</?SYS>>|\[/?INST\]')) + 17 AS chars
+    FROM source),
+walked AS (
+    SELECT *, sum(chars) OVER w AS so_far, lead(turn) OVER w AS next_turn
+    FROM sized WINDOW w AS (PARTITION BY conv_id ORDER BY turn, role, text ROWS UNBOUNDED PRECEDING))
+SELECT conv_id, count(*)::BIGINT AS n_turns, sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, text)) AS turns_sha256,
+       coalesce(sum(length(text)) FILTER (WHERE role = 'assistant'), 0)::BIGINT AS loss_chars,
+       sha256(coalesce(string_agg(text, '' ORDER BY turn, role, text) FILTER (WHERE role = 'assistant'), '')) AS loss_sha256,
+       sum(so_far) FILTER (WHERE role = 'assistant' OR next_turn IS NULL)::BIGINT AS formatted_chars,
+       count(*) FILTER (WHERE role = 'assistant' OR next_turn IS NULL)::BIGINT AS n_examples
+FROM walked GROUP BY conv_id"""
+
 SQL: dict[str, str] = {
+    "op1_prefix_targets": _OP1,
     "op8_shift_table_search": _OP8,
     "op2_repetition_coverage": _OP2, "op7_token_group_join": _OP7}
