@@ -11,6 +11,7 @@ from . import oracles
 from .bin_packing import pack_documents
 from .chat_format import expand_targets, read_back
 from .decontaminate import find_contamination
+from .kn_perplexity import judge_perplexity
 from .pii import personal_data
 from .quality_rules import measure_quality
 from .secret_scan import secret_report
@@ -59,5 +60,9 @@ def op3_disguised_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return personal_data(table(spark, sf_dir, "documents"))
 
 
-QUERIES: dict[str, Query] = {f.__name__: f for f in (op2_repetition_coverage, op7_token_group_join, op8_shift_table_search, op5_minimum_bin_slack, op9_rendezvous_shards, op1_prefix_targets, op10_entropy_secrets, op3_disguised_pii)}
+def op4_kneser_ney_perplexity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return judge_perplexity(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
+QUERIES: dict[str, Query] = {f.__name__: f for f in (op2_repetition_coverage, op7_token_group_join, op8_shift_table_search, op5_minimum_bin_slack, op9_rendezvous_shards, op1_prefix_targets, op10_entropy_secrets, op3_disguised_pii, op4_kneser_ney_perplexity)}
 ORACLES: dict[str, str] = {k: v for k, v in oracles.SQL.items() if k in QUERIES}
