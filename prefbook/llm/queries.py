@@ -18,6 +18,7 @@ from .secret_scan import secret_report
 from .session import table
 from .sharding import shard_documents
 from .shingle_join import similar_components
+from .warc_derive import derivative_report
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -64,5 +65,9 @@ def op4_kneser_ney_perplexity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge_perplexity(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
-QUERIES: dict[str, Query] = {f.__name__: f for f in (op2_repetition_coverage, op7_token_group_join, op8_shift_table_search, op5_minimum_bin_slack, op9_rendezvous_shards, op1_prefix_targets, op10_entropy_secrets, op3_disguised_pii, op4_kneser_ney_perplexity)}
+def op6_warc_derivatives(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return derivative_report(table(spark, sf_dir, "pages"))
+
+
+QUERIES: dict[str, Query] = {f.__name__: f for f in (op2_repetition_coverage, op7_token_group_join, op8_shift_table_search, op5_minimum_bin_slack, op9_rendezvous_shards, op1_prefix_targets, op10_entropy_secrets, op3_disguised_pii, op4_kneser_ney_perplexity, op6_warc_derivatives)}
 ORACLES: dict[str, str] = {k: v for k, v in oracles.SQL.items() if k in QUERIES}
