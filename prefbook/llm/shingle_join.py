@@ -1,7 +1,7 @@
 """Jaccard self-join of word-shingle sets over a token-group matrix.
 
 Sets of equal content are one class. Classes that agree on a MinHash band and are
-verified to link with the band's first class form a root; the classes of a root are cut
+verified to link with the band's most central class form a root; the classes of a root are cut
 into groups of bounded size. The matrix has a row for each token and group: a group's
 token union, reduced to the tokens that prefix filtering needs. Two groups meet only when
 they share as many such tokens as a link needs, by the sizes of their sets, and belong to
@@ -307,7 +307,7 @@ def components(edges: DataFrame) -> DataFrame:
 
 
 def _jump(parents: DataFrame) -> DataFrame:
-    """(sig, root) from (sig, parent) where a parent is less than its child: follow parents to the end."""
+    """(sig, root) from (sig, parent), where no path of parents comes back: follow parents to the end."""
     now = settle(parents.select("sig", F.col("parent").alias("root")))
     while True:
         up = now.select(F.col("sig").alias("root"), F.col("root").alias("over"))
@@ -317,8 +317,8 @@ def _jump(parents: DataFrame) -> DataFrame:
             return now
 
 
-def needed_tokens(percent: int) -> F.Column:
-    """Prefix tokens that two groups with sizes a1 to a2 and b1 to b2 must share at least, if some of their sets link.
+def needed_tokens(percent: int, left: tuple[str, str], right: tuple[str, str]) -> F.Column:
+    """Prefix tokens that two groups, their sets' sizes given as ranges, must share at least, if some of their sets link.
 
     Linked sets of a and b tokens share ceil(percent * (a + b) / (100 + percent)). In the common order, those up to the
     nearer end of the two prefixes lie in both prefixes; beyond it, the set whose prefix ends there has
@@ -326,8 +326,8 @@ def needed_tokens(percent: int) -> F.Column:
     corner is too uneven to link.
     """
     corners = []
-    for a in ("a1", "a2"):
-        for b in ("b1", "b2"):
+    for a in left:
+        for b in right:
             low, high = F.least(a, b), F.greatest(a, b)
             need = F.ceil(percent * (F.col(a) + F.col(b)) / (100 + percent) - 1e-6) - F.ceil(percent * high / 100 - 1e-6) + 1
             corners.append(F.when(100 * low < percent * high, F.lit(1)).otherwise(need))
@@ -347,10 +347,14 @@ def similar_components(docs: DataFrame, id_column: str = "doc_id", text_column:
     order = spark.sparkContext.broadcast(frequency_classes(base.filter("chunk is not null"), p))
     classes = settle(rows.filter("sig is not null").groupBy("sig").agg(F.min("id").alias("first"), F.min("n").alias("n"), F.first("bands").alias("bands")))
 
-    # Roots: each class turns to the first class of its fullest band, if the two link.
+    # Roots: each class turns to the most central class that it shares a band with, if the two link. A class is
+    # central by how many others its bands hold; near copies of one text thus turn to those with the fewest changes.
     keyed = classes.select("sig", F.explode("bands").alias("key"))
-    crowds = keyed.groupBy("key").agg(F.count("*").alias("m"), F.min("sig").alias("pivot")).filter("m > 1")
-    choice = keyed.join(crowds, "key").groupBy("sig").agg(F.max_by("pivot", F.struct("m", "key")).alias("pivot")).filter("pivot <> sig")
+    crowds = keyed.groupBy("key").agg(F.count("*").alias("m")).filter("m > 1")
+    crowded = keyed.join(crowds, "key").withColumn("score", F.sum("m").over(Window.partitionBy("sig")))
+    rank = F.struct("score", (-F.col("sig")).alias("low"))
+    pivots = crowded.groupBy("key").agg(F.max_by("sig", rank).alias("pivot"), F.max(rank).alias("rank"))
+    choice = crowded.select("sig", "key").join(pivots, "key").groupBy("sig").agg(F.max_by("pivot", "rank").alias("pivot")).filter("pivot <> sig")
     choice = settle(choice)
     ends = choice.select("sig").union(choice.select("pivot")).distinct()
     wanted = settle(classes.select("sig", "first").join(ends, "sig"))
@@ -370,19 +374,23 @@ def similar_components(docs: DataFrame, id_column: str = "doc_id", text_column:
     shared = firsts.select(F.explode("tokens").alias("token")).groupBy("token").agg(F.count("*").alias("m")).filter("m > 1")
     shared_filter = spark.sparkContext.broadcast(bit_filter(shared, F.col("token"), p.token_filter_bits))
     entries = prefix_rows(texts, grouped, order, p, shared_filter).filter(F.size("tokens") > 0)
-    entries = entries.select("sig", "tokens").join(grouped, "sig").select("grp", "root", "n", F.explode("tokens").alias("token"))
-    matrix = entries.groupBy("token", "grp", "root").agg(F.min("n").alias("least"), F.max("n").alias("most"))
+    entries = entries.select("sig", "tokens").join(grouped, "sig").select("grp", "root", "n", F.size("tokens").alias("s"), F.posexplode("tokens").alias("at", "token"))
+    matrix = entries.groupBy("token", "grp", "root").agg(F.max(F.col("s") - F.col("at")).alias("rest"), F.min("n").alias("least"), F.max("n").alias("most"))
     by_token = Window.partitionBy("token")
     matrix = settle(matrix.withColumns({"lo": F.min("root").over(by_token), "hi": F.max("root").over(by_token)}).filter("lo <> hi").drop("lo", "hi"))
 
-    # Candidate pairs of groups: enough prefix tokens in common, and sizes that can link.
+    # Candidate pairs of groups: at the first token that two linked sets share, each has as many prefix tokens left as
+    # they must share; and groups share that many. rest counts the tokens that more than one class has, from this one on.
     x, y = matrix.alias("x"), matrix.alias("y")
     sizes = (100 * F.col("x.most") >= p.percent * F.col("y.least")) & (100 * F.col("y.most") >= p.percent * F.col("x.least"))
-    met = x.join(y, (F.col("x.token") == F.col("y.token")) & (F.col("x.root") < F.col("y.root")) & sizes)
-    met = met.groupBy(F.col("x.grp").alias("ga"), F.col("y.grp").alias("gb"), F.col("x.root").alias("ra"), F.col("y.root").alias("rb")).agg(
-        F.count("*").alias("common"), F.min("x.least").alias("a1"), F.max("x.most").alias("a2"), F.min("y.least").alias("b1"), F.max("y.most").alias("b2")
-    )
-    pairs = settle(met.filter(F.col("common") >= needed_tokens(p.percent)).select("ga", "gb", "ra", "rb"))
+    enough = F.least("x.rest", "y.rest") >= needed_tokens(p.percent, ("x.least", "x.most"), ("y.least", "y.most"))
+    met = x.join(y, (F.col("x.token") == F.col("y.token")) & (F.col("x.root") < F.col("y.root")) & sizes & enough)
+    met = settle(met.select(F.col("x.grp").alias("ga"), F.col("y.grp").alias("gb"), F.col("x.root").alias("ra"), F.col("y.root").alias("rb")).distinct())
+    held = matrix.groupBy("grp").agg(F.collect_list("token").alias("tokens"), F.min("least").alias("least"), F.max("most").alias("most"))
+    both = met.join(held.select(F.col("grp").alias("ga"), *(F.col(c).alias(f"a_{c}") for c in ("tokens", "least", "most"))), "ga")
+    both = both.join(held.select(F.col("grp").alias("gb"), *(F.col(c).alias(f"b_{c}") for c in ("tokens", "least", "most"))), "gb")
+    common = F.size(F.array_intersect("a_tokens", "b_tokens"))
+    pairs = settle(both.filter(common >= needed_tokens(p.percent, ("a_least", "a_most"), ("b_least", "b_most"))).select("ga", "gb", "ra", "rb"))
 
     # Open the groups that meet.
     if pairs.head(1):
