@@ -35,6 +35,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
 
 from .session import settle
 from .textscan import BLANKS, Hasher, Words, chained, mix64, powers, sliced
@@ -411,7 +412,7 @@ def similar_components(docs: DataFrame, id_column: str = "doc_id", text_column:
 
 def _signed(docs: DataFrame, text_column: str, name: str, p: JoinParameters) -> DataFrame:
     """``docs`` with the class of each row's set as a further column."""
-    place = docs.columns.index(text_column)
+    place, names = docs.columns.index(text_column), [*docs.columns, name]
 
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingles = Shingler(p.width)
@@ -423,9 +424,9 @@ def _signed(docs: DataFrame, text_column: str, name: str, p: JoinParameters) ->
                 sig = np.zeros(len(full), dtype=np.int64)
                 if full.any():
                     sig[full] = signatures(sets, np.concatenate([[0], bounds[1:][full]]))
-                yield pa.RecordBatch.from_arrays([*rows.columns, pa.array(sig, mask=~full)], names=[*docs.columns, name])
+                yield pa.RecordBatch.from_arrays([*rows.columns, pa.array(sig, mask=~full)], names=names)
 
-    return docs.mapInArrow(sign, docs.schema.add(name, "long"))
+    return docs.mapInArrow(sign, StructType([*docs.schema.fields, StructField(name, LongType())]))
 
 
 def keep_one_of_each(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", parameters: JoinParameters = PARAMETERS) -> DataFrame:
