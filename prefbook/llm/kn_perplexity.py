@@ -1,7 +1,7 @@
 """Perplexity of whole texts under an interpolated modified Kneser-Ney n-gram model of trusted text.
 
 The model's grams are runs of ``order`` characters. Characters are numbered by how often
-trusted text uses them; the rarest share one number, so that a gram is an integer of
+the documents use them; the rarest share one number, so that a gram is an integer of
 6 * order bits and a count table is bounded by 64**order rows, however large the corpus.
 All trusted texts are counted. Counts, their context totals and the lower orders'
 continuation counts are sharded by context and joined there: each seen context becomes one
@@ -135,10 +135,14 @@ def _mixed(counts: DataFrame, lower: DataFrame, width: int) -> DataFrame:
     return joined.select("context", probs.alias("probs"))
 
 
-def train(texts: DataFrame, p: ModelParameters = PARAMETERS) -> tuple[list[int], list[DataFrame]]:
-    """The alphabet, and for each order from 1 on the rows (context, probs)."""
+def alphabet_of(texts: DataFrame) -> list[int]:
+    """The most used code points of all texts."""
     top = character_counts(texts).orderBy(F.desc("c"), "point").limit(SYMBOLS - FIRST).collect()
-    alphabet = [r["point"] for r in top]
+    return [r["point"] for r in top]
+
+
+def train(texts: DataFrame, alphabet: list[int], p: ModelParameters = PARAMETERS) -> list[DataFrame]:
+    """For each order from 1 on the rows (context, probs)."""
     counts = settle(gram_counts(texts, alphabet, p.order))
     by_order = [counts]
     for width in range(p.order - 1, 0, -1):  # continuation counts: the different symbols before a gram
@@ -150,7 +154,7 @@ def train(texts: DataFrame, p: ModelParameters = PARAMETERS) -> tuple[list[int],
     for width, held in enumerate(by_order):
         below = settle(_mixed(held, below, width))
         levels.append(below)
-    return alphabet, levels
+    return levels
 
 
 def _sent(levels: list[DataFrame], p: ModelParameters) -> list:
@@ -226,8 +230,10 @@ def judge_perplexity(docs: DataFrame, labels: DataFrame, id_column: str = "doc_i
 
     # Most texts that nobody trusts are left out before the texts are shuffled to meet the labels.
     likely = rows.select("id", "text").mapInArrow(sift, f"id {dict(rows.dtypes)['id']}, text string")
-    good = likely.join(names, "id", "left_semi")
-    alphabet, levels = train(good, p)
+    # The join is a merge join at every size: the labels grow with the documents.
+    good = likely.join(names.hint("merge"), "id", "left_semi")
+    alphabet = alphabet_of(rows)
+    levels = train(good, alphabet, p)
     scored = settle(score(rows, alphabet, levels, ["id", "lang"], p))
     known = limits(scored.join(names, "id", "left_semi"), p).collect()  # one row per language with trusted texts
     by_language = {r["lang"]: r["limit"] for r in known}
