@@ -14,7 +14,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 
 #: Text bytes that are scanned at once; bounds the temporary arrays of a task.
-SLICE_BYTES = 1 << 21
+SLICE_BYTES = 1 << 19
 
 _MULT = np.uint64(0x9E3779B97F4A7C15 | 1)
 _MIX_A = np.uint64(0xBF58476D1CE4E5B9)
