@@ -1 +1 @@
-"""See the modules of this subpackage."""
+"""Column functions: information measures, portable random numbers, SQL functions and UDFs."""

@@ -1 +1 @@
-"""See the modules of this subpackage."""
+"""Estimation, pricing and design of codebooks as operators on DataFrames."""

@@ -1 +1 @@
-"""See the modules of this subpackage."""
+"""Choice of the execution strategy, and the engines behind it."""

@@ -1 +1 @@
-"""See the modules of this subpackage."""
+"""Tables, fixtures of items and demand, generators, and storage of codebooks."""

@@ -1 +1 @@
-"""See the modules of this subpackage."""
+"""Demand estimation and redesign on streams of requests."""
