@@ -7,6 +7,7 @@ All separators used here are ASCII, so byte runs are character runs.
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -98,6 +99,14 @@ def sliced(batch: pa.RecordBatch, column: str, limit: int = SLICE_BYTES) -> Iter
         end = max(at + 1, int(np.searchsorted(whole.offsets, whole.offsets[at] + limit, side="right")) - 1)
         yield batch.slice(at, end - at), Texts(whole.data[whole.offsets[at] : whole.offsets[end]], whole.offsets[at : end + 1] - whole.offsets[at])
         at = end
+    trim()
+
+
+def trim() -> None:
+    """Give memory that is free back to the system, so that idle workers hold little beside a busy one."""
+    pa.default_memory_pool().release_unused()
+    if hasattr(libc := ctypes.CDLL(None), "malloc_trim"):
+        libc.malloc_trim(0)
 
 
 class Words:
