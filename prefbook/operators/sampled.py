@@ -24,5 +24,5 @@ def draw(spark: SparkSession, density: str, n: int, size: int, seed: int = 11, h
     return kept.withColumn("f", F.lit(1.0 / size))
 
 
-def design(spark: SparkSession, density: str, n: int, k: int, size: int = 1000, inner: str = "refine", how: str = "reject", restarts: int = 4, **options) -> list[Design]:
-    return solve(draw(spark, density, n, size, how=how), n, [Run(r, Layout(k), seed=r + 1) for r in range(restarts)], inner, **options)
+def design(spark: SparkSession, density: str, n: int, k: int, size: int = 1000, method: str = "refine", how: str = "reject", restarts: int = 4, **options) -> list[Design]:
+    return solve(draw(spark, density, n, size, how=how), n, [Run(r, Layout(k), seed=r + 1) for r in range(restarts)], method, **options)

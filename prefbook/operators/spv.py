@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -33,9 +35,14 @@ def from_vector(df: DataFrame, item: str, vec: str, how: str = "softmax") -> Dat
     if how != "softmax":
         raise ValueError(how)
     v = F.transform(vec, lambda x: x.cast("double"))
-    powers = df.select(F.col(item).alias("item_id"), v.alias("v")).withColumn("e", F.transform("v", lambda x: F.exp(x - F.array_max("v"))))
-    total = F.aggregate("e", F.lit(0.0), lambda s, x: s + x)
-    return powers.select("item_id", F.size("e").cast("long").alias("n_sym"), F.transform("e", lambda x: x / total).alias("p"))
+    powers = bound(v, lambda v: bound(F.array_max(v), lambda top: F.transform(v, lambda x: F.exp(x - top))))
+    shares = bound(powers, lambda e: bound(F.aggregate(e, F.lit(0.0), lambda s, x: s + x), lambda total: F.transform(e, lambda x: x / total)))
+    return df.select(F.col(item).alias("item_id"), F.size(vec).cast("long").alias("n_sym"), shares.alias("p"))
+
+
+def bound(value: Column, body: Callable[[Column], Column]) -> Column:
+    """``body`` of a value that is computed once for a row, not once for each element that a lambda walks over."""
+    return F.transform(F.array(value), body)[0]
 
 
 def long_form(df: DataFrame, item: str, symbols: str) -> DataFrame:

@@ -18,14 +18,16 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from prefbook.functions.info import cost_unrolled, entropy_unrolled
+from prefbook.functions.info import cost_unrolled, entropy_bits, entropy_unrolled
 from prefbook.functions.uniform import hash_uniform, uniform
 
 #: Books times symbols up to which a pass is generated as straight-line code.
-UNROLLED = 256
+UNROLLED = 100
+#: Symbols up to which sums over a vector are separate columns.
+WIDE = 16
 #: First draw number of the noise that soft shares start from.
 NOISE_DRAW = 1000
 
@@ -196,13 +198,19 @@ class SparkEngine:
     def __init__(self, items: DataFrame, n: int):
         self.n = n
         self.channels = [c for c in ("w0", "w1", "w2") if c in items.columns]
-        self.items = items.select("item_id", "p", entropy_unrolled(F.col("p"), n).alias("h"), *self.channels)
+        h = entropy_unrolled(F.col("p"), n) if n <= WIDE else entropy_bits("p")
+        self.items = items.select("item_id", "p", h.alias("h"), *self.channels)
         self._totals = None
 
     def _sums(self) -> list[float]:
         if self._totals is None:
             total = sum((F.col(c) for c in self.channels[1:]), F.col(self.channels[0]))
-            self._totals = list(self.items.agg(F.sum(total), *(F.sum(total * F.col("p")[i]) for i in range(self.n)), *(F.sum(c) for c in self.channels)).first())
+            heads = list(self.items.agg(F.sum(total), *(F.sum(c) for c in self.channels)).first())
+            sums = _vector_sums(self.items.select("p", total.alias("w")), F.col("w")).collect()
+            mean = np.zeros(self.n)
+            for row in sums:
+                mean[row["n"]] = row["s"]
+            self._totals = [heads[0], *mean.tolist(), *heads[1:]]
         return self._totals
 
     def total(self) -> float:
@@ -234,8 +242,8 @@ class SparkEngine:
             return self._blocks({r: (layout, q) for r, (layout, q) in states.items()}, lambda p, w, ids, state: hard_block(p, w, *state))
         parts = F.array(*(F.struct(F.col(c).alias("w"), F.col(f"best{i}.cost").alias("cost"), F.col(f"best{i}.book").alias("book")) for i, c in enumerate(self.channels)))
         rows = self.costs(states).select("run_id", "p", F.explode(parts).alias("c")).filter("c.w > 0 and c.book is not null")
-        sums = rows.groupBy("run_id", F.col("c.book").alias("book")).agg(F.sum("c.w").alias("t"), F.sum(F.col("c.w") * F.col("c.cost")).alias("cost"), F.array(*(F.sum(F.col("c.w") * F.col("p")[i]) for i in range(self.n))).alias("s"))
-        return self._gathered(sums, {r: layout for r, (layout, _) in states.items()})
+        heads = rows.groupBy("run_id", F.col("c.book").alias("book")).agg(F.sum("c.w").alias("t"), F.sum(F.col("c.w") * F.col("c.cost")).alias("cost"), F.array(*(F.sum(F.col("c.w") * F.col("p")[i]) for i in range(self.n))).alias("s"))
+        return self._gathered(heads, {r: layout for r, (layout, _) in states.items()})
 
     def _gathered(self, sums: DataFrame, layouts: dict[int, Layout]) -> dict[int, Sums]:
         out = {r: Sums(np.zeros(x.books), np.zeros((x.books, self.n)), np.zeros(x.books)) for r, x in layouts.items()}
@@ -265,8 +273,20 @@ class SparkEngine:
                     yield pa.RecordBatch.from_arrays([pa.array([r] * len(used), pa.int32()), pa.array(used, pa.int32()), pa.array(sums.t[used]), pa.array(sums.cost[used]), s], names=["run_id", "book", "t", "cost", "s"])
 
         rows = self.items.select("item_id", "p", *channels).mapInArrow(run, "run_id int, book int, t double, cost double, s array<double>")
-        sums = rows.groupBy("run_id", "book").agg(F.sum("t").alias("t"), F.sum("cost").alias("cost"), F.array(*(F.sum(F.col("s")[i]) for i in range(n))).alias("s"))
-        return self._gathered(sums, {r: state[0] for r, state in states.items()})
+        return self._merged(rows, {r: state[0] for r, state in states.items()})
+
+    def _merged(self, rows: DataFrame, layouts: dict[int, Layout]) -> dict[int, Sums]:
+        """Block sums added up: a row for each run, book and symbol; the symbol -1 carries weight and cost."""
+        parts = F.concat(F.array(F.struct(F.lit(-1).alias("n"), F.col("t").alias("x"), F.col("cost").alias("y"))), F.transform("s", lambda x, i: F.struct(i.alias("n"), x.alias("x"), F.lit(0.0).alias("y"))))
+        summed = rows.select("run_id", "book", F.explode(parts).alias("e")).groupBy("run_id", "book", "e.n").agg(F.sum("e.x").alias("x"), F.sum("e.y").alias("y"))
+        out = {r: Sums(np.zeros(x.books), np.zeros((x.books, self.n)), np.zeros(x.books)) for r, x in layouts.items()}
+        for row in summed.collect():  # runs times books times symbols rows
+            held = out[row["run_id"]]
+            if row["n"] < 0:
+                held.t[row["book"]], held.cost[row["book"]] = row["x"], row["y"]
+            else:
+                held.s[row["book"], row["n"]] = row["x"]
+        return out
 
     def soft(self, states: dict[int, tuple[Layout, int, np.ndarray, np.ndarray]]) -> dict[int, Sums]:
         return self._blocks(states, lambda p, w, ids, x: soft_block(p, w, _noise(ids, x[1], x[0].books), x[0], x[2], x[3]))
@@ -284,9 +304,13 @@ class SparkEngine:
         for c in self.channels[1:]:
             if c not in empty:
                 weight = F.when(F.col("pool") == int(c[1]), F.col(c)).otherwise(weight)
-        nearest = [F.when(F.size("bits") > b, cost_unrolled(F.col("p"), F.get("bits", F.lit(b)), self.n)) for b in range(most)]
+        if most * self.n > UNROLLED:
+            dot = lambda bits: F.aggregate(F.zip_with("p", bits, lambda x, y: F.when(x > 0, x * y).otherwise(F.lit(0.0))), F.lit(0.0), lambda s, x: s + x)
+            nearest = [F.array_min(F.transform("bits", dot))]
+        else:
+            nearest = [F.when(F.size("bits") > b, cost_unrolled(F.col("p"), F.get("bits", F.lit(b)), self.n)) for b in range(most)]
         if nearest:
-            gap = F.greatest(F.lit(0.0), (F.least(*nearest) if most > 1 else nearest[0]) - F.col("h"))
+            gap = F.greatest(F.lit(0.0), (F.least(*nearest) if len(nearest) > 1 else nearest[0]) - F.col("h"))
             weight = weight * F.when(F.size("bits") > 0, F.pow(gap, F.col("power"))).otherwise(1.0)
         keyed = self.items.crossJoin(asked).withColumn("weight", weight)
         key = F.when(F.col("weight") > 0, -F.ln(hash_uniform(F.col("seed"), F.col("item_id"), F.col("draw"))) / F.col("weight"))
@@ -294,5 +318,10 @@ class SparkEngine:
         return {r["run_id"]: np.array(r["p"]) for r in won.collect()}  # one row per run
 
 
+def _vector_sums(rows: DataFrame, weight: Column) -> DataFrame:
+    """(n, s): weighted sums of the coordinates of p."""
+    return rows.select(weight.alias("w"), F.posexplode("p").alias("n", "x")).groupBy("n").agg(F.sum(F.col("w") * F.col("x")).alias("s"))
+
+
 def _noise(ids: np.ndarray, seed: int, books: int) -> np.ndarray:
     return np.log2([[uniform(seed, int(i), NOISE_DRAW + b) for b in range(books)] for i in ids])
