@@ -23,7 +23,7 @@ TOLERANCE = 1e-6
 
 def check(df: DataFrame, schema: str, name: str) -> DataFrame:
     """``df`` with the columns of ``schema`` in its order and types; a missing column is an error."""
-    wanted = [part.strip().split(" ", 1) for part in schema.split(",")] if "<" not in schema else [x.split(" ", 1) for x in schema.split(", ")]
+    wanted = [part.split(" ", 1) for part in schema.split(", ")]
     missing = [c for c, _ in wanted if c not in df.columns]
     if missing:
         raise ValueError(f"{name} lacks {', '.join(missing)}")
