@@ -12,7 +12,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 
-from prefbook.plans.engine import Draw, Layout, Sums
+from prefbook.plans.engine import Draw, Layout, LocalEngine, Sums
 from prefbook.schemas import TOLERANCE
 
 
@@ -56,18 +56,35 @@ def seed_books(engine, runs: list[Run], power: float = 2.0, mix: float = 0.0) ->
     return {r: np.array(books) for r, books in chosen.items()}
 
 
+def seed_parallel(engine, run: Run, rounds: int = 3, factor: float = 2.0, power: float = 1.0) -> np.ndarray:
+    """Seeds of a single-user run by oversampling: each round keeps every item with a chance by its share of the cost.
+
+    A round is two passes whatever the number of books; the few candidates are weighed by the items nearest to them
+    and cut down to the books asked for on the driver.
+    """
+    k = run.layout.books
+    found = [engine.draw([Draw(run.run_id, run.seed, 1, 0, power, np.zeros((0, engine.n)))]).get(run.run_id, engine.mean())]
+    for turn in range(rounds):
+        found += engine.oversample(np.array(found), run.seed, 500 + turn, factor * k, power)
+    candidates = np.unique(np.array(found), axis=0)
+    smooth = 0.999 * candidates + 0.001 * engine.mean()
+    weight = engine.hard({run.run_id: (Layout(len(candidates)), smooth)})[run.run_id].t
+    local = LocalEngine(np.arange(len(candidates)), candidates, np.column_stack([weight, np.zeros((len(weight), 2))]))
+    return seed_books(local, [run], power)[run.run_id]
+
+
 def means(sums: Sums, q: np.ndarray) -> np.ndarray:
     """New books; a book without items stays as it is."""
     total = sums.s.sum(axis=1, keepdims=True)
     return np.where(total > 0, sums.s / np.where(total > 0, total, 1.0), q)
 
 
-def refine(engine, runs: list[Run], iterations: int = 100, eps: float = TOLERANCE, power: float = 2.0, mix: float = 0.0, start: dict[int, np.ndarray] | None = None, fixed: bool = False) -> list[Design]:
+def refine(engine, runs: list[Run], iterations: int = 100, eps: float = TOLERANCE, power: float = 2.0, mix: float = 0.0, start: dict[int, np.ndarray] | None = None, fixed: bool = False, seeding: str = "plusplus") -> list[Design]:
     """Designs of all runs, one pass for all of them an iteration; ``fixed``: exactly that many updates.
 
     A run ends when its cost falls by no more than ``eps`` or its books no longer move.
     """
-    q = start or seed_books(engine, runs, power, mix)
+    q = start or ({r.run_id: seed_parallel(engine, r) for r in runs} if seeding == "parallel" else seed_books(engine, runs, power, mix))
     designs = {r.run_id: Design(r, q[r.run_id]) for r in runs}
     active = {r.run_id: r for r in runs}
     for i in range(iterations + 1):

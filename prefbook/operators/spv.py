@@ -25,9 +25,10 @@ def from_symbols(df: DataFrame, item: str, symbol: str, alphabet: tuple[str, ...
 def from_text(df: DataFrame, item: str, text: str, classes: tuple[str, ...] = CLASSES) -> DataFrame:
     """(item_id, n_sym, p) with a last symbol for characters of no class; narrow."""
     body = F.coalesce(F.col(text), F.lit(""))
-    counts = [F.regexp_count(body, F.lit(c)).cast("double") for c in classes]
-    rest = F.char_length(body).cast("double") - sum(counts[1:], counts[0])
-    return df.select(F.col(item).alias("item_id"), F.char_length(body).cast("long").alias("n_sym"), _shares([*counts, rest], 0.0).alias("p")).filter("p is not null")
+    size = F.char_length(body)
+    counts = F.array(*(F.regexp_count(body, F.lit(c)).cast("double") for c in classes))
+    every = bound(counts, lambda c: F.concat(c, F.array(size.cast("double") - F.aggregate(c, F.lit(0.0), lambda s, x: s + x))))
+    return df.filter(size > 0).select(F.col(item).alias("item_id"), size.cast("long").alias("n_sym"), bound(every, lambda c: F.transform(c, lambda x: x / size)).alias("p"))
 
 
 def from_vector(df: DataFrame, item: str, vec: str, how: str = "softmax") -> DataFrame:

@@ -179,6 +179,15 @@ class LocalEngine:
         return out
 
 
+    def oversample(self, books: np.ndarray, seed: int, draw: int, expected: float, power: float) -> list[np.ndarray]:
+        """Items kept with a chance by weight times a power of the divergence to ``books``; about ``expected`` of them."""
+        weight = self.w.sum(axis=1) * np.maximum(cross(self.p, 0.999 * books + 0.001 * self.mean()).min(axis=1) - self.h, 0.0) ** power
+        total = weight.sum()
+        if not total > 0:
+            return []
+        return [self.p[i] for i in np.flatnonzero(weight > 0) if uniform(seed, int(self.ids[i]), draw) < expected * weight[i] / total]
+
+
 def rounded_block(p: np.ndarray, w: np.ndarray, noise: np.ndarray, layout: Layout, a: np.ndarray, b: np.ndarray) -> Sums:
     out = Sums(np.zeros(layout.books), np.zeros((layout.books, p.shape[1])), np.zeros(layout.books))
     for channel in range(3):
@@ -219,6 +228,19 @@ class SparkEngine:
     def mean(self) -> np.ndarray:
         return np.array(self._sums()[1 : 1 + self.n]) / self.total()
 
+    def oversample(self, books: np.ndarray, seed: int, draw: int, expected: float, power: float) -> list[np.ndarray]:
+        """As the local engine's; a filter by hashed chances, whose few rows reach the driver."""
+        dot = lambda b: F.aggregate(F.zip_with("p", b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
+        total = sum((F.col(c) for c in self.channels[1:]), F.col(self.channels[0]))
+        table = F.broadcast(self.items.sparkSession.createDataFrame([(code_bits(0.999 * books + 0.001 * self.mean()).tolist(),)], "bits array<array<double>>"))
+        gap = F.greatest(F.lit(0.0), F.array_min(F.transform("bits", dot)) - F.col("h"))
+        weighed = self.items.crossJoin(table).select("item_id", "p", (total * F.pow(gap, F.lit(power))).alias("weight"))
+        mass = weighed.agg(F.sum("weight")).first()[0]
+        if not mass:
+            return []
+        kept = weighed.filter((F.col("weight") > 0) & (hash_uniform(seed, F.col("item_id"), draw) < expected * F.col("weight") / mass))
+        return [np.array(r["p"]) for r in kept.orderBy("item_id").select("p").collect()]  # about ``expected`` rows
+
     def _books(self, states: dict[int, tuple[Layout, np.ndarray]]) -> DataFrame:
         """One row per run: code lengths and pools of its books; the only thing that is sent out for a pass."""
         rows = [(r, code_bits(q).tolist(), layout.pools.tolist()) for r, (layout, q) in states.items()]

@@ -159,6 +159,47 @@ def refine_restarts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return summary(spark, solve(fixture_items(spark, sf_dir, "events"), 5, runs), "refine")
 
 
+@query()
+def refine_parallel_seeds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Oversampled seeding: passes don't grow with the number of books."""
+    runs = [Run(r, Layout(6), r + 1) for r in range(3)]
+    return summary(spark, solve(even_points(spark, sf_dir, 4), 4, runs, seeding="parallel"), "refine, parallel seeds")
+
+
+@query()
+def block_skipping(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Blocks, decided blocks, items that an update still reads, and whether it gives the sums of a whole pass."""
+    from prefbook.plans import blocks
+
+    q = simplex.portable_books(3, 3)
+    blocked = blocks.with_blocks(fixture_items(spark, sf_dir, "parts"), 3).persist()
+    stats = blocks.decided(blocks.statistics(blocked, 3), q).persist()
+    read = blocked.join(stats.filter("k is null").select("block"), "block", "left_semi").count()
+    own = {r["k"]: r for r in blocks.update(blocked, stats.drop("k"), q).collect()}
+    whole = SparkEngine(as_problem(blocked), 3).hard({0: (Layout(3), q)})[0]
+    same = all(abs(own[k]["w"] - whole.t[k]) < 1e-9 for k in own)
+    row = (stats.count(), stats.filter("k is not null").count(), blocked.count(), read, same)
+    blocked.unpersist()
+    stats.unpersist()
+    return small(spark, [row], "blocks long, decided long, items long, items_read long, same boolean")
+
+
+@query()
+def three_users(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Three users with even channels: bits with common books, with books of pairs, and with books of their own only."""
+    from prefbook.operators import multiuser
+    from prefbook.plans.planner import local_engine
+
+    engine = local_engine(spv.collapse_types(as_problem(even_points(spark, sf_dir, 3))), 3)
+    count = len(multiuser.user_channels(3))
+    w = np.repeat(engine.w[:, :1], count, axis=1) / count
+    rows = []
+    for name, sizes in (("common", (((1, 2, 3), 4),)), ("common and own", (((1, 2, 3), 2), ((1,), 2), ((2,), 2), ((3,), 2))), ("common and pairs", (((1, 2, 3), 2), ((1, 2), 1), ((1, 3), 1), ((2, 3), 1)))):
+        best = min(multiuser.design(engine.p, w, multiuser.SharedLayout(3, sizes), seed)[1] for seed in range(1, 5))
+        rows.append((name, sum(k for _, k in sizes), round(20 * best, 6)))
+    return small(spark, rows, "layout string, books int, bits_per_request double")
+
+
 @query()
 def refine_wide(spark: SparkSession, sf_dir: str) -> DataFrame:
     """64 symbols and 10 books: beyond straight-line code, so passes are matrix products over Arrow blocks."""

@@ -80,6 +80,19 @@ def test_books_round_trip(spark, tmp_path, form):
     assert again.count() == 6 and np.array_equal(books.as_array(again, 1), q)
 
 
+def test_arrow_udfs(spark, middle):
+    from prefbook.functions.udfs import decode_bits, encode_text, weighted_mean
+    from prefbook.sources.tables import fixture_items
+
+    q, classes = simplex.portable_books(3, 2), ["ab", "c"]
+    rows = spark.createDataFrame([("abcx",), ("",), (None,)], "t string").select("t", encode_text(F.col("t"), classes, q).alias("c"))
+    out = rows.select("t", decode_bits(F.col("c.book"), F.col("c.bits"), q).alias("s")).collect()
+    assert [r.s for r in out] == [[0, 0, 1, 2], [], []]
+    items = fixture_items(spark, middle, "events")
+    mean = items.agg(weighted_mean(F.col("p"), F.col("f")).alias("m")).first().m
+    assert mean == pytest.approx([r.p for r in QUERIES["edge_distribution"](spark, middle).orderBy("n").collect()], abs=1e-6)
+
+
 def test_contracts(spark):
     frame = spark.createDataFrame([(1, 2, [1.0])], "item_id int, n_sym int, p array<float>")
     assert check(frame, SPV, "spv").dtypes == [("item_id", "bigint"), ("n_sym", "bigint"), ("p", "array<double>")]

@@ -252,3 +252,45 @@ def test_local_engine_is_plain(points):
     engine = engine_of(points, 3)
     assert isinstance(engine, LocalEngine) and engine.total() == pytest.approx(1.0)
     assert np.allclose(engine.mean(), SparkEngine(as_problem(points), 3).mean())
+
+
+def test_parallel_seeds(points):
+    runs = [Run(0, Layout(4), 1)]
+    a = solve(points, 3, runs, "refine", "runs in tasks", seeding="parallel")[0]
+    b = solve(points, 3, runs, "refine", "passes by expressions", seeding="parallel")[0]
+    assert a.cost == pytest.approx(b.cost) and a.q.shape == (4, 3)
+    plus = best_of(solve(points, 3, [Run(r, Layout(4), r + 1) for r in range(3)]))
+    assert a.cost < plus.cost * 1.05
+
+
+def test_block_skipping(spark, middle):
+    row = QUERIES["block_skipping"](spark, middle).first()
+    assert row.same and row.decided > 0 and row.items_read < row.items
+
+
+def test_two_users_as_a_case_of_many(points):
+    from prefbook.operators import multiuser
+    from prefbook.plans.engine import hard_block
+
+    engine = engine_of(pair.even_channels(points.select("item_id", "p"), 0.4), 3)
+    q = simplex.portable_books(3, 4)
+    many = multiuser.sums(engine.p, engine.w, multiuser.SharedLayout(2, (((1, 2), 2), ((1,), 1), ((2,), 1))), q)
+    two = hard_block(engine.p, engine.w, Layout(2, 1, 1), q)
+    assert np.allclose(many.t, two.t) and np.allclose(many.s, two.s) and many.cost.sum() == pytest.approx(two.cost.sum())
+
+
+def test_salted_joins(spark, points):
+    from prefbook.operators.skew import salted_join, two_level_sum
+
+    large = spark.range(3000).select((F.col("id") % 7 * (F.col("id") % 3)).alias("item_id"), F.col("id").alias("x"))
+    small = points.select("item_id", "f").filter("item_id < 10")
+    for how in ("inner", "left", "left_semi", "left_anti"):
+        assert sorted(map(str, salted_join(large, small, "item_id", 8, how).collect())) == sorted(map(str, large.join(small, "item_id", how).collect()))
+    assert sorted(two_level_sum(large, ["item_id"], "x").collect()) == sorted(large.groupBy("item_id").agg(F.sum("x").alias("x")).collect())
+
+
+def test_profile(spark, points):
+    from prefbook.plans.profile import profile
+
+    result, figures = profile(spark, points.count)
+    assert result == 300 and figures["jobs"] >= 1 and figures["seconds"] > 0
