@@ -366,9 +366,10 @@ def similar_components(docs: DataFrame, id_column: str = "doc_id", text_column:
 
     # Groups: the classes of a root, cut to a bounded number of tokens.
     rooted = classes.drop("bands").join(roots, "sig", "left").withColumn("root", F.coalesce("root", "sig"))
-    cuts = rooted.groupBy("root").agg(F.ceil(F.sum("n") / p.group_tokens).alias("cuts"))
+    # Few roots are large, and only those are looked up.
+    large = settle(rooted.groupBy("root").agg(F.ceil(F.sum("n") / p.group_tokens).alias("cuts")).filter("cuts > 1"))
     cut = F.pmod(F.xxhash64("sig"), F.col("cuts"))
-    grouped = settle(rooted.join(cuts, "root").select("sig", "first", "n", "root", F.when(F.col("cuts") == 1, F.col("root")).otherwise(F.xxhash64("root", cut)).alias("grp")))
+    grouped = settle(rooted.join(large, "root", "left").select("sig", "first", "n", "root", F.when(F.col("cuts").isNull(), F.col("root")).otherwise(F.xxhash64("root", cut)).alias("grp")))
 
     # Token-group matrix over the prefix tokens that more than one class has.
     firsts = prefix_rows(texts, grouped, order, p)
