@@ -39,17 +39,23 @@ def joint_by_interval(log: DataFrame, minutes: int) -> DataFrame:
     return _shares(near.groupBy("i", "j").agg(F.count("*").cast("double").alias("c")))
 
 
-def joint_as_of(log: DataFrame, keys: list[str] | None = None) -> DataFrame:
+def joint_as_of(log: DataFrame, bucket: str = "hour") -> DataFrame:
     """(i, j, f) from each request with the other cohort's last one before it: linear in the requests.
 
-    ``keys`` split the log into parts that are walked apart; without any, all requests are one part.
+    Requests are walked within buckets of time; what was last before a bucket comes from one row per bucket and cohort,
+    so no task holds the whole log.
     """
-    window = Window.partitionBy(*(keys or [])).orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, -1)
-    last = [F.last(F.when(F.col("cohort") == c, F.col("item")), ignorenulls=True).over(window) for c in (0, 1)]
-    walked = log.select("cohort", "item", last[0].alias("l0"), last[1].alias("l1"))
+    timed = log.withColumn("bucket", F.date_trunc(bucket, "ts"))
+    within = Window.partitionBy("bucket").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, -1)
+    own = lambda c: F.when(F.col("cohort") == c, F.col("item"))
+    walked = timed.select("bucket", "cohort", "item", *(F.last(own(c), ignorenulls=True).over(within).alias(f"l{c}") for c in (0, 1)))
+    ends = timed.groupBy("bucket").agg(*(F.max_by(own(c), F.when(F.col("cohort") == c, F.struct("ts", "event_id"))).alias(f"e{c}") for c in (0, 1)))
+    before = Window.orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
+    carried = ends.select("bucket", *(F.last(f"e{c}", ignorenulls=True).over(before).alias(f"b{c}") for c in (0, 1)))
+    both = walked.join(carried, "bucket").select("cohort", "item", *(F.coalesce(f"l{c}", f"b{c}").alias(f"l{c}") for c in (0, 1)))
     i = F.when(F.col("cohort") == 0, F.col("item")).otherwise(F.col("l0"))
     j = F.when(F.col("cohort") == 1, F.col("item")).otherwise(F.col("l1"))
-    pairs = walked.select(i.alias("i"), j.alias("j")).filter("i is not null and j is not null")
+    pairs = both.select(i.alias("i"), j.alias("j")).filter("i is not null and j is not null")
     return _shares(pairs.groupBy("i", "j").agg(F.count("*").cast("double").alias("c")))
 
 

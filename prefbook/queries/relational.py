@@ -142,7 +142,7 @@ _CDF = "cdf AS (SELECT item_id, sum(f) OVER (ORDER BY item_id) AS hi, sum(f) OVE
 
 def cumulative(items: DataFrame) -> DataFrame:
     """(item_id, f, lo, hi): cumulative demand in the order of ids, from sums of id ranges and sums within them."""
-    ranged = items.withColumn("range", F.floor(F.col("item_id") / 64))
+    ranged = items.withColumn("range", F.floor(F.col("item_id") / 4096))
     before = Window.orderBy("range").rowsBetween(Window.unboundedPreceding, -1)
     starts = ranged.groupBy("range").agg(F.sum("f").alias("mass")).select("range", F.coalesce(F.sum("mass").over(before), F.lit(0.0)).alias("start"))
     within = Window.partitionBy("range").orderBy("item_id").rowsBetween(Window.unboundedPreceding, 0)
