@@ -16,10 +16,15 @@ def _shares(counts: list[Column], smoothing: float) -> Column:
     return F.when(total > 0, F.array(*((c + smoothing) / total for c in counts)))
 
 
-def from_symbols(df: DataFrame, item: str, symbol: str, alphabet: tuple[str, ...], smoothing: float = 0.0) -> DataFrame:
-    """(item_id, n_sym, p): one shuffle of one row of counts per item and task."""
-    counted = df.filter(F.col(symbol).isin(*alphabet)).groupBy(F.col(item).alias("item_id")).agg(*(F.count_if(F.col(symbol) == a).alias(f"c{n}") for n, a in enumerate(alphabet)), F.count("*").alias("n_sym"))
-    return counted.select("item_id", "n_sym", _shares([F.col(f"c{n}").cast("double") for n in range(len(alphabet))], smoothing).alias("p"))
+def from_symbols(df: DataFrame, item: str, symbol: str, alphabet: tuple[str, ...], smoothing: float = 0.0, weight: str | None = None) -> DataFrame:
+    """(item_id, n_sym, p), and the sum of ``weight`` as w if one is named: one shuffle of one row of counts per item and task.
+
+    Items without any symbol of the alphabet have no SPV and are left out.
+    """
+    sums = [F.sum(F.col(weight).cast("double")).alias("w")] if weight else []
+    counted = df.groupBy(F.col(item).alias("item_id")).agg(*(F.count_if(F.col(symbol) == a).alias(f"c{n}") for n, a in enumerate(alphabet)), F.count_if(F.col(symbol).isin(*alphabet)).alias("n_sym"), *sums)
+    shares = _shares([F.col(f"c{n}").cast("double") for n in range(len(alphabet))], smoothing)
+    return counted.filter("n_sym > 0").select("item_id", "n_sym", shares.alias("p"), *(["w"] if weight else []))
 
 
 def from_text(df: DataFrame, item: str, text: str, classes: tuple[str, ...] = CLASSES) -> DataFrame:

@@ -58,5 +58,7 @@ def fixture_demand(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def fixture_items(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    """item_id, p, f; both sides are grouped by the item alone, so the join needs no exchange of its own."""
-    return fixture_spv(spark, sf_dir, name).join(fixture_demand(spark, sf_dir, name), "item_id").select("item_id", "p", "f")
+    """item_id, p, f from one scan and one shuffle: SPVs and demand are sums by item; the total reuses the exchange."""
+    rows = spv.from_symbols(symbols(spark, sf_dir, name), "item_id", "symbol", FIXTURES[name].alphabet, weight="weight")
+    total = rows.agg(F.sum("w").alias("total"))
+    return rows.crossJoin(F.broadcast(total)).select("item_id", "p", (F.col("w") / F.col("total")).alias("f"))
