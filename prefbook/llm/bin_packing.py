@@ -5,7 +5,8 @@ the lengths 1 to ``capacity``, a table of bounded size. For each bin a bitset of
 sums over the available lengths finds the fullest feasible combination; the combination is
 removed as often as the counts allow, which uses up one of its lengths, so the plan has no
 more patterns than lengths. The bin starts from the longest piece left, which has to be
-put somewhere. Pieces take their places by their rank among pieces of equal length; ranks
+put somewhere. Equally full combinations leave different rests, so a few orders of search are
+tried until a plan needs no more bins than the tokens do. Pieces take their places by their rank among pieces of equal length; ranks
 come from counts of hashed buckets and a rank within each bucket, so that one frequent
 length, or one source, doesn't meet in one task.
 
@@ -23,7 +24,7 @@ from __future__ import annotations
 import os
 import re
 import zlib
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -105,15 +106,22 @@ def token_pieces(docs: DataFrame, id_column: str, text_column: str, p: PackingPa
     return docs.select(id_column, text_column).mapInArrow(cut, f"{id_column} {kind}, piece int, start long, length long, ids_crc32 long")
 
 
-def fullest(room: int, counts: dict[int, int]) -> list[int]:
+def ordered(lengths: Iterable[int], order: int) -> list[int]:
+    """Long ones first, short ones first, or mixed by a hash: which of equally full combinations is found depends on it."""
+    if order < 2:
+        return sorted(lengths, reverse=order == 0)
+    return sorted(lengths, key=lambda n: (n * (2 * order + 1) * 2654435761 & 0xFFFFFFFF, n))
+
+
+def fullest(room: int, counts: dict[int, int], order: int = 0) -> list[int]:
     """Lengths, with repeats, of a combination of available pieces whose sum is the largest up to ``room``.
 
-    Bit s of the set is on if some combination sums to s. Longer lengths are added first, so ties go to few long pieces.
+    Bit s of the set is on if some combination sums to s.
     """
     mask = (1 << (room + 1)) - 1
     reach = [1]
     used: list[tuple[int, int]] = []
-    for length in sorted((n for n in counts if n <= room), reverse=True):
+    for length in ordered((n for n in counts if n <= room), order):
         left, times = min(counts[length], room // length), 1
         while left:  # 1, 2, 4, ... and the rest: every number of copies is a sum of some of these
             take = min(times, left)
@@ -134,7 +142,20 @@ def fullest(room: int, counts: dict[int, int]) -> list[int]:
     return chosen
 
 
-def plan_bins(counts: dict[int, int], capacity: int) -> tuple[np.ndarray, int]:
+def plan_bins(counts: dict[int, int], capacity: int, orders: int = 8) -> tuple[np.ndarray, int]:
+    """The plan with the fewest bins of a few orders of search; the first that no plan can beat ends it."""
+    least = -(-sum(n * c for n, c in counts.items()) // capacity)
+    best: tuple[np.ndarray, int] | None = None
+    for order in range(orders):
+        plan = _planned(counts, capacity, order)
+        if best is None or plan[1] < best[1]:
+            best = plan
+        if best[1] <= least:
+            break
+    return best if best is not None else _planned(counts, capacity, 0)
+
+
+def _planned(counts: dict[int, int], capacity: int, order: int) -> tuple[np.ndarray, int]:
     """Rows (length, from rank, to rank, copies a bin, first bin, place of the first copy) and the number of bins."""
     left = {n: c for n, c in counts.items() if c > 0}
     ranks = dict.fromkeys(left, 0)
@@ -142,7 +163,7 @@ def plan_bins(counts: dict[int, int], capacity: int) -> tuple[np.ndarray, int]:
     while left:
         longest = max(left)
         left[longest] -= 1
-        content = [longest, *fullest(capacity - longest, {n: c for n, c in left.items() if c})]
+        content = [longest, *fullest(capacity - longest, {n: c for n, c in left.items() if c}, order)]
         left[longest] += 1
         copies = {n: content.count(n) for n in content}
         times = min(left[n] // k for n, k in copies.items())
