@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .session import process_cache, settle
+from .session import arrow_map, process_cache, settle
 
 
 def public_vocabulary(name: str) -> str:
@@ -103,7 +103,7 @@ def token_pieces(docs: DataFrame, id_column: str, text_column: str, p: PackingPa
                     crc.append(zlib.crc32(ids[a:b].tobytes()))
             yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(rows, pa.int64())), pa.array(piece, pa.int32()), pa.array(start, pa.int64()), pa.array(length, pa.int64()), pa.array(crc, pa.int64())], names=[id_column, "piece", "start", "length", "ids_crc32"])
 
-    return docs.select(id_column, text_column).mapInArrow(cut, f"{id_column} {kind}, piece int, start long, length long, ids_crc32 long")
+    return docs.select(id_column, text_column).transform(arrow_map, cut, f"{id_column} {kind}, piece int, start long, length long, ids_crc32 long")
 
 
 def ordered(lengths: Iterable[int], order: int) -> list[int]:
@@ -213,7 +213,7 @@ def pack_pieces(pieces: DataFrame, order: list[str], p: PackingParameters = PARA
             kept = [batch.column(i) for i, n in enumerate(batch.schema.names) if n != "rank"]
             yield pa.RecordBatch.from_arrays([*kept, pa.array(first + at // copies), pa.array(base + at % copies * length)], names=[*(n for n in batch.schema.names if n != "rank"), "sequence_id", "offset"])
 
-    return ranked(pieces, "length", order, p.buckets, "rank").mapInArrow(place, schema)
+    return ranked(pieces, "length", order, p.buckets, "rank").transform(arrow_map, place, schema)
 
 
 def pack_documents(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", parameters: PackingParameters = PARAMETERS) -> DataFrame:

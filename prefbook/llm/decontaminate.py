@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .session import settle
+from .session import arrow_map, settle
 from .textscan import NOT_ALNUM, Hasher, Texts, Words, chained, lower_table, row_sums, sliced, texts_of
 
 
@@ -136,7 +136,7 @@ def _item_patterns(batches: Iterator[pa.RecordBatch], width: int) -> Iterator[pa
 def pattern_blocks(benchmark: DataFrame, id_column: str, text_column: str, p: SearchParameters) -> tuple[DataFrame, int]:
     """(pattern, items, block) and the number of blocks; each block holds about block_patterns patterns."""
     source = benchmark.select(F.coalesce(F.col(id_column).cast("string"), F.lit("")).alias("item"), F.col(text_column).alias("text"))
-    runs = source.mapInArrow(lambda b: _item_patterns(b, p.width), "item string, pattern string")
+    runs = source.transform(arrow_map, lambda b: _item_patterns(b, p.width), "item string, pattern string")
     runs = settle(runs.groupBy("pattern").agg(F.sort_array(F.collect_set("item")).alias("items")))
     n = max(1, -(-runs.count() // p.block_patterns))
     return runs.withColumn("block", F.pmod(F.xxhash64("pattern"), F.lit(n))), n
@@ -156,7 +156,7 @@ def _search(docs: DataFrame, patterns: DataFrame, n_blocks: int, p: SearchParame
             for batch in batches:
                 yield from emit(batch, search, labels)
 
-        out.append(docs.mapInArrow(scan, schema))
+        out.append(docs.transform(arrow_map, scan, schema))
     return out
 
 

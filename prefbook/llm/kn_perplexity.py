@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .session import settle
+from .session import arrow_map, settle
 from .textscan import Texts, code_points, sliced
 
 BITS, SYMBOLS = 6, 64
@@ -92,7 +92,7 @@ def character_counts(texts: DataFrame) -> DataFrame:
         seen = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(seen), pa.array(total[seen])], names=["point", "c"])
 
-    return texts.select("text").mapInArrow(count, "point long, c long").groupBy("point").agg(F.sum("c").alias("c"))
+    return texts.select("text").transform(arrow_map, count, "point long, c long").groupBy("point").agg(F.sum("c").alias("c"))
 
 
 def gram_counts(texts: DataFrame, alphabet: list[int], order: int) -> DataFrame:
@@ -109,7 +109,7 @@ def gram_counts(texts: DataFrame, alphabet: list[int], order: int) -> DataFrame:
                 sums = np.bincount(at, weights=np.concatenate([sums, times]), minlength=len(keys)).astype(np.int64)
         yield pa.RecordBatch.from_arrays([pa.array(keys), pa.array(sums)], names=["gram", "c"])
 
-    return texts.select("text").mapInArrow(count, "gram long, c long").groupBy("gram").agg(F.sum("c").alias("c"))
+    return texts.select("text").transform(arrow_map, count, "gram long, c long").groupBy("gram").agg(F.sum("c").alias("c"))
 
 
 def discounts(counts: DataFrame) -> list[float]:
@@ -199,7 +199,7 @@ def score(docs: DataFrame, alphabet: list[int], levels: list[DataFrame], columns
                 bits = np.round((total[firsts[1:]] - total[firsts[:-1]]) / np.maximum(n, 1), 9)
                 yield pa.RecordBatch.from_arrays([*rows.columns[:-1], pa.array(n), pa.array(bits, mask=n == 0)], names=[*columns, "chars", "bits"])
 
-    return docs.select(*columns, "text").mapInArrow(run, schema)
+    return docs.select(*columns, "text").transform(arrow_map, run, schema)
 
 
 def limits(scored: DataFrame, p: ModelParameters) -> DataFrame:
@@ -229,7 +229,7 @@ def judge_perplexity(docs: DataFrame, labels: DataFrame, id_column: str = "doc_i
             yield batch.filter(pa.array((bits[low >> 3] >> (low & 7).astype(np.uint8)) & 1 == 1))
 
     # Most texts that nobody trusts are left out before the texts are shuffled to meet the labels.
-    likely = rows.select("id", "text").mapInArrow(sift, f"id {dict(rows.dtypes)['id']}, text string")
+    likely = rows.select("id", "text").transform(arrow_map, sift, f"id {dict(rows.dtypes)['id']}, text string")
     # The join is a merge join at every size: the labels grow with the documents.
     good = likely.join(names.hint("merge"), "id", "left_semi")
     alphabet = alphabet_of(rows)

@@ -20,6 +20,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from .session import arrow_map
 from .textscan import BLANKS, Hasher, Texts, Words, chained, code_points, mix64, row_sums, separator_table, sliced
 
 SYMBOLS = separator_table(b"#*$%&|<>")
@@ -159,7 +160,7 @@ def measure_quality(docs: DataFrame, id_column: str = "doc_id", text_column: str
                 out = measure(texts)
                 yield pa.RecordBatch.from_arrays([rows.column(0), *(pa.array(out[c]) for c in longs), pa.array(out["base_failed"]), pa.array(out["kept"])], names=[id_column, *longs, "base_failed", "kept"])
 
-    return docs.select(id_column, text_column).mapInArrow(scan, schema)
+    return docs.select(id_column, text_column).transform(arrow_map, scan, schema)
 
 
 def filter_quality(docs: DataFrame, text_column: str = "text", rules: RepetitionRules = RULES) -> DataFrame:
@@ -174,4 +175,4 @@ def filter_quality(docs: DataFrame, text_column: str = "text", rules: Repetition
             if masks:
                 yield batch.filter(pa.array(np.concatenate(masks)))
 
-    return docs.mapInArrow(keep, docs.schema)
+    return docs.transform(arrow_map, keep, docs.schema)

@@ -27,6 +27,22 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+#: Bytes of an Arrow batch; each task holds a few of them in the JVM and in Python, beyond the JVM's heap.
+BATCH_BYTES = 4 << 20
+_BATCH_SETTING = "spark.sql.execution.arrow.maxBytesPerBatch"
+
+
+def arrow_map(df: DataFrame, function: Callable, schema: Any) -> DataFrame:
+    """``df.mapInArrow`` in batches of bounded bytes; a row is never cut. The setting can be changed at run time."""
+    conf = df.sparkSession.conf
+    now = conf.get(_BATCH_SETTING)
+    if now != str(BATCH_BYTES):
+        number = int(now.removesuffix("b")) if now.removesuffix("b").isdigit() else 0
+        if not 0 < number < BATCH_BYTES:
+            conf.set(_BATCH_SETTING, str(BATCH_BYTES))
+    return df.mapInArrow(function, schema)
+
+
 def process_cache(key: Any, make: Callable[[], Any]) -> Any:
     """One value for each key in a Python worker, kept between tasks."""
     module = sys.modules.setdefault("_prefbook_process_cache", types.ModuleType("_prefbook_process_cache"))

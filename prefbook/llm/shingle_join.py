@@ -37,7 +37,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StructField, StructType
 
-from .session import settle
+from .session import arrow_map, settle
 from .textscan import BLANKS, Hasher, Words, chained, mix64, powers, sliced
 
 
@@ -222,7 +222,7 @@ def set_rows(docs: DataFrame, wanted: DataFrame, p: JoinParameters) -> DataFrame
         for sig, sets, spans in work.sets(batches):
             yield pa.RecordBatch.from_arrays([pa.array(sig), pa.array([sets[a:b].tobytes() for a, b in spans], pa.binary())], names=["sig", "tokens"])
 
-    return docs.mapInArrow(rows, "sig long, tokens binary")
+    return docs.transform(arrow_map, rows, "sig long, tokens binary")
 
 
 def prefix_rows(docs: DataFrame, classes: DataFrame, order, p: JoinParameters, tokens_filter=None) -> DataFrame:
@@ -247,7 +247,7 @@ def prefix_rows(docs: DataFrame, classes: DataFrame, order, p: JoinParameters, t
                 bounds.append(bounds[-1] + len(first))
             yield pa.RecordBatch.from_arrays([pa.array(sig), pa.ListArray.from_arrays(pa.array(bounds, pa.int32()), pa.array(np.concatenate(kept)))], names=["sig", "tokens"])
 
-    return docs.mapInArrow(rows, "sig long, tokens array<long>")
+    return docs.transform(arrow_map, rows, "sig long, tokens array<long>")
 
 
 # --- comparison ------------------------------------------------------------------------
@@ -343,7 +343,7 @@ def similar_components(docs: DataFrame, id_column: str = "doc_id", text_column:
     p = parameters
     spark = docs.sparkSession
     texts = docs.select(F.col(id_column).cast("long").alias("id"), F.col(text_column).alias("text"))
-    base = settle(texts.mapInArrow(lambda batches: _base(batches, p), "id long, n long, sig long, bands array<long>, chunk int, sketch binary"))
+    base = settle(texts.transform(arrow_map, lambda batches: _base(batches, p), "id long, n long, sig long, bands array<long>, chunk int, sketch binary"))
     rows = base.filter("chunk is null")
     order = spark.sparkContext.broadcast(frequency_classes(base.filter("chunk is not null"), p))
     classes = settle(rows.filter("sig is not null").groupBy("sig").agg(F.min("id").alias("first"), F.min("n").alias("n"), F.first("bands").alias("bands")))
@@ -361,7 +361,7 @@ def similar_components(docs: DataFrame, id_column: str = "doc_id", text_column:
     wanted = settle(classes.select("sig", "first").join(ends, "sig"))
     sets = set_rows(texts, wanted, p)
     met = choice.join(sets, "sig").withColumnRenamed("tokens", "left").join(sets.withColumnsRenamed({"sig": "pivot", "tokens": "right"}), "pivot")
-    tied = met.select(F.col("sig").alias("a"), F.col("pivot").alias("b"), F.array("left"), F.array("right")).mapInArrow(_compare(p.percent), "a long, b long")
+    tied = met.select(F.col("sig").alias("a"), F.col("pivot").alias("b"), F.array("left"), F.array("right")).transform(arrow_map, _compare(p.percent), "a long, b long")
     roots = _jump(tied.select(F.col("a").alias("sig"), F.col("b").alias("parent")).distinct())
 
     # Groups: the classes of a root, cut to a bounded number of tokens.
@@ -400,7 +400,7 @@ def similar_components(docs: DataFrame, id_column: str = "doc_id", text_column:
         wanted = settle(grouped.join(used, "grp").select("sig", "first", "grp"))
         members = set_rows(texts, wanted, p).join(wanted.select("sig", "grp"), "sig").groupBy("grp").agg(F.collect_list("tokens").alias("sets"))
         met = pairs.join(members.withColumnsRenamed({"grp": "ga", "sets": "left"}), "ga").join(members.withColumnsRenamed({"grp": "gb", "sets": "right"}), "gb")
-        edges = settle(met.select("ra", "rb", "left", "right").mapInArrow(_compare(p.percent), "a long, b long").distinct())
+        edges = settle(met.select("ra", "rb", "left", "right").transform(arrow_map, _compare(p.percent), "a long, b long").distinct())
         if edges.head(1):
             merged = components(edges)
             grouped = grouped.join(merged.select(F.col("node").alias("root"), "label"), "root", "left").withColumn("root", F.coalesce("label", "root")).drop("label")
@@ -427,7 +427,7 @@ def _signed(docs: DataFrame, text_column: str, name: str, p: JoinParameters) ->
                     sig[full] = signatures(sets, np.concatenate([[0], bounds[1:][full]]))
                 yield pa.RecordBatch.from_arrays([*rows.columns, pa.array(sig, mask=~full)], names=names)
 
-    return docs.mapInArrow(sign, StructType([*docs.schema.fields, StructField(name, LongType())]))
+    return docs.transform(arrow_map, sign, StructType([*docs.schema.fields, StructField(name, LongType())]))
 
 
 def keep_one_of_each(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", parameters: JoinParameters = PARAMETERS) -> DataFrame:

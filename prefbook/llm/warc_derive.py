@@ -30,6 +30,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .session import arrow_map
+
 VERSION = b"WARC/1.1"
 _NAMES = uuid.UUID("6ba7b811-9dad-11d1-80b4-00c04fd430c8")  # fixed: the public namespace of URLs
 #: Capture time of pages that come without one.
@@ -183,7 +185,7 @@ def capture_pages(pages: DataFrame, id_column: str = "page_id", url_column: str
             rows = [response_record(u.as_py(), h.as_py()) for u, h in zip(batch.column(1), batch.column(2))]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(rows, pa.binary())], names=[id_column, "warc"])
 
-    return pages.select(id_column, url_column, body_column).mapInArrow(build, f"{id_column} {kind}, warc binary")
+    return pages.select(id_column, url_column, body_column).transform(arrow_map, build, f"{id_column} {kind}, warc binary")
 
 
 _OUT = ("kind", "record_id", "refers_to", "target_uri", "date", "source_digest", "block_digest", "block")
@@ -208,7 +210,7 @@ def derive_records(captures: DataFrame, id_column: str = "page_id", warc_column:
             kinds = [pa.string()] * 7 + [pa.binary()] * 2
             yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(origin, pa.int64())), *(pa.array(c, t) for c, t in zip(columns, kinds))], names=[id_column, *_OUT, "warc"])
 
-    return captures.select(id_column, F.col(warc_column)).mapInArrow(derive, schema)
+    return captures.select(id_column, F.col(warc_column)).transform(arrow_map, derive, schema)
 
 
 def derivative_report(pages: DataFrame) -> DataFrame:
