@@ -3,7 +3,7 @@
 Detectors for e-mail addresses, IP addresses, card and phone numbers read the text as it
 is. Where a text shows signs of disguise, a chain of transducers rewrites it: homoglyphs
 and full-width forms become ASCII, invisible characters go, runs of spelled digits become
-digits, bracketed or spelled-out "at" and "dot" become their characters. Each transducer
+digits, as do letters of their shapes among digits, bracketed or spelled-out "at" and "dot" become their characters. Each transducer
 carries for every character of its output the source span that it stands for. The same
 detectors read the result, and what they find there by virtue of a rewriting is mapped
 back and added, unless it touches a span that is there already.
@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .session import process_cache
+from .session import arrow_map, process_cache
 
 KINDS = ("email", "ip", "card", "phone")
 Span = tuple[int, int]
@@ -91,11 +91,14 @@ _LOOKALIKE = dict(zip("аеорсухіјѕһԁԛԝАВЕКМНОРСТХІЈЅ
 #: Characters that the first transducer may change, and nothing that Latin-script prose uses.
 _STRANGE = re.compile("[­Ͱ-ӿԀ-ԯ٠-٩۰-۹०-९​-‏․⁠⁰-ₜ①-⑳⒈-⒛﹒﹫﻿！-～｡\U0001d400-\U0001d7ff\U0001f100-\U0001f10a]")
 _WORD = "|".join(sorted(_SPELLED, key=len, reverse=True))
-_DIGIT_RUN = re.compile(rf"(?i)(?<!\w)(?:plus[\x20,-]+|\+\x20?)?(?:{_WORD})(?:[\x20.,-]{{1,2}}(?:{_WORD}|[0-9](?![0-9]))){{6,}}(?!\w)")
-_DIGIT_WORD = re.compile(rf"(?i)(plus)|({_WORD})|([0-9+])|[^0-9+]")
+_DIGIT_RUN = re.compile(rf"(?i)(?<!\w)(?:plus[\x20,-]+|\+\x20?)?(?:{_WORD}|[0-9]{{1,4}})(?:[\x20.,-]{{1,2}}(?:{_WORD}|{_DOT}|[0-9]{{1,4}})(?!\w)){{3,}}")
+_DIGIT_WORD = re.compile(rf"(?i)(plus)|({_WORD})|([0-9+])|({_DOT})|[^0-9+]")
+#: Digits with some letters of their shapes among them; no letter or digit stands before or after.
+_MIXED_RUN = re.compile(r"(?<![A-Za-z0-9])\+?[0-9OolI](?:[\x20().-]{0,2}[0-9OolI]){5,}(?![A-Za-z0-9])")
+_SHAPES = str.maketrans("OolI", "0011")
 _SPELLED_HINT = re.compile(rf"(?i)\b(?:{_WORD})[\x20.,-]{{1,2}}(?:{_WORD})[\x20.,-]{{1,2}}(?:{_WORD}|[0-9])\b")
 _BRACKETS = re.compile(rf"(?i)\s?[(\[{{<]\s?(?:(?P<at>{_AT}|@)|(?P<dot>{_DOT}|\.))\s?[)\]}}>]\s?")
-_SPOKEN = re.compile(rf"(?i)(?<=[A-Za-z0-9._%+-])\x20(?P<at>{_AT})\x20(?=[A-Za-z0-9-]+(?:\x20(?:{_DOT})\x20|\.)[A-Za-z0-9-]+)|(?<=[A-Za-z0-9-])\x20(?P<dot>{_DOT})\x20(?=[A-Za-z0-9-]+)")
+_SPOKEN = re.compile(rf"(?i)(?<=[A-Za-z0-9._%+-])\x20(?P<at>{_AT})\x20(?=[A-Za-z0-9-]+\x20(?:{_DOT})\x20[A-Za-z0-9-]+)|(?<=[A-Za-z0-9-])\x20(?P<dot>{_DOT})\x20(?=[A-Za-z0-9-]+)")
 _SPOKEN_HINT = re.compile(rf"(?i)\x20(?:{_AT})\x20[A-Za-z0-9-]+\x20(?:{_DOT})\x20|[0-9]\x20(?:{_DOT})\x20[0-9]+\x20(?:{_DOT})\x20[0-9]")
 
 
@@ -145,8 +148,18 @@ def _plain(m: re.Match) -> str | None:
     return folded if folded.isascii() else None
 
 
-def _digits(run: re.Match) -> str:
-    return "".join("+" if m[1] else _SPELLED[m[2].lower()] if m[2] else m[3] or "" for m in _DIGIT_WORD.finditer(run[0]))
+def _digits(run: re.Match) -> str | None:
+    """Digits of a run in which at least three are spelled; None leaves other runs as they are."""
+    parts = list(_DIGIT_WORD.finditer(run[0]))
+    if sum(m[2] is not None for m in parts) < 3:
+        return None
+    return "".join("+" if m[1] else _SPELLED[m[2].lower()] if m[2] else m[3] or ("." if m[4] else "") for m in parts)
+
+
+def _shaped(run: re.Match) -> str | None:
+    """The run with letters read as digits, if most of it are digits and some are not."""
+    digits, letters = sum(c.isdigit() for c in run[0]), sum(c.isalpha() for c in run[0])
+    return run[0].translate(_SHAPES) if letters and digits > 2 * letters else None
 
 
 def _mark(m: re.Match) -> str:
@@ -157,13 +170,14 @@ def rewritten(text: str) -> Rewriting | None:
     """The text behind its disguises, or None where there is no sign of any."""
     strange = not text.isascii() and _STRANGE.search(text) is not None
     spelled = _SPELLED_HINT.search(text) is not None
+    shaped = any(_shaped(m) for m in _MIXED_RUN.finditer(text))
     marked = _BRACKETS.search(text) is not None or _SPOKEN_HINT.search(text) is not None
-    if not (strange or spelled or marked):
+    if not (strange or spelled or shaped or marked):
         return None
     now = Rewriting(text)
     if strange:
         now = now.replace(_STRANGE, _plain)
-    now = now.replace(_DIGIT_RUN, _digits)
+    now = now.replace(_DIGIT_RUN, _digits).replace(_MIXED_RUN, _shaped)
     now = now.replace(_BRACKETS, _mark)
     return now.replace(_SPOKEN, _mark)
 
@@ -210,4 +224,4 @@ def personal_data(docs: DataFrame, id_column: str = "doc_id", text_column: str =
             kinds = [pa.int64()] * (len(KINDS) + 1) + [pa.string()] * 2
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, t) for c, t in zip(columns, kinds))], names=[id_column, *counts, "n_added", "base_sha256", "spans"])
 
-    return docs.select(F.col(id_column), F.col(text_column)).mapInArrow(scan, schema)
+    return docs.select(F.col(id_column), F.col(text_column)).transform(arrow_map, scan, schema)

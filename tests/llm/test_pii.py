@@ -53,6 +53,11 @@ def test_base(text):
         ("mail jаne@exаmple.com soon", "email", "jаne@exаmple.com"),
         ("mail ja​ne@exam​ple.com soon", "email", "ja​ne@exam​ple.com"),
         ("card four seven eight five three eight zero five nine two three nine one one three nine.", "card", "four seven eight five three eight zero five nine two three nine one one three nine"),
+        ("host one nine two dot one six eight dot zero dot one seven up", "ip", "one nine two dot one six eight dot zero dot one seven"),
+        ("call +1 seven four three 555 3824 now", "phone", "+1 seven four three 555 3824"),
+        ("call +l (743) 555-38Z4 or +1 (743) 5S5-3824 or +1 (743) 5o5-38l4.", "phone", "+1 (743) 5o5-38l4"),
+        ("card 47853805 9239ll39 end", "card", "47853805 9239ll39"),
+        ("john dot smith at mail dot example dot com", "email", "john dot smith at mail dot example dot com"),
     ],
 )
 def test_disguises(text, kind, piece):
@@ -60,7 +65,7 @@ def test_disguises(text, kind, piece):
     assert [text[a:b] for a, b in added[kind]][-1:] == [piece]
 
 
-@pytest.mark.parametrize("text", ["look at this one two three", "a point is at the end (at least)", "Мир и труд", "at one dot two", "ten at night (dot)"])
+@pytest.mark.parametrize("text", ["look at this one two three", "a point is at the end (at least)", "Мир и труд", "at one dot two", "ten at night (dot)", "look at example.com", "1 2 3 4 5 6 7 8 9 10 11 12", "lol oil Io 10 20", "one two three dot four"])
 def test_clean(text):
     base, added = find(text)
     assert not any(base.values()) and not any(added.values())
