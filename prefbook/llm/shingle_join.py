@@ -405,7 +405,8 @@ def similar_components(docs: DataFrame, id_column: str = "doc_id", text_column:
             merged = components(edges)
             grouped = grouped.join(merged.select(F.col("node").alias("root"), "label"), "root", "left").withColumn("root", F.coalesce("label", "root")).drop("label")
 
-    names = grouped.groupBy("root").agg(F.min("first").alias("component"))
+    # Settled, so that the join is one of two exchanges, whose large partitions Spark can split.
+    names = settle(grouped.groupBy("root").agg(F.min("first").alias("component")))
     named = grouped.select("sig", "root").join(names, "root").select("sig", "component")
     out = rows.select("id", "n", "sig").join(named, "sig", "left")
     return out.select(F.col("id").alias(id_column), F.col("n").alias("n_shingles"), F.coalesce("component", "id").alias("component_id"), "sig")
