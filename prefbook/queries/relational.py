@@ -280,20 +280,21 @@ def page_of_items(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _cohorts(spark: SparkSession, sf_dir: str) -> list[DataFrame]:
-    log = request_log(spark, sf_dir).select("user_id", "item_id", "symbol")
-    return [log.filter(F.col("user_id") % 20 == r).select("item_id", "symbol") for r in (0, 1)]
+    """What the two cohorts of users asked for, by day: item, symbol and day."""
+    log = request_log(spark, sf_dir).select("user_id", "item_id", "symbol", F.to_date("ts").cast("string").alias("day"))
+    return [log.filter(F.col("user_id") % 2 == r).select("item_id", "symbol", "day") for r in (0, 1)]
 
 
 _SETS = with_(requests())
 
 
-@query(_SETS + "SELECT item_id, symbol FROM req WHERE user_id % 20 = 0 INTERSECT SELECT item_id, symbol FROM req WHERE user_id % 20 = 1")
+@query(_SETS + "SELECT item_id, symbol, ts::DATE::VARCHAR AS day FROM req WHERE user_id % 2 = 0 INTERSECT SELECT item_id, symbol, ts::DATE::VARCHAR FROM req WHERE user_id % 2 = 1")
 def common_items(spark: SparkSession, sf_dir: str) -> DataFrame:
     one, two = _cohorts(spark, sf_dir)
     return one.intersect(two)
 
 
-@query(_SETS + "SELECT item_id, symbol FROM req WHERE user_id % 20 = 0 EXCEPT SELECT item_id, symbol FROM req WHERE user_id % 20 = 1")
+@query(_SETS + "SELECT item_id, symbol, ts::DATE::VARCHAR AS day FROM req WHERE user_id % 2 = 0 EXCEPT SELECT item_id, symbol, ts::DATE::VARCHAR FROM req WHERE user_id % 2 = 1")
 def exclusive_items(spark: SparkSession, sf_dir: str) -> DataFrame:
     one, two = _cohorts(spark, sf_dir)
     return one.subtract(two)
