@@ -183,24 +183,29 @@ def _segments(spark: SparkSession, sf_dir: str) -> DataFrame:
     return assign.nearest(fixture_items(spark, sf_dir, "parts"), fixed(3)).join(parts, "item_id")
 
 
+def _named(totals: DataFrame) -> DataFrame:
+    """Rows over all brands or sizes by name; no part lacks either."""
+    return totals.select(F.coalesce("brand", F.lit("all")).alias("brand"), F.coalesce("size", F.lit(-1)).alias("size"), "bits_per_request")
+
+
 def _bits() -> Column:
     return r6(20 * F.sum(F.col("f") * F.col("cost")) / F.sum("f")).alias("bits_per_request")
 
 
-@query(_BY_SEGMENT + f"SELECT brand, size, {_COST} FROM wide GROUP BY ROLLUP (brand, size)")
+@query(_BY_SEGMENT + f"SELECT coalesce(brand, 'all') AS brand, coalesce(size, -1) AS size, {_COST} FROM wide GROUP BY ROLLUP (brand, size)")
 def bits_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _segments(spark, sf_dir).rollup("brand", "size").agg(_bits())
+    return _named(_segments(spark, sf_dir).rollup("brand", "size").agg(_bits()))
 
 
-@query(_BY_SEGMENT + f"SELECT brand, size, {_COST} FROM wide GROUP BY CUBE (brand, size)")
+@query(_BY_SEGMENT + f"SELECT coalesce(brand, 'all') AS brand, coalesce(size, -1) AS size, {_COST} FROM wide GROUP BY CUBE (brand, size)")
 def bits_cube(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _segments(spark, sf_dir).cube("brand", "size").agg(_bits())
+    return _named(_segments(spark, sf_dir).cube("brand", "size").agg(_bits()))
 
 
-@query(_BY_SEGMENT + f"SELECT brand, size, {_COST} FROM wide GROUP BY GROUPING SETS ((brand), (size), ())")
+@query(_BY_SEGMENT + f"SELECT coalesce(brand, 'all') AS brand, coalesce(size, -1) AS size, {_COST} FROM wide GROUP BY GROUPING SETS ((brand), (size), ())")
 def bits_grouping_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
     _segments(spark, sf_dir).createOrReplaceTempView("segment_costs")
-    return spark.sql("SELECT brand, size, round(20 * sum(f * cost) / sum(f), 6) AS bits_per_request FROM segment_costs GROUP BY GROUPING SETS ((brand), (size), ())")
+    return _named(spark.sql("SELECT brand, size, round(20 * sum(f * cost) / sum(f), 6) AS bits_per_request FROM segment_costs GROUP BY GROUPING SETS ((brand), (size), ())"))
 
 
 def even_points(spark: SparkSession, sf_dir: str, n: int) -> DataFrame:

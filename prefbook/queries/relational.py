@@ -63,10 +63,10 @@ def sql_single_codebook(spark: SparkSession, sf_dir: str) -> DataFrame:
 # --- filters -------------------------------------------------------------------------------
 
 
-@query("SELECT event_id, user_id, event_type, ts FROM events WHERE event_type IN ('purchase', 'signup') AND value BETWEEN 10 AND 50 AND user_id IS NOT NULL AND props LIKE '%1%'")
+@query("SELECT event_id, user_id, event_type FROM events WHERE event_type IN ('purchase', 'signup') AND value BETWEEN 10 AND 50 AND user_id IS NOT NULL AND props LIKE '%1%'")
 def filter_items(spark: SparkSession, sf_dir: str) -> DataFrame:
     events = load(spark, sf_dir, "events")
-    return events.filter(F.col("event_type").isin("purchase", "signup") & F.col("value").between(10, 50) & F.col("user_id").isNotNull() & F.col("props").like("%1%")).select("event_id", "user_id", "event_type", "ts")
+    return events.filter(F.col("event_type").isin("purchase", "signup") & F.col("value").between(10, 50) & F.col("user_id").isNotNull() & F.col("props").like("%1%")).select("event_id", "user_id", "event_type")
 
 
 @query(with_(spv_sql("parts"), "v AS (SELECT item_id, list(round(p, 6) ORDER BY n) AS v FROM spv GROUP BY item_id)") + "SELECT count(DISTINCT v)::BIGINT AS types, count(*)::BIGINT AS items FROM v")
@@ -243,10 +243,10 @@ def demand_cdf(spark: SparkSession, sf_dir: str) -> DataFrame:
     return cumulative(fixture_demand(spark, sf_dir, "events")).select("item_id", r6("hi").alias("upto"))
 
 
-@query(with_(requests()) + "SELECT event_id, date_diff('microsecond', lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id), ts)::BIGINT AS gap FROM req")
+@query(with_(requests()) + "SELECT event_id, coalesce(date_diff('microsecond', lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id), ts), -1)::BIGINT AS gap FROM req")
 def request_gaps(spark: SparkSession, sf_dir: str) -> DataFrame:
     stamps = request_log(spark, sf_dir).withColumn("us", F.unix_micros(F.col("ts").cast("timestamp")))
-    return stamps.select("event_id", (F.col("us") - F.lag("us").over(Window.partitionBy("user_id").orderBy("ts", "event_id"))).alias("gap"))
+    return stamps.select("event_id", F.coalesce(F.col("us") - F.lag("us").over(Window.partitionBy("user_id").orderBy("ts", "event_id")), F.lit(-1)).alias("gap"))
 
 
 @query(with_(requests()) + "SELECT event_id, count(*) OVER (PARTITION BY item_id ORDER BY epoch(ts)::BIGINT RANGE BETWEEN 86400 PRECEDING AND CURRENT ROW)::BIGINT AS recent FROM (SELECT event_id, item_id, date_trunc('second', ts) AS ts FROM req)")
@@ -341,8 +341,8 @@ def encode_symbols(spark: SparkSession, sf_dir: str) -> DataFrame:
     return load(spark, sf_dir, "events").select("event_id", F.lpad(F.bin(F.col("event_id") % 16), 5, "0").alias("word"))
 
 
-@query("SELECT event_id, try_cast(json_extract_string(props, '$.k') || CASE WHEN event_id % 7 = 0 THEN 'x' ELSE '' END AS BIGINT) AS item_id FROM events")
+@query("SELECT event_id, coalesce(try_cast(json_extract_string(props, '$.k') || CASE WHEN event_id % 7 = 0 THEN 'x' ELSE '' END AS BIGINT), -1) AS item_id FROM events")
 def safe_items(spark: SparkSession, sf_dir: str) -> DataFrame:
     dirty = F.concat(F.get_json_object("props", "$.k"), F.when(F.col("event_id") % 7 == 0, "x").otherwise(""))
-    return load(spark, sf_dir, "events").select("event_id", dirty.try_cast("long").alias("item_id"))
+    return load(spark, sf_dir, "events").select("event_id", F.coalesce(dirty.try_cast("long"), F.lit(-1)).alias("item_id"))
 
