@@ -30,6 +30,10 @@ KINDS = (
 _TIGHT = {"access": r"AKIA[A-Z0-9]{16,}+", "hex": r"(?<![0-9a-f])[0-9a-f]{24,}+"}
 
 
+_PATH_WORD = "(?:[A-Z]?[a-z]+(?:[A-Z][a-z]+)*[0-9]{0,3}|[A-Z]+[0-9]{0,3}|[0-9]{1,8})"
+_SEGMENT = f"{_PATH_WORD}(?:[_-]+{_PATH_WORD})*"
+
+
 @dataclass(frozen=True)
 class EntropyRules:
     window: int = 20
@@ -44,9 +48,14 @@ class EntropyRules:
         r"(?i)(sha-?(1|224|256|384|512)|md5|commit|revision|integrity|checksum|digest|etag)['\"]?\s*[:=@/-]?\s*\S*$",
         r"(0123456789|123456789|abcdefgh|ABCDEFGH)",
         r"(.)\1{7}",
-        r"(https?://|www\.|/)[A-Za-z0-9+/_=-]*$",
+        # A path of words and numbers; a random string with '/' among its characters isn't one.
+        rf"(?:^|[^A-Za-z0-9+/_=-])(?=[^/]*/)/?{_SEGMENT}(?:/+{_SEGMENT})*/?$",
     )
     context: int = 24
+    #: The host and path of an address with its scheme or www. in front, up to the candidate's end; a value after '=' or '?' is no part of it.
+    address: str = r"(?i)(?:https?://|\bwww\.)[a-z0-9._-]+(?::[0-9]{1,5})?(?:/[a-z0-9+/_.~%-]*=*)?$"
+    #: Characters that may lie between an address's begin and a candidate; beyond that the entropy decides.
+    address_context: int = 2000
 
 
 RULES = EntropyRules()
@@ -98,9 +107,13 @@ def window_bits(text: Column, window: int) -> Column:
 def _suspicious(text: Column, span: Column, r: EntropyRules) -> Column:
     match = span["match"]
     limit = F.when(match.rlike("^[0-9a-fA-F]+$"), F.lit(r.hex_bits)).when(match.rlike("[a-z]") & match.rlike("[A-Z]"), F.lit(r.mixed_bits)).otherwise(F.lit(r.single_case_bits))
-    before = F.substring(text, F.greatest(F.lit(1), span["start"] + 1 - r.context), F.least(span["start"], F.lit(r.context)))
-    seen = F.concat(before, match)
-    allowed = F.lit(False)
+
+    def seen_with(context: int) -> Column:
+        before = F.substring(text, F.greatest(F.lit(1), span["start"] + 1 - context), F.least(span["start"], F.lit(context)))
+        return F.concat(before, match)
+
+    seen = seen_with(r.context)
+    allowed = match.contains("/") & seen_with(r.address_context).rlike(r.address)
     for pattern in r.allowed:
         allowed = allowed | seen.rlike(pattern)
     mixes = match.rlike("[0-9]") & match.rlike("[A-Za-z]")

@@ -74,6 +74,30 @@ def test_documents_match_brute_force(spark, middle):
         assert (r.n_assign, r.n_access, r.n_hex, r.base_sha256, r.spans) == expected(texts[r.doc_id])
 
 
+KEYS_WITH_SLASH = [
+    ("aws_secret_access_key = ", "wJalrXUtnFEMI/K7MDENG/bPxRfiCYzzzzzzKEY12", ""),
+    ("key ", "/Qk9x7Lm2Zp8Vr4Ty6Wn1Bc3DsT5", " next"),
+    ("AccountKey=", "q8Zt1vXw/3RbN+f5Kc7Jd/Hy2Lm9Pa4Ge6Ui0So8Tr/Wq1Ex3Cv5Bn7Mz+Kj9Hg2Fd4Sa6Pl8Ok0Iu/Yt==", ""),
+    ("https://host.org/?sig=", "Qk9x7Lm2/Zp8Vr4Ty6Wn1Bc3D", "&x"),
+    ("see https://host.org/doc and ", "Qk9x7Lm2/Zp8Vr4Ty6Wn1Bc3D", ""),
+]
+ADDRESSES = [
+    "get https://cdn.host.org/assets/Qk9x7Lm2Zp8Vr4Ty6Wn1Bc3D", "www.host.org/Qk9x7Lm2/Zp8Vr4Ty6Wn1Bc3D", "HTTP://host.org:8080/" + "dir.x/" * 30 + "Qk9x7Lm2Zp8Vr4Ty6Wn1Bc3D",
+    "run /usr/local/lib64/python3.13/site-packages/quick_brown_fox12/JumpOver7 now", "in src/main/java/org/Apache/Quiz24/lazyDogs/Vexing1.java",
+]
+
+
+def test_keys_with_slash_are_findings_and_addresses_are_not(spark):
+    texts = [a + key + b for a, key, b in KEYS_WITH_SLASH] + ADDRESSES
+    found = {r.doc_id: r.spans for r in secret_report(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    for i, (before, key, _) in enumerate(KEYS_WITH_SLASH):
+        kind, start, end = found[i].split(":")
+        # Any '=' right before a key is a key character too.
+        assert kind == "entropy" and int(start) <= len(before) and int(end) == len(before + key), texts[i]
+    for i in range(len(KEYS_WITH_SLASH), len(texts)):
+        assert found[i] == "", texts[i]
+
+
 def test_window_bits(spark):
     strings = ["a" * 20, "abcdefghijklmnopqrst", "aabbccddeeffgghhiijjkkllmm", "Qk9x7Lm2Zp8Vr4Ty6Wn1Bc3DQQQQQQQQQQQQ"]
     rows = spark.createDataFrame([(s,) for s in strings], "s string").select("s", window_bits(F.col("s"), 20).alias("b")).collect()
