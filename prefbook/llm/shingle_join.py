@@ -323,16 +323,20 @@ def needed_tokens(percent: int, left: tuple[str, str], right: tuple[str, str]) -
 
     Linked sets of a and b tokens share ceil(percent * (a + b) / (100 + percent)). In the common order, those up to the
     nearer end of the two prefixes lie in both prefixes; beyond it, the set whose prefix ends there has
-    ceil(percent * size / 100) - 1 tokens left. What this leaves is least at a corner of the size ranges, and 1 where a
-    corner is too uneven to link.
+    ceil(percent * size / 100) - 1 tokens left. Between two groups of one size each, this is the need. Over ranges the
+    ceilings make it rise and fall, so the real numbers under them stand in for it: the need exceeds their difference,
+    which is concave and thus least at a corner of the size ranges. It is 1 where a corner is too uneven to link.
     """
-    corners = []
+    exact, bounds = [], []
     for a in left:
         for b in right:
             low, high = F.least(a, b), F.greatest(a, b)
-            need = F.ceil(percent * (F.col(a) + F.col(b)) / (100 + percent) - 1e-6) - F.ceil(percent * high / 100 - 1e-6) + 1
-            corners.append(F.when(100 * low < percent * high, F.lit(1)).otherwise(need))
-    return F.greatest(F.lit(1), F.least(*corners))
+            linked, beyond = percent * (F.col(a) + F.col(b)) / (100 + percent), percent * high / 100
+            uneven = 100 * low < percent * high
+            exact.append(F.when(uneven, F.lit(1)).otherwise(F.ceil(linked - 1e-6) - F.ceil(beyond - 1e-6) + 1))
+            bounds.append(F.when(uneven, F.lit(1)).otherwise(F.floor(linked - beyond - 1e-6) + 1))
+    single = (F.col(left[0]) == F.col(left[1])) & (F.col(right[0]) == F.col(right[1]))
+    return F.greatest(F.lit(1), F.when(single, exact[0]).otherwise(F.least(*bounds)))
 
 
 # --- the join ---------------------------------------------------------------------------

@@ -11,7 +11,7 @@ from hypothesis import strategies as st
 from prefbook.llm.decontaminate import SearchParameters, drop_contaminated, find_contamination
 from prefbook.llm.quality_rules import filter_quality, measure_quality
 from prefbook.llm.sharding import shard_documents
-from prefbook.llm.shingle_join import JoinParameters, keep_one_of_each, similar_components
+from prefbook.llm.shingle_join import JoinParameters, keep_one_of_each, needed_tokens, similar_components
 
 from .plain import components, fold, quality_measures, quality_verdict, shingle_set
 
@@ -69,6 +69,17 @@ def test_components(spark, group_tokens):
     assert kept == {i for i, c in want.items() if i == c}
 
 
+def test_needed_tokens_of_all_inner_sizes(spark):
+    up = lambda a, b: -(-a // b)
+    need = {(a, b): up(75 * (a + b), 175) - up(75 * max(a, b), 100) + 1 for a in range(20, 140) for b in range(20, 140) if 100 * min(a, b) >= 75 * max(a, b)}
+    ranges = [(a, a + w, b, b + v) for a in range(20, 128) for w in range(12) for b in range(20, 136) for v in (0, 4) if any((x, b) in need for x in range(a, a + w + 1))]
+    rows = spark.createDataFrame(ranges, "a long, c long, b long, d long").withColumn("n", needed_tokens(75, ("a", "c"), ("b", "d"))).toPandas()
+    for a, c, b, d, n in rows.itertuples(index=False):
+        least = min(need.get((x, y), 999) for x in range(a, c + 1) for y in range(b, d + 1))
+        assert n == max(1, least) if a == c and b == d else n <= max(1, least), (a, c, b, d)
+    assert (rows.n > 1).any()
+
+
 def test_many_near_copies(spark):
     """A large group of near copies whose members link with some others only."""
     base = prose(5, 150).split()
