@@ -1,7 +1,7 @@
 """Personal data in whole texts, disguised spellings included, with spans of the source.
 
 Detectors for e-mail addresses, IP addresses, card and phone numbers read the text as it
-is. Where a text shows signs of disguise, a chain of transducers rewrites it: homoglyphs
+is. A chain of transducers, each of which runs wherever it would change something, rewrites it: homoglyphs
 and full-width forms become ASCII, invisible characters go, runs of spelled digits become
 digits, as do letters of their shapes among digits, bracketed or spelled-out "at" and "dot" become their characters. Each transducer
 carries for every character of its output the source span that it stands for. The same
@@ -96,10 +96,8 @@ _DIGIT_WORD = re.compile(rf"(?i)(plus)|({_WORD})|([0-9+])|({_DOT})|[^0-9+]")
 #: Digits with some letters of their shapes among them; no letter or digit stands before or after.
 _MIXED_RUN = re.compile(r"(?<![A-Za-z0-9])\+?[0-9OolI](?:[\x20().-]{0,2}[0-9OolI]){5,}(?![A-Za-z0-9])")
 _SHAPES = str.maketrans("OolI", "0011")
-_SPELLED_HINT = re.compile(rf"(?i)\b(?:{_WORD})[\x20.,-]{{1,2}}(?:{_WORD})[\x20.,-]{{1,2}}(?:{_WORD}|[0-9])\b")
 _BRACKETS = re.compile(rf"(?i)\s?[(\[{{<]\s?(?:(?P<at>{_AT}|@)|(?P<dot>{_DOT}|\.))\s?[)\]}}>]\s?")
-_SPOKEN = re.compile(rf"(?i)(?<=[A-Za-z0-9._%+-])\x20(?P<at>{_AT})\x20(?=[A-Za-z0-9-]+\x20(?:{_DOT})\x20[A-Za-z0-9-]+)|(?<=[A-Za-z0-9-])\x20(?P<dot>{_DOT})\x20(?=[A-Za-z0-9-]+)")
-_SPOKEN_HINT = re.compile(rf"(?i)\x20(?:{_AT})\x20[A-Za-z0-9-]+\x20(?:{_DOT})\x20|[0-9]\x20(?:{_DOT})\x20[0-9]+\x20(?:{_DOT})\x20[0-9]")
+_SPOKEN = re.compile(rf"(?i)(?<=[A-Za-z0-9._%+-])\x20(?P<at>{_AT})\x20(?=[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)*\x20(?:{_DOT})\x20[A-Za-z0-9-]+)|(?<=[A-Za-z0-9-])\x20(?P<dot>{_DOT})\x20(?=[A-Za-z0-9-]+)")
 
 
 class Rewriting:
@@ -167,19 +165,14 @@ def _mark(m: re.Match) -> str:
 
 
 def rewritten(text: str) -> Rewriting | None:
-    """The text behind its disguises, or None where there is no sign of any."""
-    strange = not text.isascii() and _STRANGE.search(text) is not None
-    spelled = _SPELLED_HINT.search(text) is not None
-    shaped = any(_shaped(m) for m in _MIXED_RUN.finditer(text))
-    marked = _BRACKETS.search(text) is not None or _SPOKEN_HINT.search(text) is not None
-    if not (strange or spelled or shaped or marked):
-        return None
-    now = Rewriting(text)
-    if strange:
+    """The text behind its disguises, or None where no transducer changes anything."""
+    now = first = Rewriting(text)
+    if not text.isascii():
         now = now.replace(_STRANGE, _plain)
     now = now.replace(_DIGIT_RUN, _digits).replace(_MIXED_RUN, _shaped)
     now = now.replace(_BRACKETS, _mark)
-    return now.replace(_SPOKEN, _mark)
+    now = now.replace(_SPOKEN, _mark)
+    return None if now is first else now
 
 
 def find(text: str) -> tuple[dict[str, list[Span]], dict[str, list[Span]]]:

@@ -44,6 +44,9 @@ def test_base(text):
     [
         ("write to john.doe (at) mail (dot) example (dot) com now", "email", "john.doe (at) mail (dot) example (dot) com"),
         ("write to john.doe[at]mail[dot]com now", "email", "john.doe[at]mail[dot]com"),
+        ("write jane@example dot com now", "email", "jane@example dot com"),
+        ("write jane at mail.example dot com now", "email", "jane at mail.example dot com"),
+        ("call plus four 4 seven 9 one 1 one 2 three 4 five 6 now", "phone", "plus four 4 seven 9 one 1 one 2 three 4 five 6"),
         ("mail jane at example dot org today", "email", "jane at example dot org"),
         ("écrire à jeanne arobase exemple point fr merci", "email", "jeanne arobase exemple point fr"),
         ("host 192[.]168[.]0[.]17 up", "ip", "192[.]168[.]0[.]17"),
