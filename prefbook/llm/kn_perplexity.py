@@ -11,7 +11,7 @@ sent to the executors on its own, and all of them together hold 64**order floats
 
 A text's perplexity is 2 to the power of its mean bits per character. It is kept if that
 does not exceed its language's limit: a quantile of the trusted texts of the language,
-read from a table of counts by perplexity step, times a margin. Languages without enough
+read from a table of counts by perplexity step, times a margin (1: none). Languages without enough
 trusted texts, and null, share the limit of all trusted texts.
 
 Edge cases: a null or empty text has no perplexity and is not kept. Labels of unknown
@@ -42,7 +42,7 @@ START, OTHER, FIRST = 0, 1, 2
 class ModelParameters:
     order: int = 4
     quantile: float = 0.995
-    margin: float = 1.25
+    margin: float = 1.0
     #: Steps of the perplexity table per unit of log2; its size doesn't grow with the input.
     steps: int = 200
     least_trusted: int = 20

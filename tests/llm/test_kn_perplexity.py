@@ -90,3 +90,9 @@ def test_separates_labelled_documents(spark, middle):
     both = out.join(spark.read.parquet(f"{middle}/labels.parquet"), "doc_id").toPandas()
     assert (both[both.quality == 1].kept).mean() > 0.99
     assert (both[both.quality == 0].kept).mean() < 0.2
+
+
+def test_limit_is_within_trusted_perplexities(judged):
+    _, rows = judged
+    worst = max(rows[i].perplexity for i in range(len(TEXTS)))
+    assert rows[0].limit <= worst * 2 ** (1 / PARAMETERS.steps) + 1e-6
