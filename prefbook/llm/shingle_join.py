@@ -37,7 +37,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StructField, StructType
 
-from .session import arrow_map, settle
+from .session import arrow_map, column, fresh, settle
 from .textscan import BLANKS, Hasher, Words, chained, mix64, powers, sliced
 
 
@@ -51,8 +51,9 @@ class JoinParameters:
     rows_per_band: int = 2
     sketch_bits: int = 20
     sketch_chunks: int = 64
-    filter_bits: int = 24
-    token_filter_bits: int = 27
+    #: Bits of the maps of classes and tokens for each entry, and their logarithm's bounds: at most 128 MB are sent.
+    filter_spread: int = 8
+    filter_bits: tuple[int, int] = (20, 30)
     group_tokens: int = 16384
 
 
@@ -166,8 +167,10 @@ def frequency_classes(sketches: DataFrame, p: JoinParameters) -> np.ndarray:
 # --- which texts and tokens a later pass needs ----------------------------------------
 
 
-def bit_filter(df: DataFrame, value: F.Column, bits: int) -> np.ndarray:
-    """Bytes of a bit map of the low ``bits`` bits of a long; 2**bits / 8 bytes on the driver, whatever the input."""
+def bit_filter(df: DataFrame, value: F.Column, p: JoinParameters) -> np.ndarray:
+    """Bytes of a bit map of the low bits of a long, as many as the rows need, within bounds; a full map admits more, and loses nothing."""
+    least, most = p.filter_bits
+    bits = min(max((df.count() * p.filter_spread).bit_length(), least), most)
     low = F.bitwise_and(value, F.lit((1 << bits) - 1)) if hasattr(F, "bitwise_and") else value.bitwiseAND(F.lit((1 << bits) - 1))
     spots = df.select((low + 1).alias("v"))
     maps = spots.groupBy(F.bitmap_bucket_number("v").alias("b")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("v")).alias("m"))
@@ -214,40 +217,50 @@ class _Pass:
                     yield sig[new], sets, np.stack([bounds[full[new]], bounds[full[new] + 1]], axis=1)
 
 
-def set_rows(docs: DataFrame, wanted: DataFrame, p: JoinParameters) -> DataFrame:
-    """(sig, tokens) of the classes in ``wanted`` (first, sig), and of a few others that share a bit with them."""
-    work = _Pass(p, docs.sparkSession.sparkContext.broadcast(bit_filter(wanted, _member(F.col("first"), F.col("sig")), p.filter_bits)))
+def set_rows(docs: DataFrame, wanted: DataFrame, order, p: JoinParameters) -> DataFrame:
+    """(sig, tokens, common) of the classes in ``wanted`` (first, sig), and of a few others that share a bit with them.
+
+    ``common`` is how common a set's tokens are in the mean, by the logarithms of their counts.
+    """
+    work = _Pass(p, docs.sparkSession.sparkContext.broadcast(bit_filter(wanted, _member(F.col("first"), F.col("sig")), p)))
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for sig, sets, spans in work.sets(batches):
-            yield pa.RecordBatch.from_arrays([pa.array(sig), pa.array([sets[a:b].tobytes() for a, b in spans], pa.binary())], names=["sig", "tokens"])
+            ranks = order.value[(sets & np.uint64(len(order.value) - 1)).astype(np.int64)]
+            common = [int(1024 * ranks[a:b].mean()) for a, b in spans]
+            yield pa.RecordBatch.from_arrays([pa.array(sig), pa.array([sets[a:b].tobytes() for a, b in spans], pa.binary()), pa.array(common, pa.int32())], names=["sig", "tokens", "common"])
 
-    return docs.transform(arrow_map, rows, "sig long, tokens binary")
+    return docs.transform(arrow_map, rows, "sig long, tokens binary, common int")
 
 
 def prefix_rows(docs: DataFrame, classes: DataFrame, order, p: JoinParameters, tokens_filter=None) -> DataFrame:
-    """(sig, tokens): the first tokens of each class in the common order, rare ones first.
+    """(sig, tokens, places): the first tokens of each class in the common order, rare ones first, and each one's place in it.
 
     Sets that reach the threshold share a token within both prefixes, for any order.
     """
-    work = _Pass(p, docs.sparkSession.sparkContext.broadcast(bit_filter(classes, _member(F.col("first"), F.col("sig")), p.filter_bits)))
+    work = _Pass(p, docs.sparkSession.sparkContext.broadcast(bit_filter(classes, _member(F.col("first"), F.col("sig")), p)))
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ranks = order.value
         for sig, sets, spans in work.sets(batches):
-            kept, bounds = [], [0]
+            kept, places, bounds = [], [], [0]
             for a, b in spans.tolist():
                 own = sets[a:b]
                 n = b - a
                 rank = (ranks[(own & np.uint64(len(ranks) - 1)).astype(np.int64)].astype(np.uint64) << np.uint64(56)) | (mix64(own) >> np.uint64(8))
                 first = own[np.argsort(rank)[: n - ceil(p.percent * n / 100) + 1]].view(np.int64)
+                place = np.arange(len(first), dtype=np.int32)
                 if tokens_filter is not None:
-                    first = first[hits(tokens_filter.value, first)]
+                    place = np.flatnonzero(hits(tokens_filter.value, first)).astype(np.int32)
+                    first = first[place]
                 kept.append(first)
+                places.append(place)
                 bounds.append(bounds[-1] + len(first))
-            yield pa.RecordBatch.from_arrays([pa.array(sig), pa.ListArray.from_arrays(pa.array(bounds, pa.int32()), pa.array(np.concatenate(kept)))], names=["sig", "tokens"])
+            ends = pa.array(bounds, pa.int32())
+            lists = (pa.ListArray.from_arrays(ends, pa.array(np.concatenate(x))) for x in (kept, places))
+            yield pa.RecordBatch.from_arrays([pa.array(sig), *lists], names=["sig", "tokens", "places"])
 
-    return docs.transform(arrow_map, rows, "sig long, tokens array<long>")
+    return docs.transform(arrow_map, rows, "sig long, tokens array<long>, places array<int>")
 
 
 # --- comparison ------------------------------------------------------------------------
@@ -339,6 +352,14 @@ def needed_tokens(percent: int, left: tuple[str, str], right: tuple[str, str]) -
     return F.greatest(F.lit(1), F.when(single, exact[0]).otherwise(F.least(*bounds)))
 
 
+def room(percent: int, size: F.Column, place: F.Column) -> F.Column:
+    """What percent times the size of a linked set may reach, if the first token in common has this place (from 0) in a set of this size.
+
+    All that the two share stands from there on: size - place >= percent * (size + other) / (100 + percent).
+    """
+    return 100 * size - (100 + percent) * place
+
+
 # --- the join ---------------------------------------------------------------------------
 
 
@@ -346,24 +367,29 @@ def similar_components(docs: DataFrame, id_column: str = "doc_id", text_column:
     """One row per row of ``docs``: id, n_shingles, component_id, and sig, the class of equal sets (null when empty)."""
     p = parameters
     spark = docs.sparkSession
-    texts = docs.select(F.col(id_column).cast("long").alias("id"), F.col(text_column).alias("text"))
+    texts = docs.select(column(id_column).cast("long").alias("id"), column(text_column).alias("text"))
     base = settle(texts.transform(arrow_map, lambda batches: _base(batches, p), "id long, n long, sig long, bands array<long>, chunk int, sketch binary"))
     rows = base.filter("chunk is null")
     order = spark.sparkContext.broadcast(frequency_classes(base.filter("chunk is not null"), p))
     classes = settle(rows.filter("sig is not null").groupBy("sig").agg(F.min("id").alias("first"), F.min("n").alias("n"), F.first("bands").alias("bands")))
 
-    # Roots: each class turns to the most central class that it shares a band with, if the two link. A class is
-    # central by how many others its bands hold; near copies of one text thus turn to those with the fewest changes.
+    # Roots: each class turns to one class that it shares a band with, if the two link. Only a band's most central class
+    # is turned to, one whose bands are the most crowded, so that no path comes back; of several, the one with the most
+    # bands in common. Crowds count by their logarithms: a class with several crowded bands is in the middle of near
+    # copies, while one or two may be those of a passage that unlike texts share.
+    # Of equally crowded ones, that with the most common shingles has the fewest changes of its own.
     keyed = classes.select("sig", F.explode("bands").alias("key"))
     crowds = keyed.groupBy("key").agg(F.count("*").alias("m")).filter("m > 1")
-    crowded = keyed.join(crowds, "key").withColumn("score", F.sum("m").over(Window.partitionBy("sig")))
-    rank = F.struct("score", (-F.col("sig")).alias("low"))
+    crowded = keyed.join(crowds, "key").withColumn("score", F.sum(F.floor(16 * F.log2("m"))).over(Window.partitionBy("sig")))
+    crowded = settle(crowded.select("sig", "key", "score"))
+    wanted = settle(classes.select("sig", "first").join(crowded.select("sig"), "sig", "left_semi"))
+    sets = settle(set_rows(texts, wanted, order, p).dropDuplicates(["sig"]))
+    crowded = crowded.join(sets.select("sig", "common"), "sig")
+    rank = F.struct("score", "common", (-F.col("sig")).alias("low"))
     pivots = crowded.groupBy("key").agg(F.max_by("sig", rank).alias("pivot"), F.max(rank).alias("rank"))
-    choice = crowded.select("sig", "key").join(pivots, "key").groupBy("sig").agg(F.max_by("pivot", "rank").alias("pivot")).filter("pivot <> sig")
-    choice = settle(choice)
-    ends = choice.select("sig").union(choice.select("pivot")).distinct()
-    wanted = settle(classes.select("sig", "first").join(ends, "sig"))
-    sets = set_rows(texts, wanted, p)
+    alike = crowded.select("sig", "key").join(pivots, "key").filter("pivot <> sig").groupBy("sig", "pivot").agg(F.struct(F.count("*").alias("bands"), F.first("rank").alias("rank")).alias("alike"))
+    choice = settle(alike.groupBy("sig").agg(F.max_by("pivot", "alike").alias("pivot")))
+    sets = sets.drop("common")
     met = choice.join(sets, "sig").withColumnRenamed("tokens", "left").join(sets.withColumnsRenamed({"sig": "pivot", "tokens": "right"}), "pivot")
     tied = met.select(F.col("sig").alias("a"), F.col("pivot").alias("b"), F.array("left"), F.array("right")).transform(arrow_map, _compare(p.percent), "a long, b long")
     roots = _jump(tied.select(F.col("a").alias("sig"), F.col("b").alias("parent")).distinct())
@@ -377,20 +403,25 @@ def similar_components(docs: DataFrame, id_column: str = "doc_id", text_column:
 
     # Token-group matrix over the prefix tokens that more than one class has.
     firsts = prefix_rows(texts, grouped, order, p)
-    shared = firsts.select(F.explode("tokens").alias("token")).groupBy("token").agg(F.count("*").alias("m")).filter("m > 1")
-    shared_filter = spark.sparkContext.broadcast(bit_filter(shared, F.col("token"), p.token_filter_bits))
+    shared = settle(firsts.select(F.explode("tokens").alias("token")).groupBy("token").agg(F.count("*").alias("m")).filter("m > 1").select("token"))
+    shared_filter = spark.sparkContext.broadcast(bit_filter(shared, F.col("token"), p))
     entries = prefix_rows(texts, grouped, order, p, shared_filter).filter(F.size("tokens") > 0)
-    entries = entries.select("sig", "tokens").join(grouped, "sig").select("grp", "root", "n", F.size("tokens").alias("s"), F.posexplode("tokens").alias("at", "token"))
-    matrix = entries.groupBy("token", "grp", "root").agg(F.max(F.col("s") - F.col("at")).alias("rest"), F.min("n").alias("least"), F.max("n").alias("most"))
+    spots = F.posexplode(F.arrays_zip("tokens", "places")).alias("at", "spot")
+    entries = entries.join(grouped, "sig").select("grp", "root", "n", F.size("tokens").alias("s"), spots)
+    entries = entries.select("grp", "root", "n", F.col("spot.tokens").alias("token"), (F.col("s") - F.col("at")).alias("rest"), room(p.percent, F.col("n"), F.col("spot.places")).alias("room"))
+    matrix = entries.groupBy("token", "grp", "root").agg(F.max("rest").alias("rest"), F.max("room").alias("room"), F.min("n").alias("least"), F.max("n").alias("most"))
     by_token = Window.partitionBy("token")
     matrix = settle(matrix.withColumns({"lo": F.min("root").over(by_token), "hi": F.max("root").over(by_token)}).filter("lo <> hi").drop("lo", "hi"))
 
     # Candidate pairs of groups: at the first token that two linked sets share, each has as many prefix tokens left as
     # they must share; and groups share that many. rest counts the tokens that more than one class has, from this one on.
+    # There too, each has room for the other: near copies of one text, each too much changed to link with the others,
+    # share the text's tokens, but only behind so many of their own that no link is possible.
     x, y = matrix.alias("x"), matrix.alias("y")
     sizes = (100 * F.col("x.most") >= p.percent * F.col("y.least")) & (100 * F.col("y.most") >= p.percent * F.col("x.least"))
     enough = F.least("x.rest", "y.rest") >= needed_tokens(p.percent, ("x.least", "x.most"), ("y.least", "y.most"))
-    met = x.join(y, (F.col("x.token") == F.col("y.token")) & (F.col("x.root") < F.col("y.root")) & sizes & enough)
+    roomy = (F.col("x.room") >= p.percent * F.col("y.least")) & (F.col("y.room") >= p.percent * F.col("x.least"))
+    met = x.join(y, (F.col("x.token") == F.col("y.token")) & (F.col("x.root") < F.col("y.root")) & sizes & roomy & enough)
     met = settle(met.select(F.col("x.grp").alias("ga"), F.col("y.grp").alias("gb"), F.col("x.root").alias("ra"), F.col("y.root").alias("rb")).distinct())
     held = matrix.groupBy("grp").agg(F.collect_list("token").alias("tokens"), F.min("least").alias("least"), F.max("most").alias("most"))
     both = met.join(held.select(F.col("grp").alias("ga"), *(F.col(c).alias(f"a_{c}") for c in ("tokens", "least", "most"))), "ga")
@@ -402,7 +433,7 @@ def similar_components(docs: DataFrame, id_column: str = "doc_id", text_column:
     if pairs.head(1):
         used = pairs.select(F.col("ga").alias("grp")).union(pairs.select("gb")).distinct()
         wanted = settle(grouped.join(used, "grp").select("sig", "first", "grp"))
-        members = set_rows(texts, wanted, p).join(wanted.select("sig", "grp"), "sig").groupBy("grp").agg(F.collect_list("tokens").alias("sets"))
+        members = set_rows(texts, wanted, order, p).drop("common").join(wanted.select("sig", "grp"), "sig").groupBy("grp").agg(F.collect_list("tokens").alias("sets"))
         met = pairs.join(members.withColumnsRenamed({"grp": "ga", "sets": "left"}), "ga").join(members.withColumnsRenamed({"grp": "gb", "sets": "right"}), "gb")
         edges = settle(met.select("ra", "rb", "left", "right").transform(arrow_map, _compare(p.percent), "a long, b long").distinct())
         if edges.head(1):
@@ -438,14 +469,15 @@ def _signed(docs: DataFrame, text_column: str, name: str, p: JoinParameters) ->
 def keep_one_of_each(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", parameters: JoinParameters = PARAMETERS) -> DataFrame:
     """The rows of ``docs`` whose id names their component, all columns kept; of rows with equal id and set one stays."""
     marks = similar_components(docs, id_column, text_column, parameters)
-    stay = settle(marks.filter(F.col(id_column).eqNullSafe(F.col("component_id"))).select(F.col(id_column).alias("stay_id"), F.col("sig").alias("stay_sig")))
-    counts = marks.groupBy(F.col(id_column).alias("seen_id")).agg(F.count("*").alias("rows"))
-    again = settle(counts.filter("rows > 1 or seen_id is null").select("seen_id"))
-    key = docs[id_column].cast("long")
+    own, stay_id, stay_sig, seen_id, sig = fresh(docs.columns, "own_id", "stay_id", "stay_sig", "seen_id", "sig")
+    mark = column(id_column)
+    stay = settle(marks.filter(mark.eqNullSafe(F.col("component_id"))).select(mark.alias(stay_id), F.col("sig").alias(stay_sig)))
+    counts = marks.groupBy(mark.alias(seen_id)).agg(F.count("*").alias("rows"))
+    again = settle(counts.filter((F.col("rows") > 1) | F.col(seen_id).isNull()).select(seen_id))
+    keyed = docs.withColumn(own, mark.cast("long"))
     if not again.head(1):
-        return docs.join(stay.select("stay_id"), key == F.col("stay_id"), "left_semi")
-    once = docs.join(stay.join(again, F.col("stay_id").eqNullSafe(F.col("seen_id")), "left_anti").select("stay_id"), key == F.col("stay_id"), "left_semi")
-    name = next(f"sig{i}" for i in range(len(docs.columns) + 1) if f"sig{i}" not in docs.columns)
-    rows = _signed(docs.join(again, key.eqNullSafe(F.col("seen_id")), "left_semi"), text_column, name, parameters)
-    rows = rows.join(stay, rows[id_column].cast("long").eqNullSafe(F.col("stay_id")) & rows[name].eqNullSafe(F.col("stay_sig")), "left_semi")
-    return once.unionByName(rows.dropDuplicates([id_column, name]).drop(name))
+        return keyed.join(stay.select(stay_id), F.col(own) == F.col(stay_id), "left_semi").drop(own)
+    once = keyed.join(stay.join(again, F.col(stay_id).eqNullSafe(F.col(seen_id)), "left_anti").select(stay_id), F.col(own) == F.col(stay_id), "left_semi")
+    rows = _signed(keyed.join(again, F.col(own).eqNullSafe(F.col(seen_id)), "left_semi"), text_column, sig, parameters)
+    rows = rows.join(stay, F.col(own).eqNullSafe(F.col(stay_id)) & F.col(sig).eqNullSafe(F.col(stay_sig)), "left_semi")
+    return once.unionByName(rows.dropDuplicates([own, sig]).drop(sig)).drop(own)

@@ -51,9 +51,14 @@ def lower_table() -> np.ndarray:
     return table
 
 
+#: Places of a word whose codes are tabulated.
+TABLED = 256
+
+
 def byte_codes(fold_case: bool) -> np.ndarray:
-    codes = mix64(np.arange(1, 257, dtype=np.uint64) * _MULT) | np.uint64(1)
-    return codes[lower_table()] if fold_case else codes
+    """A code for each byte at each of the first TABLED places, unrelated to all others."""
+    codes = mix64(mix64(np.arange(1, TABLED * 256 + 1, dtype=np.uint64) * _MULT) + _MIX_B).reshape(TABLED, 256)
+    return (codes[:, lower_table()] if fold_case else codes).ravel()
 
 
 def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
@@ -132,22 +137,32 @@ class Words:
 
 
 class Hasher:
-    """64-bit hashes of words from prefix sums of a polynomial over the bytes."""
+    """64-bit hashes of words: sums of a code for each byte at its place.
+
+    Codes of different places aren't multiples of each other, so words of a regular build don't meet,
+    as they do in polynomials modulo 2**64.
+    """
 
     def __init__(self, fold_case: bool):
         self.codes = byte_codes(fold_case)
-        self.up, self.down = powers(1 << 16)
 
     def __call__(self, texts: Texts, words: Words) -> np.ndarray:
-        n = len(texts.data)
-        if n > len(self.up):
-            self.up, self.down = powers(max(n, SLICE_BYTES))
+        n, starts, ends = len(texts.data), words.starts, words.ends
+        if not len(starts):
+            return np.zeros(0, dtype=np.uint64)
+        lengths = ends - starts
+        place = np.arange(n, dtype=np.int32)  # a slice has less than 2**31 bytes
+        place[starts[0] :] -= np.repeat(starts.astype(np.int32), np.diff(np.append(starts, n)))
+        far = np.flatnonzero(place >= TABLED) if lengths.max() > TABLED else starts[:0]
+        beyond = (place[far] // TABLED).astype(np.uint64) * _MIX_A
+        place &= TABLED - 1
+        place <<= 8
+        place |= texts.data
+        terms = self.codes[place]
+        terms[far] = mix64(terms[far] + beyond)
         sums = np.zeros(n + 1, dtype=np.uint64)
-        terms = self.codes[texts.data]
-        terms *= self.up[:n]
         np.cumsum(terms, out=sums[1:])
-        raw = (sums[words.ends] - sums[words.starts]) * self.down[words.starts]
-        return mix64(raw + (words.ends - words.starts).astype(np.uint64) * _MULT)
+        return mix64(sums[ends] - sums[starts] + lengths.astype(np.uint64) * _MULT)
 
 
 def chained(hashes: np.ndarray, width: int) -> np.ndarray:

@@ -8,6 +8,7 @@ import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
+from prefbook.llm import shingle_join
 from prefbook.llm.decontaminate import SearchParameters, drop_contaminated, find_contamination
 from prefbook.llm.quality_rules import filter_quality, measure_quality
 from prefbook.llm.sharding import shard_documents
@@ -93,6 +94,49 @@ def test_many_near_copies(spark):
     assert marks == components(dict(enumerate(texts)))
 
 
+def test_candidates_of_a_large_group(spark, monkeypatch):
+    """Near copies, half of them too much changed to link: the pairs that meet follow the texts, not their square."""
+    base = prose(5, 150).split()
+    texts = []
+    for k in range(1500):
+        words = list(base)
+        for j in range(k % 12):
+            words[(k * 37 + j * 29) % 150] = f"edit{k}x{j}"
+        texts.append(" ".join(words))
+    made = []
+    plain = shingle_join.settle
+
+    def counted(df):
+        out = plain(df)
+        if out.columns == ["ga", "gb", "ra", "rb"]:
+            made.append(out.count())
+        return out
+
+    monkeypatch.setattr(shingle_join, "settle", counted)
+    marks = {r.doc_id: r.component_id for r in similar_components(frame(spark, texts)).collect()}
+    assert max(made) <= 2 * len(texts)
+    assert all(marks[k] == 0 for k in range(1500) if k % 12 < 4)
+
+
+def test_words_of_a_regular_build_differ(spark):
+    """Two words that agree in every polynomial of an odd number modulo 2**64."""
+    one = "a"
+    for _ in range(10):
+        one += one.translate(str.maketrans("ab", "ba"))
+    other = one.translate(str.maketrans("ab", "ba"))
+    marks = similar_components(frame(spark, [one, other])).collect()
+    assert {r.component_id for r in marks} == {0, 1}
+    rows = measure_quality(frame(spark, [f"{one} x y {other} x y"])).collect()
+    assert rows[0].n_repeat_words == 0
+
+
+def test_clashing_names(spark):
+    names = ["stay_id", "seen_id", "own_id", "SIG", "root", "n words", "a.b"]
+    docs = spark.createDataFrame([(i, prose(1, 60), *range(len(names))) for i in (3, 3, 4)] + [(5, "w " * 70, *range(len(names)))], "`doc id` long, text string, " + ", ".join(f"`{n}` int" for n in names))
+    kept = keep_one_of_each(docs, "doc id")
+    assert kept.columns == docs.columns and sorted(r[0] for r in kept.collect()) == [3, 5]
+
+
 def test_components_odd_rows(spark):
     rows = [(None, prose(1, 60)), (7, prose(1, 60)), (7, prose(1, 60)), (7, prose(2, 60)), (9, None), (9, None)]
     docs = spark.createDataFrame([(i, t, None, None) for i, t in rows], SCHEMA)
