@@ -9,13 +9,18 @@ same bytes.
 
 Edge cases: a null page body is an empty payload and gives an empty conversion; a null
 address leaves the target header out. Records of other types and bytes that are no WARC
-record give no derivatives. Repeated captures of a page give the same records again. An
+record, broken gzip members among them, give no derivatives. A payload whose coding is
+unknown or broken is left as it is: its metadata record names the codings that could not
+be undone and has neither title nor links, and its conversion is empty. Repeated header
+fields all stay, in order. A page is read in one forward pass, in time that follows its
+length; a tag or comment without an end is text. Repeated captures of a page give the same records again. An
 empty table gives no rows. Only the named columns are read.
 """
 
 from __future__ import annotations
 
 import base64
+import functools
 import gzip
 import hashlib
 import html
@@ -30,7 +35,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .session import arrow_map
+from .session import arrow_map, column, fields
 
 VERSION = b"WARC/1.1"
 _NAMES = uuid.UUID("6ba7b811-9dad-11d1-80b4-00c04fd430c8")  # fixed: the public namespace of URLs
@@ -74,27 +79,47 @@ def named(headers: Headers, name: str) -> str | None:
 def parse_record(data: bytes) -> tuple[Headers, bytes] | None:
     """Headers and block of a record, None for anything else. A gzip member is opened first."""
     if data[:2] == b"\x1f\x8b":
-        data = gzip.decompress(data)
+        try:
+            data = gzip.decompress(data)
+        except (OSError, EOFError, zlib.error):
+            return None
     head, parted, rest = data.partition(b"\r\n\r\n")
     lines = head.split(b"\r\n")
     if not parted or not lines[0].startswith(b"WARC/"):
         return None
     headers = _fields(lines[1:])
     length = named(headers, "Content-Length")
-    return headers, rest[: int(length)] if length and length.isdigit() else rest.removesuffix(b"\r\n\r\n")
+    return headers, rest[: int(length)] if length and length.isascii() and length.isdigit() else rest.removesuffix(b"\r\n\r\n")
 
 
-def parse_response(block: bytes) -> tuple[str, Headers, bytes]:
-    """Status line, headers and payload of an HTTP message, transfer and content codings undone."""
+def parse_response(block: bytes) -> tuple[str, Headers, bytes, list[str]]:
+    """Status line, headers and payload of an HTTP message, transfer and content codings undone, and those that could not be."""
     head, _, body = block.partition(b"\r\n\r\n")
     first, *lines = head.split(b"\r\n")
     headers = _fields(lines)
-    if (named(headers, "Transfer-Encoding") or "").lower() == "chunked":
-        body = b"".join(_chunks(body))
-    coding = (named(headers, "Content-Encoding") or "").lower()
-    if coding in ("gzip", "deflate"):
-        body = zlib.decompressobj(47 if coding == "gzip" or body[:1] == b"\x78" else -15).decompress(body)
-    return first.decode("utf-8", "replace"), headers, body
+    codings = [c.strip().lower() for name in ("Content-Encoding", "Transfer-Encoding") for k, v in headers if k.lower() == name.lower() for c in v.split(",")]
+    left = [c for c in codings if c not in ("", "identity")]
+    while left:
+        opened = _opened(body, left[-1])
+        if opened is None:
+            break
+        body = opened
+        left.pop()
+    return first.decode("utf-8", "replace"), headers, body, left
+
+
+def _opened(body: bytes, coding: str) -> bytes | None:
+    """The body without one coding; None if the coding is unknown or the body is not in it."""
+    try:
+        if coding == "chunked":
+            return b"".join(_chunks(body))
+        if coding in ("gzip", "x-gzip"):
+            return zlib.decompressobj(31).decompress(body)
+        if coding == "deflate":
+            return zlib.decompressobj(15 if body[:1] == b"\x78" else -15).decompress(body)
+    except zlib.error:
+        pass
+    return None
 
 
 def _chunks(body: bytes) -> Iterator[bytes]:
@@ -107,27 +132,105 @@ def _chunks(body: bytes) -> Iterator[bytes]:
         yield body[end + 2 : at - 2]
 
 
-_UNSEEN = re.compile(r"(?is)<!--.*?-->|<!\[CDATA\[.*?\]\]>|<(script|style|noscript|template|svg|head)\b[^>]*>.*?</\1\s*>")
-_TITLE = re.compile(r"(?is)<title\b[^>]*>(.*?)</title\s*>")
-_BREAKS = re.compile(r"(?i)</?(?:p|div|br|li|ul|ol|tr|table|h[1-6]|article|section|nav|header|footer|blockquote|pre|hr|dd|dt|dl|form|main|aside|figure|td|th|body|html)\b[^<>]*>")
-_TAG = re.compile(r"<[/!?A-Za-z](?:[^<>\"']|\"[^\"]*\"|'[^']*')*>")
-_LINK = re.compile(r"(?is)<(a|link|img|script|iframe)\b[^>]*?\b(?:href|src)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))")
+#: What begins a mark: a comment, a CDATA section, or a tag with its name, the inside up to the next bracket outside quotes, and its end.
+_INSIDE = r"""(?:[^<>"']++|"[^"]*+"|'[^']*+')*+"""
+_MARK = re.compile(rf"<(?:(!--)|(!\[CDATA\[)|(/?)([A-Za-z][^\s/<>\"']*+)({_INSIDE})(>?)|[!?/]{_INSIDE}(>?))")
+_FIELD = re.compile(r"""([^\s=/"'<>]++)(?:\s*+=\s*+(?:"([^"]*+)"|'([^']*+)'|([^\s"'<>]++)))?+""")
+#: Elements whose content is no markup, those whose content is not shown, those that begin a line, and those that link.
+_RAW = frozenset(("script", "style"))
+_UNSEEN = frozenset(("noscript", "template", "svg", "head"))
+_BREAKS = frozenset("p div br li ul ol tr table h1 h2 h3 h4 h5 h6 article section nav header footer blockquote pre hr dd dt dl form main aside figure td th body html".split())
+_LINKING = frozenset(("a", "link", "img", "script", "iframe"))
 _BLANK = re.compile(r"[ \t\r\f\v\xa0]+")
-_LINES = re.compile(r"\s*\n\s*")
+
+
+class Page:
+    """Title, visible text and links of a page, from one pass over its marks."""
+
+    def __init__(self, page: str, address: str | None = None):
+        self.page, self.missing = page, set()
+        self.links: list[dict] = []
+        shown: list[str] = []
+        title: list[str] | None = None
+        self.title: str | None = None
+        at = hidden = title_end = 0
+        while (m := _MARK.search(page, at)) is not None:
+            if m.start() > at:
+                self._add(page[at : m.start()], at >= hidden, shown, title if at < title_end else None)
+            at = m.end()
+            name = (m[4] or "").lower()
+            if m[1] or m[2]:
+                end = self._find("-->" if m[1] else "]]>", at)
+                if end < 0:
+                    self._add(m[0], m.start() >= hidden, shown, title if m.start() < title_end else None)
+                    continue
+                self._add(" ", at >= hidden, shown, None)
+                at = end + 3
+            elif not (m[6] or m[7]):  # without an end it is text
+                self._add(m[0], m.start() >= hidden, shown, title if m.start() < title_end else None)
+            elif name:
+                if not m[3] and name in _LINKING:
+                    self._link(name, m[5], address)
+                if name in _BREAKS:
+                    self._add("\n", at >= hidden, shown, None)
+                if not m[3] and name in _RAW and (close := self._closing(name, at)) is not None:
+                    self._add(" ", at >= hidden, shown, None)
+                    at = close[1]
+                elif not m[3] and name in _UNSEEN and at >= hidden and (close := self._closing(name, at)) is not None:
+                    shown.append(" ")
+                    hidden = close[1]
+                elif not m[3] and name == "title" and title is None and (close := self._closing(name, at)) is not None:
+                    title, title_end = [], close[0]
+        self._add(page[at:], at >= hidden, shown, title if at < title_end else None)
+        if title is not None:
+            self.title = html.unescape("".join(title)).strip()
+        lines = _BLANK.sub(" ", html.unescape("".join(shown))).split("\n")
+        self.text = "\n".join(line for line in (x.strip() for x in lines) if line)
+
+    def _add(self, text: str, seen: bool, shown: list[str], title: list[str] | None) -> None:
+        if seen:
+            shown.append(text)
+        if title is not None:
+            title.append(text)
+
+    def _find(self, what: str, at: int) -> int:
+        """As str.find; what is missing once is not looked for again."""
+        found = -1 if what in self.missing else self.page.find(what, at)
+        if found < 0:
+            self.missing.add(what)
+        return found
+
+    def _closing(self, name: str, at: int) -> tuple[int, int] | None:
+        """Begin and end of the element's next closing tag."""
+        if name in self.missing:
+            return None
+        found = _closing_tag(name).search(self.page, at)
+        if found is None:
+            self.missing.add(name)
+            return None
+        return found.span()
+
+    def _link(self, tag: str, inside: str, address: str | None) -> None:
+        for m in _FIELD.finditer(inside):
+            if m[1].lower() in ("href", "src"):
+                value = next((x for x in m.groups()[1:] if x is not None), "")
+                self.links.append({"tag": tag, "url": urljoined(address, html.unescape(value))})
+                return
+
+
+@functools.cache
+def _closing_tag(name: str) -> re.Pattern:
+    return re.compile(rf"(?i)</{name}\s*+>")
 
 
 def plain_text(page: str) -> str:
     """Visible text, a line for each block; character references are resolved once, after the tags are gone."""
-    text = _UNSEEN.sub(" ", page)
-    text = _BREAKS.sub("\n", text)
-    text = html.unescape(_TAG.sub("", text))
-    return _LINES.sub("\n", _BLANK.sub(" ", text)).strip()
+    return Page(page).text
 
 
 def page_facts(page: str, address: str | None) -> dict:
-    title = _TITLE.search(page)
-    links = [{"tag": m[1].lower(), "url": urljoined(address, html.unescape(m[2] or m[3] or m[4] or ""))} for m in _LINK.finditer(page)]
-    return {"title": html.unescape(_TAG.sub("", title[1])).strip() if title else None, "links": links}
+    read = Page(page, address)
+    return {"title": read.title, "links": read.links}
 
 
 def urljoined(base: str | None, link: str) -> str:
@@ -154,17 +257,22 @@ def derivatives(source: bytes) -> list[tuple[Headers, bytes]]:
     if parsed is None or named(parsed[0], "WARC-Type") != "response":
         return []
     headers, block = parsed
-    status, fields, payload = parse_response(block)
+    status, fields, payload, closed = parse_response(block)
     identity, address = named(headers, "WARC-Record-ID") or "", named(headers, "WARC-Target-URI")
     made_from = named(headers, "WARC-Payload-Digest") or digest(payload)
     charset = re.search(r"charset=\"?([\w.:-]+)", named(fields, "Content-Type") or "")
-    page = _decoded(payload, charset[1] if charset else "utf-8")
-    facts = {"source": {"record_id": identity, "headers": dict(headers), "payload_digest": made_from, "payload_length": len(payload)}, "http": {"status": status, "headers": [list(x) for x in fields]}} | page_facts(page, address)
+    page = Page("" if closed else _decoded(payload, charset[1] if charset else "utf-8"), address)
+    facts = {
+        "source": {"record_id": identity, "headers": [list(x) for x in headers], "payload_digest": made_from, "payload_length": len(payload)},
+        "http": {"status": status, "headers": [list(x) for x in fields], "codings_left": closed},
+        "title": page.title,
+        "links": page.links,
+    }
     shared: Headers = [("WARC-Date", named(headers, "WARC-Date") or CAPTURED), ("WARC-Refers-To", identity)]
     shared += [("WARC-Target-URI", address)] if address is not None else []
     shared += [("WARC-Source-Payload-Digest", made_from)]
     out = []
-    for kind, form, body in (("metadata", "application/json", json.dumps(facts, ensure_ascii=False, sort_keys=True).encode()), ("conversion", "text/plain; charset=utf-8", plain_text(page).encode())):
+    for kind, form, body in (("metadata", "application/json", json.dumps(facts, ensure_ascii=False, sort_keys=True).encode("utf-8", "replace")), ("conversion", "text/plain; charset=utf-8", page.text.encode("utf-8", "replace"))):
         out.append(([("WARC-Type", kind), ("WARC-Record-ID", record_id(kind, identity, made_from)), *shared, ("Content-Type", form)], body))
     return out
 
@@ -172,20 +280,18 @@ def derivatives(source: bytes) -> list[tuple[Headers, bytes]]:
 def _decoded(payload: bytes, charset: str) -> str:
     try:
         return payload.decode(charset, "replace")
-    except LookupError:  # a charset that nobody knows
+    except (LookupError, UnicodeError):  # a charset that nobody knows, or that is none of text
         return payload.decode("utf-8", "replace")
 
 
 def capture_pages(pages: DataFrame, id_column: str = "page_id", url_column: str = "url", body_column: str = "html") -> DataFrame:
     """(id, warc): a response record for each page; narrow."""
-    kind = dict(pages.dtypes)[id_column]
-
     def build(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             rows = [response_record(u.as_py(), h.as_py()) for u, h in zip(batch.column(1), batch.column(2))]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(rows, pa.binary())], names=[id_column, "warc"])
 
-    return pages.select(id_column, url_column, body_column).transform(arrow_map, build, f"{id_column} {kind}, warc binary")
+    return pages.select(*(column(c) for c in (id_column, url_column, body_column))).transform(arrow_map, build, fields(pages, [id_column], ("warc", "binary")))
 
 
 _OUT = ("kind", "record_id", "refers_to", "target_uri", "date", "source_digest", "block_digest", "block")
@@ -193,8 +299,7 @@ _OUT = ("kind", "record_id", "refers_to", "target_uri", "date", "source_digest",
 
 def derive_records(captures: DataFrame, id_column: str = "page_id", warc_column: str = "warc") -> DataFrame:
     """Two rows per response record: its id, the derived record's main headers and block, and the whole record as a gzip member; narrow."""
-    kind = dict(captures.dtypes)[id_column]
-    schema = f"{id_column} {kind}, kind string, record_id string, refers_to string, target_uri string, date string, source_digest string, block_digest string, block binary, warc binary"
+    schema = fields(captures, [id_column], *((name, "string") for name in _OUT[:-1]), ("block", "binary"), ("warc", "binary"))
 
     def derive(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -210,7 +315,7 @@ def derive_records(captures: DataFrame, id_column: str = "page_id", warc_column:
             kinds = [pa.string()] * 7 + [pa.binary()] * 2
             yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(origin, pa.int64())), *(pa.array(c, t) for c, t in zip(columns, kinds))], names=[id_column, *_OUT, "warc"])
 
-    return captures.select(id_column, F.col(warc_column)).transform(arrow_map, derive, schema)
+    return captures.select(column(id_column), column(warc_column)).transform(arrow_map, derive, schema)
 
 
 def derivative_report(pages: DataFrame) -> DataFrame:
