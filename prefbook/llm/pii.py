@@ -6,7 +6,9 @@ and full-width forms become ASCII, invisible characters go, runs of spelled digi
 digits, as do letters of their shapes among digits, bracketed or spelled-out "at" and "dot" become their characters. Each transducer
 carries for every character of its output the source span that it stands for. The same
 detectors read the result, and what they find there by virtue of a rewriting is mapped
-back and added, unless it touches a span that is there already.
+back and added. Where it touches spans of the plain text, it is added if it is wider than
+all of them together: a plain span is then a part of it, and stays. It never touches
+another added span.
 
 Positions are code points, end exclusive. Edge cases: a null text is empty. Repeated rows
 get equal output. Several matches of a kind don't overlap; the leftmost wins. An empty
@@ -18,21 +20,21 @@ from __future__ import annotations
 import hashlib
 import re
 import unicodedata
+from bisect import bisect_left, bisect_right
 from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
-from .session import arrow_map, process_cache
+from .session import arrow_map, column, fields, process_cache
 
 KINDS = ("email", "ip", "card", "phone")
 Span = tuple[int, int]
 
 _DOMAIN = re.compile(r"@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
 _LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
-_IP = re.compile(r"[0-9]+(?:\.[0-9]+){3}")
+_IP = re.compile(r"(?<![0-9])[0-9]++(?:\.[0-9]++){3}")  # a match never begins within a run of digits
 _CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])+")
 _PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 _NOT_DIGIT = re.compile(r"[^0-9]+")
@@ -91,13 +93,21 @@ _LOOKALIKE = dict(zip("аеорсухіјѕһԁԛԝАВЕКМНОРСТХІЈЅ
 #: Characters that the first transducer may change, and nothing that Latin-script prose uses.
 _STRANGE = re.compile("[­Ͱ-ӿԀ-ԯ٠-٩۰-۹०-९​-‏․⁠⁰-ₜ①-⑳⒈-⒛﹒﹫﻿！-～｡\U0001d400-\U0001d7ff\U0001f100-\U0001f10a]")
 _WORD = "|".join(sorted(_SPELLED, key=len, reverse=True))
-_DIGIT_RUN = re.compile(rf"(?i)(?<!\w)(?:plus[\x20,-]+|\+\x20?)?(?:{_WORD}|[0-9]{{1,4}})(?:[\x20.,-]{{1,2}}(?:{_WORD}|{_DOT}|[0-9]{{1,4}})(?!\w)){{3,}}")
-_DIGIT_WORD = re.compile(rf"(?i)(plus)|({_WORD})|([0-9+])|({_DOT})|[^0-9+]")
+_TIMES = {"double": 2, "triple": 3}
+_MANY = "(?:" + "|".join(_TIMES) + r")[\x20-]"
+_DIGIT_RUN = re.compile(rf"(?i)(?<!\w)(?:plus[\x20,-]+|\+\x20?)?(?:(?:{_MANY})?(?:{_WORD})|[0-9]{{1,4}})(?:[\x20.,-]{{1,2}}(?:(?:{_MANY})?(?:{_WORD})|{_DOT}|[0-9]{{1,4}})(?!\w)){{3,}}")
+_DIGIT_WORD = re.compile(rf"(?i)(plus)|({_WORD})|([0-9+])|({_DOT})|({'|'.join(_TIMES)})|[^0-9+]")
 #: Digits with some letters of their shapes among them; no letter or digit stands before or after.
 _MIXED_RUN = re.compile(r"(?<![A-Za-z0-9])\+?[0-9OolI](?:[\x20().-]{0,2}[0-9OolI]){5,}(?![A-Za-z0-9])")
 _SHAPES = str.maketrans("OolI", "0011")
 _BRACKETS = re.compile(rf"(?i)\s?[(\[{{<]\s?(?:(?P<at>{_AT}|@)|(?P<dot>{_DOT}|\.))\s?[)\]}}>]\s?")
 _SPOKEN = re.compile(rf"(?i)(?<=[A-Za-z0-9._%+-])\x20(?P<at>{_AT})\x20(?=[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)*\x20(?:{_DOT})\x20[A-Za-z0-9-]+)|(?<=[A-Za-z0-9-])\x20(?P<dot>{_DOT})\x20(?=[A-Za-z0-9-]+)")
+#: Marks as they stand in addresses and pages, and words between equal signs.
+_CODED = re.compile(r"(?i)(?P<at>(?<=[A-Za-z0-9])%40(?=[A-Za-z0-9-]+\.)|&#0*64;|&#x0*40;|&commat;)|(?P<dot>&#0*46;|&#x0*2e;|&period;)")
+_JOINED = re.compile(r"(?i)(?<![A-Za-z0-9])([A-Za-z0-9.+]++)([-_*~])at\2([A-Za-z0-9.]++)((?:\2dot\2[A-Za-z0-9]++)++)")
+#: One plain word or sign between a local part and a whole domain; prose has that too, so the local part decides.
+_ONE_SIDED = re.compile(rf"(?i)(?<=[A-Za-z0-9])\x20(?:{_AT}|@)\x20(?=[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)*+(?<=\.[A-Za-z][A-Za-z]|[A-Za-z]{{3}})(?<!\.))(?=[^\x20]*\.)")
+_LOCAL_END = re.compile(r"[A-Za-z0-9._%+-]{1,64}$")
 
 
 class Rewriting:
@@ -151,7 +161,15 @@ def _digits(run: re.Match) -> str | None:
     parts = list(_DIGIT_WORD.finditer(run[0]))
     if sum(m[2] is not None for m in parts) < 3:
         return None
-    return "".join("+" if m[1] else _SPELLED[m[2].lower()] if m[2] else m[3] or ("." if m[4] else "") for m in parts)
+    out, times = [], 1
+    for m in parts:
+        if m[2]:
+            out.append(_SPELLED[m[2].lower()] * times)
+        elif not m[5]:
+            out.append("+" if m[1] else m[3] or ("." if m[4] else ""))
+        if m[0].isalnum():
+            times = _TIMES[m[5].lower()] if m[5] else 1
+    return "".join(out)
 
 
 def _shaped(run: re.Match) -> str | None:
@@ -164,30 +182,65 @@ def _mark(m: re.Match) -> str:
     return "@" if m["at"] else "."
 
 
+def _joined(m: re.Match) -> str:
+    return f"{m[1]}@{m[3]}{re.sub(f'(?i){re.escape(m[2])}dot{re.escape(m[2])}', '.', m[4])}"
+
+
+def _one_sided(m: re.Match) -> str | None:
+    """Prose says that somebody looks at a site; a name with a mark or a digit in it is no plain word."""
+    local = _LOCAL_END.search(m.string, max(0, m.start() - 64), m.start())
+    return "@" if local and re.search("[A-Za-z]", local[0]) and re.search(r"[A-Za-z0-9][._+0-9][A-Za-z0-9]|[0-9]$", local[0]) else None
+
+
 def rewritten(text: str) -> Rewriting | None:
     """The text behind its disguises, or None where no transducer changes anything."""
     now = first = Rewriting(text)
     if not text.isascii():
         now = now.replace(_STRANGE, _plain)
     now = now.replace(_DIGIT_RUN, _digits).replace(_MIXED_RUN, _shaped)
-    now = now.replace(_BRACKETS, _mark)
-    now = now.replace(_SPOKEN, _mark)
+    now = now.replace(_CODED, _mark).replace(_JOINED, _joined).replace(_BRACKETS, _mark)
+    now = now.replace(_SPOKEN, _mark).replace(_ONE_SIDED, _one_sided)
     return None if now is first else now
 
 
+class Taken:
+    """Spans that don't overlap, in order."""
+
+    def __init__(self):
+        self.starts: list[int] = []
+        self.ends: list[int] = []
+
+    def touching(self, start: int, end: int) -> tuple[int, int]:
+        """Numbers of the first span that overlaps and of the one behind the last."""
+        return bisect_right(self.ends, start), bisect_left(self.starts, end)
+
+    def add(self, start: int, end: int) -> None:
+        a, b = self.touching(start, end)
+        if a < b:  # spans of the plain detectors may overlap across kinds: one wide span stands for them
+            start, end = min(start, self.starts[a]), max(end, self.ends[b - 1])
+        self.starts[a:b], self.ends[a:b] = [start], [end]
+
+
 def find(text: str) -> tuple[dict[str, list[Span]], dict[str, list[Span]]]:
     """Spans by kind: those of the text as it is, and those added behind disguises."""
     base = {kind: list(detect(text)) for kind, detect in DETECTORS.items()}
     added: dict[str, list[Span]] = {kind: [] for kind in KINDS}
     behind = rewritten(text)
     if behind is not None:
-        taken = sorted(s for spans in base.values() for s in spans)
+        plain, taken = Taken(), Taken()
+        for start, end in sorted(s for spans in base.values() for s in spans):
+            plain.add(start, end)
         for kind, detect in DETECTORS.items():
             for a, b in detect(behind.text):
                 start, end = behind.source(a, b)
-                if text[start:end] != behind.text[a:b] and _likely(kind, behind.text[a:b]) and not any(s < end and start < e for s, e in taken):
+                if text[start:end] == behind.text[a:b] or not _likely(kind, behind.text[a:b]):
+                    continue
+                first, last = plain.touching(start, end)
+                wider = first == last or (start <= plain.starts[first] and plain.ends[last - 1] <= end and (last - first > 1 or (start, end) != (plain.starts[first], plain.ends[first])))
+                first, last = taken.touching(start, end)
+                if wider and first == last:
                     added[kind].append((start, end))
-                    taken.append((start, end))
+                    taken.add(start, end)
     return base, added
 
 
@@ -203,7 +256,7 @@ def listed(spans: dict[str, list[Span]]) -> str:
 def personal_data(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
     """id, n_email, n_ip, n_card, n_phone (of the text as it is), n_added, base_sha256 and spans of each row; narrow."""
     counts = [f"n_{kind}" for kind in KINDS]
-    schema = f"{id_column} {dict(docs.dtypes)[id_column]}, " + ", ".join(f"{c} long" for c in [*counts, "n_added"]) + ", base_sha256 string, spans string"
+    schema = fields(docs, [id_column], *((c, "long") for c in [*counts, "n_added"]), ("base_sha256", "string"), ("spans", "string"))
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         look = process_cache("pii.find", lambda: find)
@@ -217,4 +270,4 @@ def personal_data(docs: DataFrame, id_column: str = "doc_id", text_column: str =
             kinds = [pa.int64()] * (len(KINDS) + 1) + [pa.string()] * 2
             yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, t) for c, t in zip(columns, kinds))], names=[id_column, *counts, "n_added", "base_sha256", "spans"])
 
-    return docs.select(F.col(id_column), F.col(text_column)).transform(arrow_map, scan, schema)
+    return docs.select(column(id_column), column(text_column)).transform(arrow_map, scan, schema)
