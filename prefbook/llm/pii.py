@@ -104,7 +104,7 @@ _BRACKETS = re.compile(rf"(?i)\s?[(\[{{<]\s?(?:(?P<at>{_AT}|@)|(?P<dot>{_DOT}|\.
 _SPOKEN = re.compile(rf"(?i)(?<=[A-Za-z0-9._%+-])\x20(?P<at>{_AT})\x20(?=[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)*\x20(?:{_DOT})\x20[A-Za-z0-9-]+)|(?<=[A-Za-z0-9-])\x20(?P<dot>{_DOT})\x20(?=[A-Za-z0-9-]+)")
 #: Marks as they stand in addresses and pages, and words between equal signs.
 _CODED = re.compile(r"(?i)(?P<at>(?<=[A-Za-z0-9])%40(?=[A-Za-z0-9-]+\.)|&#0*64;|&#x0*40;|&commat;)|(?P<dot>&#0*46;|&#x0*2e;|&period;)")
-_JOINED = re.compile(r"(?i)(?<![A-Za-z0-9])([A-Za-z0-9.+]++)([-_*~])at\2([A-Za-z0-9.]++)((?:\2dot\2[A-Za-z0-9]++)++)")
+_JOINED = re.compile(r"(?i)(?<![A-Za-z0-9.+])([A-Za-z0-9.+]++)([-_*~])at\2([A-Za-z0-9.]++)((?:\2dot\2[A-Za-z0-9]++)++)")
 #: One plain word or sign between a local part and a whole domain; prose has that too, so the local part decides.
 _ONE_SIDED = re.compile(rf"(?i)(?<=[A-Za-z0-9])\x20(?:{_AT}|@)\x20(?=[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)*+(?<=\.[A-Za-z][A-Za-z]|[A-Za-z]{{3}})(?<!\.))(?=[^\x20]*\.)")
 _LOCAL_END = re.compile(r"[A-Za-z0-9._%+-]{1,64}$")

@@ -130,13 +130,13 @@ def test_recall_of_planted_disguises():
     assert found >= 1900, missed[:10]
 
 
-@pytest.mark.parametrize("text", ["1" * 1_000_000, "one two " * 125_000, "1." * 500_000, "a@b.cc " * 140_000, "+1(" * 330_000, "x at y dot z " * 76_000, "0 " * 500_000 + "x", "(at)" * 250_000, "а@b.cc " * 140_000, "O0" * 500_000, "a_at_" * 200_000, " @ " * 330_000])
+@pytest.mark.parametrize("text", ["1" * 200_000, "one two " * 25_000, "1." * 100_000, "a@b.cc " * 25_000, "+1(" * 60_000, "x at y dot z " * 15_000, "0 " * 100_000 + "x", "(at)" * 50_000, "а@b.cc " * 25_000, "O0" * 100_000, "a_at_" * 40_000, " @ " * 60_000])
 def test_hostile_texts_take_linear_time(text):
     import time
 
     began = time.process_time()
     find(text)
-    assert time.process_time() - began < 15
+    assert time.process_time() - began < 5
 
 
 def test_documents(spark, middle):
