@@ -8,18 +8,24 @@ letters of one case with digits, letters of both cases with digits) and no entry
 allow list speaks for it. Findings of fixed shape stay whatever the allow list says;
 entropy findings that touch one of them add nothing and are left out.
 
+Running sums and maxima go over arrays in chunks, and pieces of a text are taken from its
+blocks, so that a text with very many matches takes time that follows its length.
+
 Positions are code points, end exclusive. Edge cases: a null text is empty and has no
 spans. Repeated rows get equal output. Extra columns pass through ``mask_secrets``.
 """
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass
 from math import log2
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .session import column, fresh
+
 #: Fixed patterns, by kind. ``least`` is compared with the length of ``group``.
 KINDS = (
     ("assign", r"""(?:[Pp][Aa][Ss][Ss][Ww][Oo][Rr][Dd]|[Pp][Aa][Ss][Ss][Ww][Dd]|[Ss][Ee][Cc][Rr][Ee][Tt]|[Tt][Oo][Kk][Ee][Nn]|[Aa][Pp][Ii]_?[Kk][Ee][Yy])["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", 1, 6),
@@ -62,55 +68,114 @@ RULES = EntropyRules()
 _CANDIDATE = r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_=-]{%d,}+"
 
 
+#: Elements of an array that are walked at once: what a walk appends to stays short.
+CHUNK = 128
+#: Characters of a block of a text.
+BLOCK = 4096
+_SPAN = "array<struct<start:int,rank:int,end:int,kind:string,match:string>>"
+
+
+def let(value: Column, body: Callable[[Column], Column]) -> Column:
+    """``body`` of a value that is computed once, however often the body and its lambdas name it."""
+    return F.get(F.transform(F.array(value), body), F.lit(0))
+
+
+def chunked(values: Column) -> Column:
+    """An array, given by name or as a lambda's variable, cut into arrays of CHUNK elements."""
+    starts = F.sequence(F.lit(0), F.greatest(F.lit(0), F.floor((F.size(values) - 1) / CHUNK).cast("int")))
+    return F.transform(starts, lambda k: F.slice(values, k * CHUNK + 1, F.lit(CHUNK)))
+
+
+def running(values: Column, combine) -> Column:
+    """For each element of an array of ints what ``combine``, a sum or maximum, makes of 0 and all before it."""
+    none = F.array().cast("array<int>")
+
+    def walk(part: Column, at: Column) -> Column:
+        step = lambda s, x: F.struct(combine(s["at"], x).alias("at"), F.array_append(s["out"], s["at"]).alias("out"))
+        return F.aggregate(part, F.struct(at.alias("at"), none.alias("out")), step, lambda s: s["out"])
+
+    def walked(parts: Column) -> Column:
+        totals = F.transform(parts, lambda part: F.aggregate(part, F.lit(0), combine))
+        return F.flatten(F.zip_with(parts, walk(totals, F.lit(0)), walk))
+
+    return let(values, lambda v: let(chunked(v), walked))
+
+
 def located(text: Column, pattern: str, kind: str, rank: int, group: int = 0, least: int = 0) -> Column:
     """Array of spans of a pattern's matches, leftmost and not overlapping; matches with a group shorter than ``least`` are dropped."""
-    none = F.array().cast("array<struct<start:int,rank:int,end:int,kind:string,match:string>>")
     whole = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
-    inner = F.regexp_extract_all(text, F.lit(pattern), F.lit(group))
-    steps = F.zip_with(F.zip_with(F.split(text, pattern, -1), whole, lambda gap, m: F.struct(F.char_length(gap).alias("gap"), m.alias("m"))), inner, lambda s, g: F.struct(s["gap"].alias("gap"), s["m"].alias("m"), g.alias("g")))
-    start = F.struct(F.lit(0).alias("at"), none.alias("spans"))
+    inner = F.regexp_extract_all(text, F.lit(pattern), F.lit(group)) if group else whole
+    gaps = lambda w: F.zip_with(F.slice(F.split(text, pattern, -1), F.lit(1), F.size(w)), w, lambda gap, m: F.struct(F.char_length(gap).alias("gap"), F.char_length(m).alias("long"), m.alias("m")))
 
-    def step(state: Column, s: Column) -> Column:
-        begin = state["at"] + s["gap"]
-        end = begin + F.coalesce(F.char_length(s["m"]), F.lit(0))
-        span = F.struct(begin.alias("start"), F.lit(rank).alias("rank"), end.alias("end"), F.lit(kind).alias("kind"), s["m"].alias("match"))
-        good = s["m"].isNotNull() & (F.char_length(s["g"]) >= least)
-        return F.struct(end.alias("at"), F.when(good, F.array_append(state["spans"], span)).otherwise(state["spans"]).alias("spans"))
+    def span(s: Column, at: Column) -> Column:
+        begin = at + s["gap"]
+        return F.struct(begin.alias("start"), F.lit(rank).alias("rank"), (begin + s["long"]).alias("end"), F.lit(kind).alias("kind"), s["m"].alias("match"))
 
-    return F.when(text.rlike(pattern), F.aggregate(steps, start, step, lambda s: s["spans"])).otherwise(none)
+    spans = let(let(whole, gaps), lambda steps: F.zip_with(steps, running(F.transform(steps, lambda s: s["gap"] + s["long"]), lambda a, b: a + b), span))
+    if least:
+        kept = F.filter(F.zip_with(spans, inner, lambda s, g: F.struct(s.alias("s"), g.alias("g"))), lambda x: F.char_length(x["g"]) >= least)
+        spans = F.transform(kept, lambda x: x["s"])
+    return F.when(text.rlike(pattern), spans.cast(_SPAN)).otherwise(F.array().cast(_SPAN))
 
 
-def window_bits(text: Column, window: int) -> Column:
-    """Highest Shannon entropy, in bits, of the windows of an ASCII string that is at least one window long."""
-    weights = F.array(*(F.lit(0.0 if c < 2 else c * log2(c)) for c in range(window + 1)))
-    state = F.struct(F.array_repeat(F.lit(0), 128).alias("counts"), F.lit(0.0).alias("sum"), F.lit(0.0).alias("best"))
-    codes = F.transform(F.split(text, ""), lambda c: F.ascii(c))
+def blocks(text: Column) -> Column:
+    """The text in pieces of BLOCK characters."""
+    return F.when(F.char_length(text) <= BLOCK, F.array(text)).otherwise(F.regexp_extract_all(text, F.lit("(?s).{1,%d}" % BLOCK), F.lit(0)))
+
+
+def piece(parts: Column, start: Column, end: Column) -> Column:
+    """Characters from start to end (exclusive) of a text in blocks, reading the blocks that hold them only."""
+    first = F.floor(start / BLOCK).cast("int")
+    last = F.floor(F.greatest(start, end - 1) / BLOCK).cast("int")
+    return F.substring(F.array_join(F.slice(parts, first + 1, last - first + 1), ""), start - first * BLOCK + 1, F.greatest(F.lit(0), end - start))
+
+
+#: Characters of a candidate begin with the plus sign; counts of at most a window take five bits, and twelve of them a long.
+_FIRST, _BITS, _PACKED, _WORDS = ord("+"), 5, 12, 7
 
-    def weight(count: Column) -> Column:
-        return F.get(weights, count)
+
+def window_bits(text: Column, window: int) -> Column:
+    """Highest Shannon entropy, in bits, of the windows of a string of key characters that is at least one window long.
+
+    The counts of the characters in a window lie packed in a few longs; as the window moves, one count goes up and one
+    goes down, and the sum behind the entropy changes by their terms.
+    """
+    if not 1 < window < 1 << _BITS:
+        raise ValueError(f"a window has 2 to {(1 << _BITS) - 1} characters")
+    weights = F.array(*(F.lit(0.0 if c < 2 else c * log2(c)) for c in range((1 << _BITS) + 1)))
+    units = F.array(*(F.lit(1 << _BITS * k).cast("long") for k in range(_PACKED)))
+    state = F.struct(F.array_repeat(F.lit(0).cast("long"), _WORDS).alias("counts"), F.lit(0.0).alias("sum"), F.lit(0.0).alias("best"))
+    codes = F.transform(F.split(text, ""), lambda c: F.ascii(c) - _FIRST)
+    at = lambda c: F.struct(F.floor(c / _PACKED).cast("int").alias("word"), F.get(units, F.pmod(c, F.lit(_PACKED))).alias("unit"))
+    places = F.transform(codes, at)
+
+    def count(counts: Column, place: Column) -> Column:
+        return F.call_function("div", F.get(counts, place["word"]), place["unit"]).bitwiseAND((1 << _BITS) - 1).cast("int")
 
     def step(s: Column, pair: Column) -> Column:
         enters, leaves = pair["enters"], pair["leaves"]
         same = leaves.isNotNull() & (enters == leaves)
-        into, out = F.get(s["counts"], enters), F.get(s["counts"], leaves)
-        gain = weight(into + 1) - weight(into)
-        loss = F.when(leaves.isNull(), F.lit(0.0)).otherwise(weight(out) - weight(out - 1))
+        into, out = count(s["counts"], enters), count(s["counts"], leaves)
+        gain = F.get(weights, into + 1) - F.get(weights, into)
+        loss = F.when(leaves.isNull(), F.lit(0.0)).otherwise(F.get(weights, out) - F.get(weights, out - 1))
         total = F.when(same, s["sum"]).otherwise(s["sum"] + gain - loss)
-        counts = F.transform(s["counts"], lambda c, j: c + (j == enters).cast("int") - F.coalesce((j == leaves).cast("int"), F.lit(0)))
+        none = F.lit(0).cast("long")
+        counts = F.transform(s["counts"], lambda c, j: c + F.when(enters["word"] == j, enters["unit"]).otherwise(none) - F.when(leaves["word"] == j, leaves["unit"]).otherwise(none))
         bits = F.when(pair["full"], F.lit(log2(window)) - total / window).otherwise(F.lit(0.0))
         return F.struct(counts.alias("counts"), total.alias("sum"), F.greatest(s["best"], bits).alias("best"))
 
-    pairs = F.transform(codes, lambda c, i: F.struct(c.alias("enters"), F.when(i >= window, F.get(codes, i - window)).alias("leaves"), (i >= window - 1).alias("full")))
-    return F.aggregate(pairs, state, step, lambda s: s["best"])
+    def pairs(held: Column) -> Column:
+        return F.transform(held, lambda c, i: F.struct(c.alias("enters"), F.when(i >= window, F.get(held, i - window)).alias("leaves"), (i >= window - 1).alias("full")))
+
+    return F.aggregate(let(places, pairs), state, step, lambda s: s["best"])
 
 
-def _suspicious(text: Column, span: Column, r: EntropyRules) -> Column:
+def _suspicious(parts: Column, span: Column, r: EntropyRules) -> Column:
     match = span["match"]
     limit = F.when(match.rlike("^[0-9a-fA-F]+$"), F.lit(r.hex_bits)).when(match.rlike("[a-z]") & match.rlike("[A-Z]"), F.lit(r.mixed_bits)).otherwise(F.lit(r.single_case_bits))
 
     def seen_with(context: int) -> Column:
-        before = F.substring(text, F.greatest(F.lit(1), span["start"] + 1 - context), F.least(span["start"], F.lit(context)))
-        return F.concat(before, match)
+        return F.concat(piece(parts, F.greatest(F.lit(0), span["start"] - context), span["start"]), match)
 
     seen = seen_with(r.context)
     allowed = match.contains("/") & seen_with(r.address_context).rlike(r.address)
@@ -120,15 +185,24 @@ def _suspicious(text: Column, span: Column, r: EntropyRules) -> Column:
     return F.when(mixes & ~allowed, window_bits(match, r.window) >= limit).otherwise(F.lit(False))
 
 
+def _apart(spans: Column, others: Column) -> Column:
+    """The spans that overlap none of ``others``; whole chunks of those are passed over."""
+    over = lambda t, s: (t["start"] < s["end"]) & (s["start"] < t["end"])
+    held = F.transform(let(F.array_sort(others), chunked), lambda c: F.struct(c.alias("c"), c[0]["start"].alias("start"), F.array_max(F.transform(c, lambda t: t["end"])).alias("end")))
+    clear = let(held, lambda held: F.filter(spans, lambda s: ~F.exists(held, lambda h: over(h, s) & F.exists(h["c"], lambda t: over(t, s)))))
+    return F.when(F.size(others) == 0, spans).otherwise(clear)
+
+
 def scan_secrets(docs: DataFrame, text_column: str = "text", rules: EntropyRules = RULES, into: str = "secrets") -> DataFrame:
     """``docs`` with an array of (start, rank, end, kind) by start and then kind; narrow, no shuffle."""
-    text = F.coalesce(F.col(text_column), F.lit(""))
+    text = F.coalesce(column(text_column), F.lit(""))
     base = F.concat(*(located(text, _TIGHT.get(kind, pattern), kind, rank, group, least) for rank, (kind, pattern, group, least) in enumerate(KINDS)))
-    b, e, names = f"{into}_base", f"{into}_entropy", docs.columns
+    b, e, t = fresh([*docs.columns, into], f"{into}_base", f"{into}_entropy", f"{into}_blocks")
     marked = docs.select("*", base.alias(b), located(text, _CANDIDATE % rules.window, "entropy", len(KINDS)).alias(e))
-    clear = F.filter(e, lambda s: ~F.exists(b, lambda t: (t["start"] < s["end"]) & (s["start"] < t["end"])) & _suspicious(text, s, rules))
+    parted = marked.withColumn(e, _apart(F.col(e), F.col(b))).withColumn(t, F.when(F.size(e) > 0, blocks(text)))
+    clear = F.filter(e, lambda s: _suspicious(F.col(t), s, rules))
     spans = F.array_sort(F.concat(b, clear))
-    return marked.select(*(F.col(f"`{n}`") for n in names), F.transform(spans, lambda s: F.struct(s["start"].alias("start"), s["rank"].alias("rank"), s["end"].alias("end"), s["kind"].alias("kind"))).alias(into))
+    return parted.select(*(column(n) for n in docs.columns), F.transform(spans, lambda s: F.struct(s["start"].alias("start"), s["rank"].alias("rank"), s["end"].alias("end"), s["kind"].alias("kind"))).alias(into))
 
 
 def listed(spans: Column) -> Column:
@@ -137,25 +211,25 @@ def listed(spans: Column) -> Column:
 
 def secret_report(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", rules: EntropyRules = RULES) -> DataFrame:
     """id, n_assign, n_access, n_hex, n_entropy, base_sha256 and spans of each row."""
-    found = scan_secrets(docs.select(id_column, F.col(text_column).alias("text")), "text", rules, "secrets")
+    found = scan_secrets(docs.select(column(id_column).alias("id"), column(text_column).alias("text")), "text", rules, "secrets")
     count = lambda kind: F.size(F.filter("secrets", lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")
     base = F.filter("secrets", lambda s: s["rank"] < len(KINDS))
-    return found.select(id_column, *(count(kind) for kind, *_ in KINDS), count("entropy"), F.sha2(listed(base), 256).alias("base_sha256"), listed(F.col("secrets")).alias("spans"))
+    return found.select(F.col("id").alias(id_column), *(count(kind) for kind, *_ in KINDS), count("entropy"), F.sha2(listed(base), 256).alias("base_sha256"), listed(F.col("secrets")).alias("spans"))
 
 
 def mask_secrets(docs: DataFrame, text_column: str = "text", mask: str = "[SECRET]", rules: EntropyRules = RULES) -> DataFrame:
     """``docs`` with each run of overlapping spans replaced by ``mask``; a column n_chars follows the new text."""
-    name = next(f"secrets{i}" for i in range(len(docs.columns) + 1) if not any(c.startswith(f"secrets{i}") for c in docs.columns))
-    found = scan_secrets(docs, text_column, rules, name)
-    text = F.col(text_column)
-    state = F.struct(F.lit(0).alias("at"), F.lit("").alias("done"))
+    name, parts = fresh(docs.columns, "secrets", "blocks")
+    text = column(text_column)
+    found = scan_secrets(docs, text_column, rules, name).withColumn(parts, F.when(F.size(name) > 0, blocks(text)))
+    ends = running(F.transform(name, lambda s: s["end"]), lambda a, b: F.greatest(a, b))
 
-    def step(s: Column, span: Column) -> Column:
-        part = F.concat(s["done"], F.substring(text, s["at"] + 1, span["start"] - s["at"]), F.lit(mask))
-        return F.struct(F.greatest(s["at"], span["end"]).alias("at"), F.when(span["start"] < s["at"], s["done"]).otherwise(part).alias("done"))
+    def kept(span: Column, at: Column) -> Column:
+        return F.when(span["start"] < at, F.lit("")).otherwise(F.concat(piece(F.col(parts), at, span["start"]), F.lit(mask)))
 
-    masked = F.aggregate(name, state, step, lambda s: F.concat(s["done"], F.substring(text, s["at"] + 1, F.char_length(text))))
+    rest = piece(F.col(parts), F.array_max(F.transform(name, lambda s: s["end"])), F.char_length(text))
+    masked = F.concat(F.array_join(F.zip_with(name, ends, kept), ""), rest)
     out = found.withColumn(text_column, F.when(F.size(name) > 0, masked).otherwise(text))
     if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.size(name) > 0, F.char_length(text_column).cast(dict(docs.dtypes)["n_chars"])).otherwise(F.col("n_chars")))
-    return out.select(*(F.col(f"`{n}`") for n in docs.columns))
+        out = out.withColumn("n_chars", F.when(F.size(name) > 0, F.char_length(text).cast(dict(docs.dtypes)["n_chars"])).otherwise(F.col("n_chars")))
+    return out.select(*(column(n) for n in docs.columns))

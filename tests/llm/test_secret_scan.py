@@ -119,3 +119,15 @@ def test_plan_has_no_python_and_no_shuffle(spark):
     docs = spark.createDataFrame([(1, "a", "b")], SCHEMA)
     plan = secret_report(docs)._jdf.queryExecution().executedPlan().toString()
     assert not re.search("Python|Pandas|Arrow|Exchange", plan)
+
+
+def test_very_many_matches_take_linear_time(spark):
+    import time
+
+    for text in ("token=abcdef1 " * 20_000, "aK3/" * 50_000, ("Zq8Lw2Rt5Xn1Vb7Ym4Kp " * 12_000)):
+        began = time.time()
+        docs = spark.createDataFrame([(1, text)], "doc_id long, text string")
+        n = secret_report(docs).first()
+        masked = mask_secrets(docs).first().text
+        assert masked.count("[SECRET]") == n.n_assign + n.n_entropy and time.time() - began < 60
+        assert not n.n_assign or (n.n_assign == 20_000 and masked == "[SECRET] " * 20_000)
