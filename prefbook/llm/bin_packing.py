@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .session import arrow_map, process_cache, settle
+from .session import arrow_map, column, fields, process_cache, settle
 
 
 def public_vocabulary(name: str) -> str:
@@ -84,8 +84,6 @@ class Encoder:
 
 def token_pieces(docs: DataFrame, id_column: str, text_column: str, p: PackingParameters) -> DataFrame:
     """(id, piece, start, length, ids_crc32); narrow. The ids themselves don't leave the task."""
-    kind = dict(docs.dtypes)[id_column]
-
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encode = process_cache(("encoder", p), lambda: Encoder(p))
         end = np.array([p.end_id], dtype="<u4")
@@ -103,7 +101,8 @@ def token_pieces(docs: DataFrame, id_column: str, text_column: str, p: PackingPa
                     crc.append(zlib.crc32(ids[a:b].tobytes()))
             yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(rows, pa.int64())), pa.array(piece, pa.int32()), pa.array(start, pa.int64()), pa.array(length, pa.int64()), pa.array(crc, pa.int64())], names=[id_column, "piece", "start", "length", "ids_crc32"])
 
-    return docs.select(id_column, text_column).transform(arrow_map, cut, f"{id_column} {kind}, piece int, start long, length long, ids_crc32 long")
+    schema = fields(docs, [id_column], ("piece", "int"), ("start", "long"), ("length", "long"), ("ids_crc32", "long"))
+    return docs.select(column(id_column), column(text_column)).transform(arrow_map, cut, schema)
 
 
 def ordered(lengths: Iterable[int], order: int) -> list[int]:
@@ -180,12 +179,17 @@ def _planned(counts: dict[int, int], capacity: int, order: int) -> tuple[np.ndar
 
 
 def ranked(df: DataFrame, group: str, order: list[str], buckets: int, name: str) -> DataFrame:
-    """``df`` with a gapless rank from 0 within each value of ``group``: bucket offsets plus ranks within the buckets."""
-    spread = df.withColumn("_bucket", F.pmod(F.xxhash64(*order), F.lit(buckets)).cast("int"))
+    """``df`` with a gapless rank from 0 within each value of ``group``: bucket offsets plus ranks within the buckets.
+
+    ``df`` has been settled, so that a row's partition is the same in each reading; rows that are equal in all of
+    ``order`` are dealt by it and don't meet in one bucket.
+    """
+    keys = [column(c) for c in order]
+    spread = df.withColumn("_bucket", F.pmod(F.xxhash64(*keys, F.spark_partition_id()), F.lit(buckets)).cast("int"))
     sizes = spread.groupBy(group, "_bucket").agg(F.count("*").alias("_n"))
     before = Window.partitionBy(group).orderBy("_bucket").rowsBetween(Window.unboundedPreceding, -1)
     starts = sizes.select(F.col(group).alias("_g"), F.col("_bucket").alias("_b"), F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_from"))
-    within = Window.partitionBy(group, "_bucket").orderBy(*order)
+    within = Window.partitionBy(group, "_bucket").orderBy(*keys)
     placed = spread.withColumn("_at", F.row_number().over(within) - 1)
     joined = placed.join(starts, (F.col(group) == F.col("_g")) & (F.col("_bucket") == F.col("_b")))
     return joined.withColumn(name, F.col("_from") + F.col("_at")).drop("_bucket", "_at", "_g", "_b", "_from")
@@ -199,7 +203,7 @@ def pack_pieces(pieces: DataFrame, order: list[str], p: PackingParameters = PARA
     order_of = np.lexsort((plan[:, 1], plan[:, 0]))
     plan = plan[order_of]
     sent = pieces.sparkSession.sparkContext.broadcast(plan)  # at most capacity patterns of bounded size
-    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in pieces.schema) + ", sequence_id long, offset long"
+    schema = fields(pieces, pieces.columns, ("sequence_id", "long"), ("offset", "long"))
 
     def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = sent.value

@@ -7,7 +7,8 @@ weight. Places within a shard are counted from sizes of key buckets and a rank w
 bucket, so no task holds a shard.
 
 Edge cases: a null text has no bytes; a null key is a key of its own, the empty string.
-Rows with equal keys go to one shard, whatever their texts. Extra columns don't matter.
+Rows with equal keys go to one shard, whatever their texts; their places are counted by the
+partitions that they come from, so that one task doesn't rank them all. Extra columns don't matter.
 """
 
 from __future__ import annotations
@@ -15,6 +16,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from .session import column, settle
+
 
 def uniform(*parts: Column | str) -> Column:
     """Uniform in (0, 1) from the first 13 hex digits of an md5, exact in a double."""
@@ -34,14 +37,14 @@ def shard_documents(docs: DataFrame, shards: int = 24, weights: dict[int, float]
     """id, size, text_crc32, law, shard, slot, and grown_shard: the shard if there were one shard more, of mean weight."""
     held = weights or dict.fromkeys(range(shards), 1.0)
     grown = held | {max(held) + 1: sum(held.values()) / len(held)}
-    key = F.coalesce(F.col(id_column).cast("string"), F.lit(""))
-    text = F.coalesce(F.col(text_column), F.lit(""))
+    key = F.coalesce(column(id_column).cast("string"), F.lit(""))
+    text = F.coalesce(column(text_column), F.lit(""))
     rows = docs.select(
-        F.col(id_column),
+        column(id_column).alias("id"),
         (F.octet_length(text) + 8).cast("long").alias("size"),
         F.crc32(F.encode(text, "UTF-8")).alias("text_crc32"),
         rendezvous(key, held).alias("shard"),
-        F.substring(F.md5(key), 1, 3).alias("bucket"),
+        F.pmod(F.xxhash64(key, F.spark_partition_id()), F.lit(4096)).cast("int").alias("bucket"),
         key.alias("key"),
     )
     added = max(grown)
@@ -50,9 +53,10 @@ def shard_documents(docs: DataFrame, shards: int = 24, weights: dict[int, float]
     for shard, w in sorted(held.items(), reverse=True):
         mine = F.when(F.col("shard") == shard, F.lit(-float(w)) / F.ln(uniform(F.col("key"), str(shard)))).otherwise(mine)
     rows = rows.withColumn("grown_shard", F.when(beats > mine, F.lit(added)).otherwise(F.col("shard")).cast("int"))
+    rows = settle(rows)
     sizes = rows.groupBy("shard", "bucket").agg(F.count("*").alias("n"))
     before = Window.partitionBy("shard").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
     starts = sizes.select(F.col("shard").alias("s"), F.col("bucket").alias("b"), F.coalesce(F.sum("n").over(before), F.lit(0)).alias("start"))
     within = Window.partitionBy("shard", "bucket").orderBy("key", "text_crc32", "size")
     placed = rows.withColumn("at", F.row_number().over(within) - 1).join(starts, (F.col("shard") == F.col("s")) & (F.col("bucket") == F.col("b")))
-    return placed.select(id_column, "size", "text_crc32", F.lit("key").alias("law"), "shard", (F.col("start") + F.col("at")).cast("long").alias("slot"), "grown_shard")
+    return placed.select(F.col("id").alias(id_column), "size", "text_crc32", F.lit("key").alias("law"), "shard", (F.col("start") + F.col("at")).cast("long").alias("slot"), "grown_shard")
