@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .session import arrow_map, settle
+from .session import arrow_map, column, fields, settle
 from .textscan import NOT_ALNUM, Hasher, Texts, Words, chained, lower_table, row_sums, sliced, texts_of
 
 
@@ -135,7 +135,7 @@ def _item_patterns(batches: Iterator[pa.RecordBatch], width: int) -> Iterator[pa
 
 def pattern_blocks(benchmark: DataFrame, id_column: str, text_column: str, p: SearchParameters) -> tuple[DataFrame, int]:
     """(pattern, items, block) and the number of blocks; each block holds about block_patterns patterns."""
-    source = benchmark.select(F.coalesce(F.col(id_column).cast("string"), F.lit("")).alias("item"), F.col(text_column).alias("text"))
+    source = benchmark.select(F.coalesce(column(id_column).cast("string"), F.lit("")).alias("item"), column(text_column).alias("text"))
     runs = source.transform(arrow_map, lambda b: _item_patterns(b, p.width), "item string, pattern string")
     runs = settle(runs.groupBy("pattern").agg(F.sort_array(F.collect_set("item")).alias("items")))
     n = max(1, -(-runs.count() // p.block_patterns))
@@ -160,34 +160,37 @@ def _search(docs: DataFrame, patterns: DataFrame, n_blocks: int, p: SearchParame
     return out
 
 
-def find_contamination(docs: DataFrame, benchmark: DataFrame, id_column: str = "doc_id", text_column: str = "text", item_column: str = "item_id", parameters: SearchParameters = PARAMETERS) -> DataFrame:
-    """One row per row of ``docs``: id, n_words, n_hit, n_items, items (ids as sorted strings), contaminated."""
+def find_contamination(docs: DataFrame, benchmark: DataFrame, id_column: str = "doc_id", text_column: str = "text", item_column: str = "item_id", item_text_column: str | None = None, parameters: SearchParameters = PARAMETERS) -> DataFrame:
+    """One row per row of ``docs``: id, n_words, n_hit, n_items, items (ids as sorted strings), contaminated.
+
+    The benchmark's texts are in ``item_text_column``, or in a column of the same name as the documents'.
+    """
     p = parameters
-    patterns, n_blocks = pattern_blocks(benchmark, item_column, text_column, p)
-    texts = docs.select(id_column, F.col(text_column).alias("text"))
+    patterns, n_blocks = pattern_blocks(benchmark, item_column, item_text_column or text_column, p)
+    texts = docs.select(column(id_column).alias("id"), column(text_column).alias("text"))
     if n_blocks > 1:
         return _united(texts, id_column, patterns, n_blocks, p)
-    schema = f"{id_column} {dict(docs.dtypes)[id_column]}, n_words long, n_hit long, items array<string>"
+    schema = fields(texts, ["id"], ("n_words", "long"), ("n_hit", "long"), ("items", "array<string>"))
 
     def emit(batch: pa.RecordBatch, search: Searcher, labels: list[str]) -> Iterator[pa.RecordBatch]:
         for rows, part in sliced(batch, "text"):
             counts, hit, found = search(part)
             yield pa.RecordBatch.from_arrays(
-                [rows.column(0), pa.array(counts, pa.int64()), pa.array(hit, pa.int64()), pa.array([sorted(labels[k] for k in f if labels[k]) for f in found], pa.list_(pa.string()))], names=[id_column, "n_words", "n_hit", "items"]
+                [rows.column(0), pa.array(counts, pa.int64()), pa.array(hit, pa.int64()), pa.array([sorted(labels[k] for k in f if labels[k]) for f in found], pa.list_(pa.string()))], names=["id", "n_words", "n_hit", "items"]
             )
 
     return _described(_search(texts, patterns, 1, p, schema, emit)[0], id_column)
 
 
 def _described(found: DataFrame, id_column: str) -> DataFrame:
-    return found.select(id_column, "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), "items", (F.col("n_hit") > 0).alias("contaminated"))
+    return found.select(F.col("id").alias(id_column), "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), "items", (F.col("n_hit") > 0).alias("contaminated"))
 
 
 def _united(texts: DataFrame, id_column: str, patterns: DataFrame, n_blocks: int, p: SearchParameters) -> DataFrame:
     """Several passes: the hit words of a text are united as runs of positions."""
     keyed = texts.withColumn("row_key", F.xxhash64("text"))
     schema = "id_key string, row_key long, n_words long, runs array<struct<a:long,b:long>>, items array<string>"
-    keyed = keyed.select(F.col(id_column).cast("string").alias("id_key"), "row_key", "text").distinct()
+    keyed = keyed.select(F.col("id").cast("string").alias("id_key"), "row_key", "text")  # rows that repeat add runs that unite with their own
 
     def emit(batch: pa.RecordBatch, search: Searcher, labels: list[str]) -> Iterator[pa.RecordBatch]:
         for rows, part in sliced(batch, "text"):
@@ -211,14 +214,14 @@ def _united(texts: DataFrame, id_column: str, patterns: DataFrame, n_blocks: int
     step = lambda s, r: F.struct((s["hit"] + F.greatest(F.lit(0), r["b"] - F.greatest(r["a"], s["end"]))).alias("hit"), F.greatest(s["end"], r["b"]).alias("end"))
     zero = F.struct(F.lit(0).cast("long").alias("hit"), F.lit(0).cast("long").alias("end"))
     merged = merged.withColumn("n_hit", F.aggregate("runs", zero, step, lambda s: s["hit"]))
-    rows = texts.select(id_column, F.col(id_column).cast("string").alias("id_of"), F.xxhash64("text").alias("key_of"))
+    rows = texts.select("id", F.col("id").cast("string").alias("id_of"), F.xxhash64("text").alias("key_of"))
     joined = rows.join(merged, F.col("id_of").eqNullSafe(F.col("id_key")) & (F.col("key_of") == F.col("row_key")))
     return _described(joined, id_column)
 
 
-def drop_contaminated(docs: DataFrame, benchmark: DataFrame, id_column: str = "doc_id", text_column: str = "text", item_column: str = "item_id", parameters: SearchParameters = PARAMETERS) -> DataFrame:
+def drop_contaminated(docs: DataFrame, benchmark: DataFrame, id_column: str = "doc_id", text_column: str = "text", item_column: str = "item_id", item_text_column: str | None = None, parameters: SearchParameters = PARAMETERS) -> DataFrame:
     """The rows of ``docs`` without any occurrence, all columns kept; narrow, one pass for each block of patterns."""
-    patterns, n_blocks = pattern_blocks(benchmark, item_column, text_column, parameters)
+    patterns, n_blocks = pattern_blocks(benchmark, item_column, item_text_column or text_column, parameters)
     place = docs.columns.index(text_column)
 
     def emit(batch: pa.RecordBatch, search: Searcher, labels: list[str]) -> Iterator[pa.RecordBatch]:

@@ -20,7 +20,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .session import arrow_map
+from .session import arrow_map, column, fields
 from .textscan import BLANKS, Hasher, Texts, Words, chained, code_points, mix64, row_sums, separator_table, sliced
 
 SYMBOLS = separator_table(b"#*$%&|<>")
@@ -151,16 +151,16 @@ def _windows(hashes: np.ndarray, starts: np.ndarray, n: int) -> np.ndarray:
 def measure_quality(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", rules: RepetitionRules = RULES) -> DataFrame:
     """One row of measures and verdicts for each row of ``docs``; narrow, no shuffle."""
     longs = [*MEASURES, "dup_line_chars", *(f"covered_{n}" for n, _ in rules.max_covered_percent)]
-    schema = f"{id_column} {dict(docs.dtypes)[id_column]}, " + ", ".join(f"{c} long" for c in longs) + ", base_failed boolean, kept boolean"
+    schema = fields(docs, [id_column], *((c, "long") for c in longs), ("base_failed", "boolean"), ("kept", "boolean"))
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         measure = RepetitionScan(rules)
         for batch in batches:
-            for rows, texts in sliced(batch, text_column):
+            for rows, texts in sliced(pa.RecordBatch.from_arrays(batch.columns, names=["id", "text"]), "text"):
                 out = measure(texts)
                 yield pa.RecordBatch.from_arrays([rows.column(0), *(pa.array(out[c]) for c in longs), pa.array(out["base_failed"]), pa.array(out["kept"])], names=[id_column, *longs, "base_failed", "kept"])
 
-    return docs.select(id_column, text_column).transform(arrow_map, scan, schema)
+    return docs.select(column(id_column), column(text_column)).transform(arrow_map, scan, schema)
 
 
 def filter_quality(docs: DataFrame, text_column: str = "text", rules: RepetitionRules = RULES) -> DataFrame:

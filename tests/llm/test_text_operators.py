@@ -135,6 +135,14 @@ def test_clashing_names(spark):
     docs = spark.createDataFrame([(i, prose(1, 60), *range(len(names))) for i in (3, 3, 4)] + [(5, "w " * 70, *range(len(names)))], "`doc id` long, text string, " + ", ".join(f"`{n}` int" for n in names))
     kept = keep_one_of_each(docs, "doc id")
     assert kept.columns == docs.columns and sorted(r[0] for r in kept.collect()) == [3, 5]
+    other = docs.withColumnRenamed("text", "body").withColumnRenamed("doc id", "text").withColumnRenamed("seen_id", "id")
+    items = spark.createDataFrame([(1, "w " * 12)], "item long, passage string")
+    for p in (SearchParameters(), SearchParameters(block_patterns=1)):
+        found = find_contamination(other, items, "text", "body", "item", "passage", p)
+        assert {r.text: r.contaminated for r in found.collect()} == {3: False, 4: False, 5: True}
+    assert drop_contaminated(other, items, "text", "body", "item", "passage").columns == other.columns
+    assert {r.text for r in measure_quality(other, "text", "body").collect()} == {3, 4, 5}
+    assert len(shard_documents(other, id_column="text", text_column="body").collect()) == 4
 
 
 def test_components_odd_rows(spark):
@@ -190,9 +198,8 @@ def test_sharding(spark, middle):
     for r in rows:
         raw = (texts[r.doc_id] or "").encode()
         assert r["size"] == len(raw) + 8 and r.text_crc32 == zlib.crc32(raw) and r.law == "key"
-        assert r.grown_shard in (r.shard, 24)
-        u = [(int(hashlib.md5(f"{r.doc_id}|{s}".encode()).hexdigest()[:13], 16) + 0.5) / 2**52 for s in range(24)]
-        assert r.shard == u.index(max(u))
+        u = [(int(hashlib.md5(f"{r.doc_id}|{s}".encode()).hexdigest()[:13], 16) + 0.5) / 2**52 for s in range(25)]
+        assert r.shard == u.index(max(u[:24])) and r.grown_shard == u.index(max(u))
         slots.setdefault(r.shard, []).append(r.slot)
     assert all(sorted(s) == list(range(len(s))) for s in slots.values()) and set(slots) == set(range(24))
 
@@ -200,6 +207,8 @@ def test_sharding(spark, middle):
 def test_weighted_shards(spark):
     docs = spark.range(4000).selectExpr("id as doc_id", "cast(id as string) as text")
     rows = shard_documents(docs, weights={0: 1.0, 1: 3.0, 2: 0.0}).collect()
+    same = shard_documents(spark.range(0, 5000, 1, 8).selectExpr("7L as doc_id", "'x' as text")).collect()
+    assert sorted(r.slot for r in same) == list(range(5000)) and len({r.shard for r in same}) == 1
     share = sum(r.shard == 1 for r in rows) / len(rows)
     assert 0.72 < share < 0.78 and not any(r.shard == 2 for r in rows)
 
