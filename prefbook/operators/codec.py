@@ -3,14 +3,17 @@
 from __future__ import annotations
 
 import heapq
+import re
 from collections.abc import Iterator
 from itertools import combinations
 from math import ceil, log2
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_type
+from pyspark.sql.types import StructType
 
 
 def code_lengths(q: list[float], how: str = "ceil") -> dict[int, int]:
@@ -82,23 +85,101 @@ def decode_by_trial(bits: str, q: np.ndarray, length: int, how: str = "ceil") ->
     return [(k, s) for k, s in tried if s is not None and len(s) == length]
 
 
-def roundtrip(df: DataFrame, item: str, text: str, classes: list[str], q: np.ndarray, how: str = "ceil") -> DataFrame:
-    """(item_id, symbols, book, bits, same): whole texts coded and decoded in Arrow batches."""
-    sent = df.sparkSession.sparkContext.broadcast(q)
+class Codes:
+    """Codewords and lengths of all books, made once; a symbol that a book lacks has no codeword there."""
+
+    def __init__(self, q: np.ndarray, how: str = "ceil"):
+        self.codes = [integer_code(list(row), how) for row in q]
+        self.lengths = np.full(q.shape, np.inf)
+        for k, code in enumerate(self.codes):
+            for s, (bits, _) in code.items():
+                self.lengths[k, s] = bits
+        self.words = [{s: word for s, (_, word) in code.items()} for code in self.codes]
+        self.symbols = [{word: chr(s) for s, word in words.items()} for words in self.words]
+        self.patterns = [re.compile("|".join(sorted(x, key=len))) for x in self.symbols]
+
+    def cheapest(self, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The book and the bits of each row of symbol counts; infinite where no book has all the symbols."""
+        finite = np.where(np.isfinite(self.lengths), self.lengths, 0.0)
+        bits = counts @ finite.T
+        bits[(counts > 0).astype(float) @ (~np.isfinite(self.lengths)).T.astype(float) > 0] = np.inf
+        return bits.argmin(axis=1), bits.min(axis=1)
+
+    def encode(self, symbols: str, book: int) -> str:
+        """Bits of a sequence of symbols, each symbol being the character of its number."""
+        return symbols.translate({s: word for s, word in self.words[book].items()})
+
+    def decode(self, bits: str, book: int) -> str | None:
+        """Symbols under one book, None where the bits are no whole sequence of its codewords."""
+        words = self.patterns[book].findall(bits)
+        if sum(map(len, words)) != len(bits):
+            return None
+        return "".join(map(self.symbols[book].__getitem__, words))
 
-    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        books = sent.value
-        for frame in frames:
-            rows = []
-            for i, t in zip(frame["item_id"], frame["text"]):
-                symbols = classes_of(t or "", classes)
-                coded = encode(symbols, books, how)
-                back = decode(coded[1], list(books[coded[0]]), how) if coded else None
-                rows.append((i, len(symbols), coded[0] if coded else None, len(coded[1]) if coded else None, back == symbols))
-            yield pd.DataFrame(rows, columns=["item_id", "symbols", "book", "bits", "same"])
 
+class _Else(dict):
+    """A translation table with a value for all other characters."""
+
+    def __init__(self, table: dict[int, str], other: str):
+        super().__init__(table)
+        self.other = other
+
+    def __missing__(self, key: int) -> str:
+        self[key] = self.other
+        return self.other
+
+    def of(self, text: str | None) -> str:
+        return (text or "").translate(self)
+
+
+def _coded(df: DataFrame, item: str, text: str, classes: list[str], q: np.ndarray, how: str, schema: str, rows) -> DataFrame:
+    sent = df.sparkSession.sparkContext.broadcast(q)
     source = df.select(F.col(item).alias("item_id"), F.col(text).alias("text"))
-    return source.mapInPandas(run, "item_id long, symbols long, book int, bits long, same boolean")
+    table = StructType([source.schema["item_id"], *StructType.fromDDL(schema).fields])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        codes = Codes(sent.value, how)
+        n = sent.value.shape[1]
+        marks = _Else({ord(c): chr(k) for k, group in enumerate(classes) for c in group}, chr(len(classes)))
+        for batch in batches:
+            symbols = [marks.of(t) for t in batch.column(1).to_pylist()]
+            counts = np.array([[s.count(chr(k)) for k in range(n)] for s in symbols], dtype=float).reshape(-1, n)
+            books, bits = codes.cheapest(counts)
+            found = [rows(codes, s, int(k), b) for s, k, b in zip(symbols, books, bits)]
+            columns = list(zip(*found)) if found else [()] * (len(table) - 1)
+            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, to_arrow_type(f.dataType)) for c, f in zip(columns, table.fields[1:]))], names=table.names)
+
+    return source.mapInArrow(run, table)
+
+
+def roundtrip(df: DataFrame, item: str, text: str, classes: list[str], q: np.ndarray, how: str = "ceil") -> DataFrame:
+    """(item_id, symbols, book, bits, same): whole texts coded with the cheapest book and decoded, by tables made once a task."""
+
+    def row(codes: Codes, symbols: str, book: int, bits: float) -> tuple:
+        if not np.isfinite(bits):
+            return len(symbols), None, None, False
+        coded = codes.encode(symbols, book)
+        return len(symbols), book, len(coded), codes.decode(coded, book) == symbols
+
+    return _coded(df, item, text, classes, q, how, "symbols long, book int, bits long, same boolean", row)
+
+
+def trial_decoding(df: DataFrame, item: str, text: str, classes: list[str], q: np.ndarray, how: str = "ceil") -> DataFrame:
+    """(item_id, symbols, book, candidates, found): the receiver isn't told the book and tries all cached ones.
+
+    Candidates are the books under which the bits are a whole number of codewords and give as many symbols as were sent;
+    found says that the sender's book is one of them and gives the symbols that were sent.
+    """
+
+    def row(codes: Codes, symbols: str, book: int, bits: float) -> tuple:
+        if not np.isfinite(bits):
+            return len(symbols), None, 0, False
+        coded = codes.encode(symbols, book)
+        tried = {k: codes.decode(coded, k) for k in range(len(codes.codes))}
+        fit = [k for k, s in tried.items() if s is not None and len(s) == len(symbols)]
+        return len(symbols), book, len(fit), book in fit and tried[book] == symbols
+
+    return _coded(df, item, text, classes, q, how, "symbols long, book int, candidates int, found boolean", row)
 
 
 def user_channels(users: int) -> list[tuple[int, ...]]:

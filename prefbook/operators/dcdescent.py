@@ -35,13 +35,22 @@ def objective(sums: Sums) -> float:
     return convex - concave
 
 
+def surrogate(sums: Sums, slope: np.ndarray) -> float:
+    """What an inner solve lowers: the first part less the tangent of the second, up to a constant."""
+    return split(sums)[0] - float((slope * sums.s).sum())
+
+
 def slopes(sums: Sums) -> np.ndarray:
     """Gradient of the second part, up to a constant that all shares feel alike."""
     return np.log2(np.maximum(sums.s, FLOOR))
 
 
-def descend(engine, runs: list[Run], eps: float = TOLERANCE, inner: int = 20, outer: int = 200, rounding: str = "nearest", fixed: bool = False) -> list[Design]:
-    """Designs of all runs. ``rounding``: 'argmax' gives each item to its likeliest book, 'nearest' to its cheapest, which is never worse."""
+def descend(engine, runs: list[Run], eps: float = TOLERANCE, inner: int = 5, outer: int = 100_000, rounding: str = "nearest", fixed: bool = False) -> list[Design]:
+    """Designs of all runs. ``rounding``: 'argmax' gives each item to its likeliest book, 'nearest' to its cheapest, which is never worse.
+
+    A run ends when the objective falls by no more than ``eps`` in an outer step. An inner solve ends after ``inner``
+    steps or where one lowers its convex problem by no more than a hundredth of ``eps``; ``fixed``: exactly so many steps.
+    """
     n = engine.n
     state = {r.run_id: (r.layout, r.seed, np.zeros(r.layout.books), np.zeros((r.layout.books, n))) for r in runs}
     designs = {r.run_id: Design(r, np.zeros((r.layout.books, n))) for r in runs}
@@ -54,11 +63,16 @@ def descend(engine, runs: list[Run], eps: float = TOLERANCE, inner: int = 20, ou
             break
         began = time.time()
         slope = {k: slopes(now[k]) for k in active}
+        left = {k: surrogate(now[k], slope[k]) for k in active}
         for _ in range(inner):
-            for k in active:
+            for k in left:
                 layout, seed, a, b = state[k]
                 state[k] = (layout, seed, a + np.log2(np.maximum(now[k].t, FLOOR)), b + slope[k])
-            now |= engine.soft({k: state[k] for k in active})
+            now |= engine.soft({k: state[k] for k in left})
+            value = {k: surrogate(now[k], slope[k]) for k in left}
+            left = {k: value[k] for k in left if fixed or left[k] - value[k] > eps / 100}
+            if not left:
+                break
         for k in list(active):
             value = objective(now[k])
             drop = designs[k].trace[-1][1] - value

@@ -26,8 +26,8 @@ def pair_costs(points: DataFrame, grid: int) -> DataFrame:
     return both.groupBy(F.col("x.k").alias("a"), F.col("y.k").alias("b")).agg(F.sum(F.col("f") * F.least("x.c", "y.c")).alias("cost"))
 
 
-def search(points: DataFrame, grid: int = 24, rounds: int = 3) -> tuple[np.ndarray, float]:
-    """Best two codebooks of three symbols: all pairs of a lattice, then of ever finer lattices around the best pair.
+def search(points: DataFrame, grid: int = 24, rounds: int = 3, starts: int = 6) -> tuple[np.ndarray, float]:
+    """Best two codebooks of three symbols: all pairs of a lattice, then of ever finer lattices around several of the best pairs.
 
     Candidates are spread over tasks; the points, a table of checked size, are sent to each.
     """
@@ -35,7 +35,8 @@ def search(points: DataFrame, grid: int = 24, rounds: int = 3) -> tuple[np.ndarr
     spark = points.sparkSession
     p, w = engine.p, engine.w.sum(axis=1)
 
-    def best(left: np.ndarray, right: np.ndarray) -> tuple[float, np.ndarray]:
+    def best(left: np.ndarray, right: np.ndarray, many: int) -> list[tuple[float, np.ndarray]]:
+        """The cheapest partner of each left codebook, and the ``many`` cheapest of these pairs."""
         sent = spark.sparkContext.broadcast((p, w, left, right))
 
         def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -47,21 +48,33 @@ def search(points: DataFrame, grid: int = 24, rounds: int = 3) -> tuple[np.ndarr
                     yield pd.DataFrame({"i": [i], "j": [int(costs.argmin())], "cost": [float(costs.min())]})
 
         asked = spark.createDataFrame([(i,) for i in range(len(left))], "i int").repartition(min(len(left), 64))
-        won = asked.mapInPandas(work, "i int, j int, cost double").agg(F.min(F.struct("cost", "i", "j")).alias("b")).first()["b"]
-        return won["cost"], np.array([left[won["i"]], right[won["j"]]])
+        won = asked.mapInPandas(work, "i int, j int, cost double").orderBy("cost", "i").limit(many).collect()
+        return [(r["cost"], np.array([left[r["i"]], right[r["j"]]])) for r in won]
 
     cells = np.array([r["p"] for r in simplex.lattice(spark, grid).orderBy("item_id").collect()])  # grid * grid rows
-    cost, books = best(cells, cells)
-    step = 1.0 / grid
-    for _ in range(rounds):
-        near = [_around(q, step) for q in books]
-        now, found = best(near[0], near[1])
-        if now < cost:
-            cost, books = now, found
-        step /= 4
+    found = best(cells, cells, 2 * starts)[::2]  # each pair is found from both ends
+    out = []
+    for cost, books in found:
+        step = 1.0 / grid
+        for _ in range(rounds):
+            left, right = (_around(q, step) for q in books)
+            now = _cheapest(p, w, left, right)
+            if now[0] < cost:
+                cost, books = now
+            step /= 4
+        out.append((cost, books))
+    cost, books = min(out, key=lambda x: x[0])
     return books, cost
 
 
+def _cheapest(p: np.ndarray, w: np.ndarray, left: np.ndarray, right: np.ndarray) -> tuple[float, np.ndarray]:
+    """The cheapest pair of two lists of at most 81 codebooks each."""
+    far, near = cross(p, right), cross(p, left)
+    costs = np.array([w @ np.minimum(near[:, i : i + 1], far) for i in range(len(left))])
+    i, j = np.unravel_index(costs.argmin(), costs.shape)
+    return float(costs[i, j]), np.array([left[i], right[j]])
+
+
 def _around(q: np.ndarray, step: float) -> np.ndarray:
     moves = np.array([(a, b) for a in np.linspace(-step, step, 9) for b in np.linspace(-step, step, 9)])
     found = np.column_stack([q[0] + moves[:, 0], q[1] + moves[:, 1]])

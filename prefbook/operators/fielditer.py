@@ -10,9 +10,9 @@ from prefbook.plans.engine import Layout
 from prefbook.plans.planner import solve
 
 
-def nodes(spark: SparkSession, n: int, grid: int, density: str, seed: int = 5) -> DataFrame:
-    """(item_id, p, f): cells of a lattice for three symbols, hashed points for more; f is the density's mass."""
-    points = simplex.lattice(spark, grid) if n == 3 else simplex.uniform_points(spark.range(grid * grid).withColumnRenamed("id", "item_id"), n, seed)
+def nodes(spark: SparkSession, n: int, grid: int, density: str) -> DataFrame:
+    """(item_id, p, f): cells of a lattice for three symbols, low-discrepancy points for more; f is the density's mass."""
+    points = simplex.lattice(spark, grid) if n == 3 else simplex.spread_points(spark.range(grid * grid).withColumnRenamed("id", "item_id"), n)
     return simplex.weigh(points, n, density)
 
 

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from prefbook.operators.assign import channels as assigned
 from prefbook.operators.refine import Design, Run
 from prefbook.plans.engine import Layout, SparkEngine
-from prefbook.plans.planner import solve
+from prefbook.plans.planner import solve, sweep
 from prefbook.schemas import ITEM_LENGTH
 
 
@@ -76,6 +76,47 @@ def channels(joint: DataFrame) -> DataFrame:
     return rows.join(columns, "item_id", "full").select("item_id", *(F.coalesce(c, F.lit(0.0)).alias(c) for c in ("w0", "w1", "w2")))
 
 
+def channels_by_bucket(log: DataFrame, bucket: Column) -> DataFrame:
+    """The channels of ``joint_by_bucket`` without its pairs, linear in the requests.
+
+    An item's share of all pairs is its count times the other cohort's total in each bucket; those with itself are
+    the product of its two counts.
+    """
+    counts = log.groupBy(bucket.alias("bucket"), "item").agg(*(F.count_if(F.col("cohort") == c).cast("double").alias(f"c{c}") for c in (0, 1)))
+    totals = counts.groupBy("bucket").agg(F.sum("c0").alias("t0"), F.sum("c1").alias("t1"))
+    both = counts.join(totals, "bucket").groupBy(F.col("item").alias("item_id")).agg(
+        F.sum(F.col("c0") * F.col("c1")).alias("same"), F.sum(F.col("c0") * F.col("t1")).alias("row"), F.sum(F.col("c1") * F.col("t0")).alias("column")
+    )
+    return _as_channels(both)
+
+
+def channels_by_interval(log: DataFrame, minutes: int) -> DataFrame:
+    """The channels of ``joint_by_interval`` without its pairs.
+
+    The other cohort's requests around one are counted by a frame of time within buckets; each request stands in its own
+    bucket as one that asks, and in that and its neighbours as one that is counted. Those for the same item are counted
+    by a frame within item and bucket.
+    """
+    width = 60 * minutes
+    timed = log.select("cohort", "item", F.unix_timestamp(F.col("ts").cast("timestamp")).alias("s")).withColumn("own", F.floor(F.col("s") / width))
+    spread = timed.withColumn("bucket", F.explode(F.array(*(F.col("own") + d for d in (-1, 0, 1)))))
+    near = lambda *by: Window.partitionBy(*by, "bucket").orderBy("s").rangeBetween(-width, width)
+    other = lambda w: F.when(F.col("cohort") == 0, F.count_if(F.col("cohort") == 1).over(w)).otherwise(F.count_if(F.col("cohort") == 0).over(w)).cast("double")
+    counted = spread.withColumns({"around": other(near()), "same": other(near("item"))}).filter("bucket = own")
+    sums = counted.groupBy(F.col("item").alias("item_id")).agg(
+        F.sum(F.when(F.col("cohort") == 0, F.col("same"))).alias("same"), *(F.sum(F.when(F.col("cohort") == c, F.col("around"))).alias(name) for c, name in ((0, "row"), (1, "column")))
+    )
+    return _as_channels(sums.fillna(0.0, ["same", "row", "column"]))
+
+
+def _as_channels(sums: DataFrame) -> DataFrame:
+    """(item_id, w0, w1, w2) of the items that occur in a pair, from counts of pairs."""
+    total = sums.agg(F.sum("row").alias("total"))
+    part = lambda c: F.col(c) / F.col("total")
+    rows = sums.filter("row > 0 or column > 0").crossJoin(F.broadcast(total))
+    return rows.select("item_id", part("same").alias("w0"), ((F.col("row") - F.col("same")) / F.col("total")).alias("w1"), ((F.col("column") - F.col("same")) / F.col("total")).alias("w2"))
+
+
 def even_channels(items: DataFrame, alpha: float) -> DataFrame:
     """Channels of the two-level matrix with trace alpha, in closed form: no matrix is built."""
     count = items.agg(F.count("*").alias("j"))
@@ -116,15 +157,24 @@ def layouts(k1t: int, k2t: int, zero: bool = False) -> list[Layout]:
 def design(items: DataFrame, n: int, k1t: int, k2t: int, method: str = "refine", restarts: int = 2, zero: bool = False, **options) -> list[Design]:
     """The best design for each number of common books; all numbers and restarts are runs of one sweep."""
     runs = [Run(i * restarts + r, layout, seed=r + 1) for i, layout in enumerate(layouts(k1t, k2t, zero)) for r in range(restarts)]
-    found = solve(items, n, runs, method, **options)
+    return _best_by_k0(solve(items, n, runs, method, **options))
+
+
+def _best_by_k0(designs: list[Design]) -> list[Design]:
     best: dict[int, Design] = {}
-    for d in found:
+    for d in designs:
         k0 = d.run.layout.k0
         if k0 not in best or d.cost < best[k0].cost:
             best[k0] = d
     return [best[k] for k in sorted(best)]
 
 
+def design_sweep(problems: dict, n: int, k1t: int, k2t: int, method: str = "refine", restarts: int = 2, zero: bool = False, **options) -> dict:
+    """``design`` for several demands at once: all problems, numbers of common books and restarts are runs of one job."""
+    runs = [Run(i * restarts + r, layout, seed=r + 1) for i, layout in enumerate(layouts(k1t, k2t, zero)) for r in range(restarts)]
+    return {key: _best_by_k0(found) for key, found in sweep(problems, n, runs, method, **options).items()}
+
+
 def select(designs: list[Design]) -> Design:
     """The cheapest number of common books; ties go to fewer."""
     return min(designs, key=lambda d: (d.cost, d.run.layout.k0))

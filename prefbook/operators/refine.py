@@ -79,11 +79,14 @@ def means(sums: Sums, q: np.ndarray) -> np.ndarray:
     return np.where(total > 0, sums.s / np.where(total > 0, total, 1.0), q)
 
 
-def refine(engine, runs: list[Run], iterations: int = 100, eps: float = TOLERANCE, power: float = 2.0, mix: float = 0.0, start: dict[int, np.ndarray] | None = None, fixed: bool = False, seeding: str = "plusplus") -> list[Design]:
+def refine(engine, runs: list[Run], iterations: int = 100, eps: float = TOLERANCE, power: float = 2.0, mix: float = 0.0, start: dict[int, np.ndarray] | None = None, fixed: bool = False, seeding: str = "plusplus", stop: str = "either") -> list[Design]:
     """Designs of all runs, one pass for all of them an iteration; ``fixed``: exactly that many updates.
 
-    A run ends when its cost falls by no more than ``eps`` or its books no longer move.
+    ``stop`` says when a run ends: 'cost', when its cost falls by no more than ``eps``; 'books', when the fixed-point
+    equations hold, that is no share of any book moves by more than ``eps``; 'either', at the first of the two.
     """
+    if stop not in ("cost", "books", "either"):
+        raise ValueError(stop)
     q = start or ({r.run_id: seed_parallel(engine, r) for r in runs} if seeding == "parallel" else seed_books(engine, runs, power, mix))
     designs = {r.run_id: Design(r, q[r.run_id]) for r in runs}
     active = {r.run_id: r for r in runs}
@@ -97,7 +100,9 @@ def refine(engine, runs: list[Run], iterations: int = 100, eps: float = TOLERANC
             cost = float(sums.cost.sum())
             d.trace.append((i, cost, time.time() - began))
             moved = means(sums, d.q)
-            done = i == iterations or (not fixed and (d.cost - cost <= eps and i > 0 or np.array_equal(moved, d.q)))
+            still = stop != "books" and i > 0 and d.cost - cost <= eps
+            settled = stop != "cost" and float(np.abs(moved - d.q).max()) <= (eps if stop == "books" else 0.0)
+            done = i == iterations or (not fixed and (still or settled or np.array_equal(moved, d.q)))
             d.cost, d.used = cost, sums.t > 0
             if done:
                 del active[k]

@@ -19,6 +19,26 @@ def uniform_points(ids: DataFrame, n: int, seed: int, id_column: str = "item_id"
     return drawn.select("item_id", F.array(*(F.col("e")[i] / total for i in range(n))).alias("p"))
 
 
+def spread_points(ids: DataFrame, n: int, id_column: str = "item_id") -> DataFrame:
+    """(item_id, p): a low-discrepancy sequence in place of random numbers, from multiples of the powers of one irrational. Narrow.
+
+    The irrational is the inverse of the root above 1 of x ** (n + 1) = x + 1, which spreads points evenly in n dimensions.
+    """
+    steps = spread_steps(n)
+    number = lambda a: 0.5 + F.col(id_column) * F.lit(a)
+    draws = F.array(*(-F.ln(number(a) - F.floor(number(a))) for a in steps))
+    drawn = ids.select(F.col(id_column).cast("long").alias("item_id"), draws.alias("e"))
+    total = sum((F.col("e")[i] for i in range(1, n)), F.col("e")[0])
+    return drawn.select("item_id", F.array(*(F.col("e")[i] / total for i in range(n))).alias("p"))
+
+
+def spread_steps(n: int) -> list[float]:
+    root = 2.0
+    for _ in range(60):
+        root = (1 + root) ** (1 / (n + 1))
+    return [root ** -(i + 1) for i in range(n)]
+
+
 def distance(p: Column, n: int) -> Column:
     """Euclidean distance from the centre; at most sqrt(1 - 1 / n)."""
     return F.sqrt(sum((F.pow(p[i] - 1.0 / n, F.lit(2.0)) for i in range(1, n)), F.pow(p[0] - 1.0 / n, F.lit(2.0))))

@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
+import re
+from collections.abc import Callable, Iterator
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, DoubleType, LongType, StructField, StructType
 
 #: Character classes of a text; explicit sets of both cases.
 CLASSES = ("[aeiouAEIOU]", "[bcdfghjklmnpqrstvwxyzBCDFGHJKLMNPQRSTVWXYZ]", "[0-9]", "[ \\t\\n\\r\\f\\x0B]")
@@ -28,12 +32,46 @@ def from_symbols(df: DataFrame, item: str, symbol: str, alphabet: tuple[str, ...
 
 
 def from_text(df: DataFrame, item: str, text: str, classes: tuple[str, ...] = CLASSES) -> DataFrame:
-    """(item_id, n_sym, p) with a last symbol for characters of no class; narrow."""
-    body = F.coalesce(F.col(text), F.lit(""))
-    size = F.char_length(body)
-    counts = F.array(*(F.regexp_count(body, F.lit(c)).cast("double") for c in classes))
-    every = bound(counts, lambda c: F.concat(c, F.array(size.cast("double") - F.aggregate(c, F.lit(0.0), lambda s, x: s + x))))
-    return df.filter(size > 0).select(F.col(item).alias("item_id"), size.cast("long").alias("n_sym"), bound(every, lambda c: F.transform(c, lambda x: x / size)).alias("p"))
+    """(item_id, n_sym, p) with a last symbol for characters of no class; narrow, one pass over the bytes of a batch.
+
+    Classes are sets of ASCII characters, written as the bracket expressions of regular expressions.
+    """
+    table = class_table(classes)
+    n = len(classes) + 1
+    source = df.select(F.col(item).alias("item_id"), F.coalesce(F.col(text), F.lit("")).alias("text")).filter(F.char_length("text") > 0)
+    schema = StructType([source.schema["item_id"], StructField("n_sym", LongType()), StructField("p", ArrayType(DoubleType()))])
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if batch.num_rows:
+                counts = class_counts(batch.column(1), table, n)
+                total = counts.sum(axis=1)
+                shares = pa.ListArray.from_arrays(pa.array(np.arange(len(total) + 1) * n, pa.int32()), pa.array((counts / total[:, None]).ravel()))
+                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(total), shares], names=["item_id", "n_sym", "p"])
+
+    return source.mapInArrow(count, schema)
+
+
+def class_table(classes: tuple[str, ...]) -> np.ndarray:
+    """The class of each byte: that of its character, one more for other characters, and -1 within a character."""
+    table = np.full(256, len(classes), dtype=np.int64)
+    table[0x80:0xC0] = -1
+    for k, c in reversed(list(enumerate(classes))):
+        table[[b for b in range(128) if re.fullmatch(c, chr(b))]] = k
+    return table
+
+
+def class_counts(texts: pa.Array, table: np.ndarray, n: int) -> np.ndarray:
+    """Characters of each class in each of some texts (no nulls)."""
+    wide = pa.types.is_large_string(texts.type)
+    _, at, body = texts.buffers()
+    offsets = np.frombuffer(at, dtype=np.int64 if wide else np.int32)[texts.offset : texts.offset + len(texts) + 1].astype(np.int64)
+    marks = table[np.frombuffer(body, dtype=np.uint8)[offsets[0] : offsets[-1]]]
+    out = np.empty((len(texts), n), dtype=np.int64)
+    for k in range(n):
+        upto = np.concatenate([[0], np.cumsum(marks == k)])
+        out[:, k] = np.diff(upto[offsets - offsets[0]])
+    return out
 
 
 def from_vector(df: DataFrame, item: str, vec: str, how: str = "softmax") -> DataFrame:

@@ -210,6 +210,20 @@ class SparkEngine:
         h = entropy_unrolled(F.col("p"), n) if n <= WIDE else entropy_bits("p")
         self.items = items.select("item_id", "p", h.alias("h"), *self.channels)
         self._totals = None
+        self._noised: dict[tuple, DataFrame] = {}
+
+    def release(self) -> None:
+        """Give back the tables that the engine keeps."""
+        for kept in self._noised.values():
+            kept.unpersist()
+        self._noised.clear()
+
+    def noised(self, seeds: list[int], books: int) -> DataFrame:
+        """item_id, p, weights and noise, an array of ``books`` uniform numbers for each seed; hashed once and kept."""
+        if (key := (tuple(seeds), books)) not in self._noised:
+            drawn = F.array(*(F.array(*(hash_uniform(seed, F.col("item_id"), NOISE_DRAW + b) for b in range(books))) for seed in seeds))
+            self._noised[key] = self.items.select("item_id", "p", *self.channels, F.flatten(drawn).alias("noise")).persist()
+        return self._noised[key]
 
     def _sums(self) -> list[float]:
         if self._totals is None:
@@ -261,7 +275,7 @@ class SparkEngine:
     def hard(self, states: dict[int, tuple[Layout, np.ndarray]]) -> dict[int, Sums]:
         most = max(layout.books for layout, _ in states.values())
         if most * self.n > UNROLLED:
-            return self._blocks({r: (layout, q) for r, (layout, q) in states.items()}, lambda p, w, ids, state: hard_block(p, w, *state))
+            return self._blocks({r: (layout, q) for r, (layout, q) in states.items()}, lambda p, w, _, state: hard_block(p, w, *state))
         parts = F.array(*(F.struct(F.col(c).alias("w"), F.col(f"best{i}.cost").alias("cost"), F.col(f"best{i}.book").alias("book")) for i, c in enumerate(self.channels)))
         rows = self.costs(states).select("run_id", "p", F.explode(parts).alias("c")).filter("c.w > 0 and c.book is not null")
         heads = rows.groupBy("run_id", F.col("c.book").alias("book")).agg(F.sum("c.w").alias("t"), F.sum(F.col("c.w") * F.col("c.cost")).alias("cost"), F.array(*(F.sum(F.col("c.w") * F.col("p")[i]) for i in range(self.n))).alias("s"))
@@ -274,9 +288,13 @@ class SparkEngine:
             held.t[row["book"]], held.cost[row["book"]], held.s[row["book"]] = row["t"], row["cost"], row["s"]
         return out
 
-    def _blocks(self, states: dict[int, tuple], kernel) -> dict[int, Sums]:
-        """A pass by matrix products over Arrow blocks; each block gives one row per run and used book."""
+    def _blocks(self, states: dict[int, tuple], kernel, source: DataFrame | None = None) -> dict[int, Sums]:
+        """A pass by matrix products over Arrow blocks; each block gives one row per run and used book.
+
+        The kernel gets p, weights, a further column of ``source`` as a matrix, and a run's state.
+        """
         n, channels = self.n, self.channels
+        rest = [c for c in (source.columns if source is not None else []) if c not in ("item_id", "p", *channels)]
         sent = self.items.sparkSession.sparkContext.broadcast(states)
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -287,14 +305,14 @@ class SparkEngine:
                 w = np.zeros((len(p), 3))
                 for i in range(len(channels)):
                     w[:, i] = batch.column(2 + i).to_numpy(zero_copy_only=False)
-                ids = batch.column(0).to_numpy(zero_copy_only=False)
+                more = batch.column(batch.num_columns - 1).flatten().to_numpy(zero_copy_only=False).reshape(len(p), -1) if rest else None
                 for r, state in sent.value.items():
-                    sums = kernel(p, w, ids, state)
+                    sums = kernel(p, w, more, state)
                     used = np.flatnonzero(sums.t > 0)
                     s = pa.ListArray.from_arrays(pa.array(np.arange(len(used) + 1) * n, pa.int32()), pa.array(sums.s[used].ravel()))
                     yield pa.RecordBatch.from_arrays([pa.array([r] * len(used), pa.int32()), pa.array(used, pa.int32()), pa.array(sums.t[used]), pa.array(sums.cost[used]), s], names=["run_id", "book", "t", "cost", "s"])
 
-        rows = self.items.select("item_id", "p", *channels).mapInArrow(run, "run_id int, book int, t double, cost double, s array<double>")
+        rows = (self.items if source is None else source).select("item_id", "p", *channels, *rest).mapInArrow(run, "run_id int, book int, t double, cost double, s array<double>")
         return self._merged(rows, {r: state[0] for r, state in states.items()})
 
     def _merged(self, rows: DataFrame, layouts: dict[int, Layout]) -> dict[int, Sums]:
@@ -310,11 +328,22 @@ class SparkEngine:
                 held.s[row["book"], row["n"]] = row["x"]
         return out
 
+    def _shared(self, states: dict[int, tuple[Layout, int, np.ndarray, np.ndarray]], block) -> dict[int, Sums]:
+        seeds = sorted({state[1] for state in states.values()})
+        books = max(state[0].books for state in states.values())
+        place = {seed: k * books for k, seed in enumerate(seeds)}
+
+        def kernel(p: np.ndarray, w: np.ndarray, noise: np.ndarray, state: tuple) -> Sums:
+            layout, seed, a, b = state
+            return block(p, w, np.log2(noise[:, place[seed] : place[seed] + layout.books]), layout, a, b)
+
+        return self._blocks(states, kernel, self.noised(seeds, books))
+
     def soft(self, states: dict[int, tuple[Layout, int, np.ndarray, np.ndarray]]) -> dict[int, Sums]:
-        return self._blocks(states, lambda p, w, ids, x: soft_block(p, w, _noise(ids, x[1], x[0].books), x[0], x[2], x[3]))
+        return self._shared(states, soft_block)
 
     def rounded(self, states: dict[int, tuple[Layout, int, np.ndarray, np.ndarray]]) -> dict[int, Sums]:
-        return self._blocks(states, lambda p, w, ids, x: rounded_block(p, w, _noise(ids, x[1], x[0].books), x[0], x[2], x[3]))
+        return self._shared(states, rounded_block)
 
     def draw(self, draws: list[Draw]) -> dict[int, np.ndarray]:
         rows = [(d.run_id, str(d.seed), d.draw, d.pool, d.power, code_bits(d.books).tolist() if len(d.books) else []) for d in draws]
@@ -326,7 +355,7 @@ class SparkEngine:
         for c in self.channels[1:]:
             if c not in empty:
                 weight = F.when(F.col("pool") == int(c[1]), F.col(c)).otherwise(weight)
-        if most * self.n > UNROLLED:
+        if most * self.n > UNROLLED or self.n > WIDE:
             dot = lambda bits: F.aggregate(F.zip_with("p", bits, lambda x, y: F.when(x > 0, x * y).otherwise(F.lit(0.0))), F.lit(0.0), lambda s, x: s + x)
             nearest = [F.array_min(F.transform("bits", dot))]
         else:
@@ -335,8 +364,8 @@ class SparkEngine:
             gap = F.greatest(F.lit(0.0), (F.least(*nearest) if len(nearest) > 1 else nearest[0]) - F.col("h"))
             weight = weight * F.when(F.size("bits") > 0, F.pow(gap, F.col("power"))).otherwise(1.0)
         keyed = self.items.crossJoin(asked).withColumn("weight", weight)
-        key = F.when(F.col("weight") > 0, -F.ln(hash_uniform(F.col("seed"), F.col("item_id"), F.col("draw"))) / F.col("weight"))
-        won = keyed.withColumn("key", key).filter("key is not null").groupBy("run_id").agg(F.min_by("p", F.struct("key", "item_id")).alias("p"))
+        drawn = keyed.select("run_id", "item_id", "p", "weight", (-F.ln(hash_uniform(F.col("seed"), F.col("item_id"), F.col("draw")))).alias("drawn"))
+        won = drawn.filter("weight > 0").withColumn("key", F.col("drawn") / F.col("weight")).groupBy("run_id").agg(F.min_by("p", F.struct("key", "item_id")).alias("p"))
         return {r["run_id"]: np.array(r["p"]) for r in won.collect()}  # one row per run
 
 
@@ -344,6 +373,3 @@ def _vector_sums(rows: DataFrame, weight: Column) -> DataFrame:
     """(n, s): weighted sums of the coordinates of p."""
     return rows.select(weight.alias("w"), F.posexplode("p").alias("n", "x")).groupBy("n").agg(F.sum(F.col("w") * F.col("x")).alias("s"))
 
-
-def _noise(ids: np.ndarray, seed: int, books: int) -> np.ndarray:
-    return np.log2([[uniform(seed, int(i), NOISE_DRAW + b) for b in range(books)] for i in ids])

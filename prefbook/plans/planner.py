@@ -10,6 +10,7 @@ from __future__ import annotations
 
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
+from typing import Any
 
 import numpy as np
 import pandas as pd
@@ -21,6 +22,8 @@ from prefbook.operators.refine import Design, Run, refine
 from prefbook.operators.spv import collapse_types
 from prefbook.plans.engine import UNROLLED, LocalEngine, SparkEngine
 
+#: Problems that are sent to the tasks at once, and tasks of a sweep.
+PROBLEMS, TASKS = 16, 4096
 METHODS: dict[str, Callable[..., list[Design]]] = {"refine": refine, "dc": descend}
 
 
@@ -59,12 +62,35 @@ def solve(items: DataFrame, n: int, runs: list[Run], method: str = "refine", str
         books = max(r.layout.books for r in runs)
         where = strategy or choose(types, n, books, limits).strategy
         if where == "runs in tasks":
-            return _in_tasks(types, n, runs, method, options)
-        return METHODS[method](SparkEngine(types, n), runs, **options)
+            return _in_tasks({0: types}, n, runs, method, options)[0]
+        engine = SparkEngine(types, n)
+        try:
+            return METHODS[method](engine, runs, **options)
+        finally:
+            engine.release()
     finally:
         types.unpersist()
 
 
+def sweep(problems: dict[Any, DataFrame], n: int, runs: list[Run], method: str = "refine", limits: Limits = Limits(), **options) -> dict[Any, list[Design]]:
+    """Designs of all runs over each of several problems; those of bounded size are solved side by side by one job."""
+    books = max(r.layout.books for r in runs)
+    small, out = {}, {}
+    for key, items in problems.items():
+        types = collapse_types(as_problem(items)).persist()
+        if choose(types, n, books, limits).strategy == "runs in tasks":
+            small[key] = types
+        else:
+            types.unpersist()
+            out[key] = solve(items, n, runs, method, None, limits, **options)
+    names = list(small)
+    for at in range(0, len(names), PROBLEMS):
+        out |= _in_tasks({k: small[k] for k in names[at : at + PROBLEMS]}, n, runs, method, options)
+    for types in small.values():
+        types.unpersist()
+    return {key: out[key] for key in problems}
+
+
 def local_engine(types: DataFrame, n: int) -> LocalEngine:
     """The table as arrays; its size has been checked."""
     frame = types.orderBy("item_id").toArrow()
@@ -77,25 +103,30 @@ def local_engine(types: DataFrame, n: int) -> LocalEngine:
     return LocalEngine(frame.column("item_id").to_numpy(), p, w)
 
 
-def _in_tasks(types: DataFrame, n: int, runs: list[Run], method: str, options: dict) -> list[Design]:
-    engine = local_engine(types, n)
-    if not len(engine.ids):
-        return [Design(r, np.full((r.layout.books, n), 1.0 / n), 0.0) for r in runs]
-    spark = types.sparkSession
-    sent = spark.sparkContext.broadcast((engine.ids, engine.p, engine.w, {r.run_id: r for r in runs}))
+def _in_tasks(problems: dict[Any, DataFrame], n: int, runs: list[Run], method: str, options: dict) -> dict[Any, list[Design]]:
+    engines = {key: local_engine(types, n) for key, types in problems.items()}
+    keys = [k for k, e in engines.items() if len(e.ids)]
+    out = {k: [Design(r, np.full((r.layout.books, n), 1.0 / n), 0.0) for r in runs] for k in problems}
+    if not keys:
+        return out
+    spark = problems[keys[0]].sparkSession
+    sent = spark.sparkContext.broadcast(([(engines[k].ids, engines[k].p, engines[k].w) for k in keys], {r.run_id: r for r in runs}))
     solver = METHODS[method]
 
     def work(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        ids, p, w, asked = sent.value
-        own = LocalEngine(ids, p, w)
+        tables, asked = sent.value
         for frame in frames:
-            for k in frame["run_id"]:
-                d = solver(own, [asked[k]], **options)[0]
-                yield pd.DataFrame({"run_id": [k], "q": [d.q.ravel().tolist()], "cost": [d.cost], "steps": [[x[0] for x in d.trace]], "values": [[x[1] for x in d.trace]], "seconds": [[x[2] for x in d.trace]], "used": [d.used.tolist()]})
-
-    asked = spark.createDataFrame([(r.run_id,) for r in runs], "run_id int").repartition(len(runs))
-    found = {r["run_id"]: r for r in asked.mapInPandas(work, "run_id int, q array<double>, cost double, steps array<int>, values array<double>, seconds array<double>, used array<boolean>").collect()}
-    return [Design(r, np.array(x["q"]).reshape(-1, n), x["cost"], list(zip(x["steps"], x["values"], x["seconds"])), np.array(x["used"])) for r in runs for x in [found[r.run_id]]]
+            for problem, k in zip(frame["problem"], frame["run_id"]):
+                d = solver(LocalEngine(*tables[problem]), [asked[k]], **options)[0]
+                yield pd.DataFrame({"problem": [problem], "run_id": [k], "q": [d.q.ravel().tolist()], "cost": [d.cost], "steps": [[x[0] for x in d.trace]], "values": [[x[1] for x in d.trace]], "seconds": [[x[2] for x in d.trace]], "used": [d.used.tolist()]})
+
+    # Large runs first, one to a task, so that no task is left with several of them at the end.
+    jobs = sorted(((i, r.run_id, -r.layout.books) for i in range(len(keys)) for r in runs), key=lambda x: x[2])
+    asked = spark.createDataFrame([(k, i, r) for k, (i, r, _) in enumerate(jobs)], "place int, problem int, run_id int").repartitionByRange(min(len(jobs), TASKS), "place").drop("place")
+    found = {(r["problem"], r["run_id"]): r for r in asked.mapInPandas(work, "problem int, run_id int, q array<double>, cost double, steps array<int>, values array<double>, seconds array<double>, used array<boolean>").collect()}
+    for i, key in enumerate(keys):
+        out[key] = [Design(r, np.array(x["q"]).reshape(-1, n), x["cost"], list(zip(x["steps"], x["values"], x["seconds"])), np.array(x["used"])) for r in runs for x in [found[i, r.run_id]]]
+    return out
 
 
 def best_of(designs: list[Design]) -> Design:

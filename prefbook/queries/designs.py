@@ -12,7 +12,7 @@ from prefbook.operators.dcdescent import descend, objective
 from prefbook.operators.refine import Design, Run
 from prefbook.plans.engine import NOISE_DRAW, Layout, SparkEngine
 from prefbook.plans.planner import as_problem, best_of, solve
-from prefbook.queries.fragments import PLOGP, collapsed, density, lattice, refined, requests, seeded, with_
+from prefbook.queries.fragments import PLOGP, collapsed, density, lattice, pool_assign, pool_means, pool_refined, pool_seeds, pool_soft, pooled, pools, refined, requests, seeded, with_
 from prefbook.queries.fragments import books as books_sql
 from prefbook.queries.fragments import simplex as simplex_sql
 from prefbook.queries.fragments import spv as spv_sql
@@ -93,6 +93,25 @@ kept AS (SELECT item_id FROM (SELECT item_id, sqrt(sum(pow(p - 1.0 / 3, 2))) AS
 spv AS (SELECT c.* FROM cand_spv c JOIN kept USING (item_id)), dem AS (SELECT item_id, 1.0 / 1000 AS f FROM kept)"""
 
 
+def _spread_sql(n: int, count: int) -> str:
+    steps = ", ".join(f"({i}, {a!r}::DOUBLE)" for i, a in enumerate(simplex.spread_steps(n)))
+    return f"""steps(n, a) AS (VALUES {steps}), ids AS (SELECT i AS item_id FROM range({count}) r(i)),
+raw AS (SELECT item_id, n, -ln(0.5 + item_id * a - floor(0.5 + item_id * a)) AS e FROM ids, steps),
+spv AS (SELECT item_id, n, e / sum(e) OVER (PARTITION BY item_id) AS p FROM raw)"""
+
+
+@query(with_(_spread_sql(4, 400), density("distance", 4)) + "SELECT item_id, n::INT AS n, round(p, 6) AS p, round(f, 6) AS f FROM spv JOIN dem USING (item_id)")
+def field_nodes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Low-discrepancy nodes of a density over four symbols."""
+    return rounded(spv.exploded(fielditer.nodes(spark, 4, 20, "distance")).withColumn("n", F.col("n").cast("int")), "p", "f").select("item_id", "n", "p", "f")
+
+
+@query(_refined_sql(simplex_sql(3, 11, "SELECT i AS item_id FROM range(1000) r(i)").split(",\ndem AS")[0], density("distance", 3), k=2))
+def sampled_weights(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A uniform sample with the density as weight, in place of rejection."""
+    return _fixed_refine(spark, sampled.draw(spark, "distance", 3, 1000, how="weight"), 3, 2)
+
+
 @query(_refined_sql(_DRAWN, k=2))
 def sampled_nonuniform(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _fixed_refine(spark, sampled.draw(spark, "distance", 3, 1000), 3, 2)
@@ -203,16 +222,19 @@ def three_users(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query()
 def refine_wide(spark: SparkSession, sf_dir: str) -> DataFrame:
     """64 symbols and 10 books: beyond straight-line code, so passes are matrix products over Arrow blocks."""
-    vectors = spv.from_vector(load(spark, sf_dir, "embeddings"), "vec_id", "embedding").withColumn("f", F.lit(1.0) / 500)
-    designs = solve(vectors, 64, [Run(0, Layout(10), 1)], "refine", "passes over blocks", iterations=8)
+    vectors = spv.from_vector(load(spark, sf_dir, "embeddings"), "vec_id", "embedding")
+    even = vectors.crossJoin(F.broadcast(vectors.agg((1.0 / F.count("*")).alias("f"))))
+    designs = solve(even, 64, [Run(0, Layout(10), 1)], "refine", "passes over blocks", iterations=8)
     return summary(spark, designs, "refine")
 
 
-@query()
+@query(f"SELECT (100 * m + r)::INT AS run_id, ({STEPS} + 1)::BIGINT AS steps, true AS monotone FROM range(2) a(m), range(3) b(r)")
 def trace_monotone(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Neither method ever raises its objective, by the numbers of a fixed count of steps."""
     runs = [Run(r, Layout(3), r + 1) for r in range(3)]
     items = fixture_items(spark, sf_dir, "events")
-    rows = [(100 * m + d.run.run_id, i, float(v)) for m, method in enumerate(("refine", "dc")) for d in solve(items, 5, runs, method) for i, v, _ in d.trace]
+    options = {"refine": {"iterations": STEPS, "mix": 0.02}, "dc": {"outer": STEPS}}
+    rows = [(100 * m + d.run.run_id, i, float(v)) for m, method in enumerate(options) for d in solve(items, 5, runs, method, fixed=True, **options[method]) for i, v, _ in d.trace]
     return measures.monotone(small(spark, rows, "run_id int, iteration int, objective double"))
 
 
@@ -251,7 +273,8 @@ def joint(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def pair_items(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pair.channels(joint(spark, sf_dir)).join(fixture_spv(spark, sf_dir, "events"), "item_id").select("item_id", "p", "w0", "w1", "w2")
+    log = pair.cohort_log(request_log(spark, sf_dir))
+    return pair.channels_by_bucket(log, F.date_trunc("hour", "ts")).join(fixture_spv(spark, sf_dir, "events"), "item_id").select("item_id", "p", "w0", "w1", "w2")
 
 
 @query(with_(requests(), _JOINT) + "SELECT i, j, round(f, 6) AS f FROM joint")
@@ -284,6 +307,21 @@ def joint_trace(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query(with_(requests(), _JOINT, _CHANNELS) + "SELECT item_id, round(w0, 6) AS w0, round(w1, 6) AS w1, round(w2, 6) AS w2 FROM ch")
 def pair_channels(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return rounded(pair.channels_by_bucket(pair.cohort_log(request_log(spark, sf_dir)), F.date_trunc("hour", "ts")), "w0", "w1", "w2")
+
+
+_NEAR = "near AS (SELECT a.item AS i, b.item AS j, count(*)::DOUBLE AS c FROM lg a JOIN lg b ON a.cohort = 0 AND b.cohort = 1 AND abs(floor(epoch(a.ts))::BIGINT - floor(epoch(b.ts))::BIGINT) <= 600 GROUP BY 1, 2)"
+
+
+@query(with_(requests(), _JOINT.split(",\njc AS")[0], _NEAR, "joint AS (SELECT i, j, c / sum(c) OVER () AS f FROM near)", _CHANNELS) + "SELECT item_id, round(w0, 6) AS w0, round(w1, 6) AS w1, round(w2, 6) AS w2 FROM ch")
+def pair_channels_interval(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Channels of requests at most ten minutes apart, by frames of time in place of pairs."""
+    return rounded(pair.channels_by_interval(pair.cohort_log(request_log(spark, sf_dir)), 10), "w0", "w1", "w2")
+
+
+@query(with_(requests(), _JOINT, _CHANNELS) + "SELECT item_id, round(w0, 6) AS w0, round(w1, 6) AS w1, round(w2, 6) AS w2 FROM ch")
+def pair_channels_of_matrix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same channels from a joint demand that is given as a matrix."""
     return rounded(pair.channels(joint(spark, sf_dir)), "w0", "w1", "w2")
 
 
@@ -368,6 +406,76 @@ def pair_refine(spark: SparkSession, sf_dir: str) -> DataFrame:
     return book_table(spark, d.q, d.cost)
 
 
+_POOLED = (2, 1, 1)
+
+
+def _pool_sql(layout: tuple[int, int, int], *more: str) -> str:
+    return with_(spv_sql("events"), requests(), _JOINT, _CHANNELS, *pooled(layout), *more)
+
+
+@query(_pool_sql(_POOLED, *pool_seeds(_POOLED, 1)) + "SELECT k::INT AS k, n::INT AS n, round(q, 6) AS q FROM s3")
+def pair_seed_pools(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Seeds of a common and of two exclusive pools."""
+    types = spv.collapse_types(pair_items(spark, sf_dir))
+    return book_table(spark, refine.seed_books(SparkEngine(types, 5), [Run(0, Layout(*_POOLED), 1)])[0])
+
+
+@query(_pool_sql(_POOLED, *pool_seeds(_POOLED, 1), *pool_refined("s3", STEPS)) + f"SELECT k::INT AS k, n::INT AS n, round(q, 6) AS q, (SELECT round(sum(w * c), 6) FROM b{STEPS}) AS cost FROM r{STEPS}")
+def pair_refine_pools(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Common and exclusive books: seeds and a fixed number of updates over the three channels."""
+    d = solve(pair_items(spark, sf_dir), 5, [Run(0, Layout(*_POOLED), 1)], "refine", "passes by expressions", iterations=STEPS, fixed=True)[0]
+    return book_table(spark, d.q, d.cost)
+
+
+_CURVE = [(k0, 2 - k0, 2 - k0) for k0 in range(3)]
+
+
+def _curve_sql() -> str:
+    parts = [x for k0, layout in enumerate(_CURVE) for x in (pools(layout, f"pools{k0}"), *pool_seeds(layout, 1, f"z{k0}"), *pool_refined(f"z{k0}s{sum(layout) - 1}", STEPS, f"z{k0}", f"pools{k0}"))]
+    costs = " UNION ALL ".join(f"SELECT {k0} AS k0, (SELECT 20 * sum(w * c) FROM z{k0}b{STEPS}) AS bits" for k0 in range(len(_CURVE)))
+    return _pool_sql(_POOLED, *parts) + f"SELECT k0::INT AS k0, round(bits, 6) AS bits_per_request, k0 = arg_min(k0, bits) OVER () AS best FROM ({costs})"
+
+
+@query(_curve_sql())
+def pair_k0_fixed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Cost by the number of common books after a fixed number of updates, and the cheapest."""
+    runs = [Run(k0, Layout(*layout), 1) for k0, layout in enumerate(_CURVE)]
+    designs = solve(pair_items(spark, sf_dir), 5, runs, "refine", iterations=STEPS, fixed=True)
+    best = pair.select(designs).run.layout.k0
+    return small(spark, [(d.run.layout.k0, round(20 * d.cost, 6), d.run.layout.k0 == best) for d in designs], "k0 int, bits_per_request double, best boolean")
+
+
+_DC_STEPS = (2, 2)
+_DC_LAST = _DC_STEPS[0] * _DC_STEPS[1]
+
+
+def _pair_dc_sql() -> str:
+    soft = f"soft AS (SELECT k, n, s / sum(s) OVER (PARTITION BY k) AS q FROM y{_DC_LAST})"
+    likeliest = f"likely AS (SELECT item_id, channel, w, k FROM (SELECT *, row_number() OVER (PARTITION BY item_id, channel ORDER BY r DESC, k) AS rn FROM q{_DC_LAST}) WHERE rn = 1)"
+    parts = [
+        *pool_soft(3, 1, *_DC_STEPS, NOISE_DRAW), soft, likeliest, pool_means("likely", "soft", "ab"), *pool_assign("ab", "fa"),
+        *pool_assign("soft", "near0"), pool_means("near0", "soft", "nb"), *pool_assign("nb", "fn"),
+    ]
+    objective = f"round((SELECT sum(t * log2(t)) FROM t{_DC_LAST}) - (SELECT sum(s * log2(s)) FROM y{_DC_LAST} WHERE s > 0), 6)"
+    rows = " UNION ALL ".join(f"SELECT '{how}' AS rounding, {objective} AS objective, round((SELECT sum(w * c) FROM {into}), 6) AS cost" for how, into in (("argmax", "fa"), ("nearest", "fn")))
+    return _pool_sql((1, 1, 1), *parts) + rows
+
+
+@query(_pair_dc_sql())
+def pair_dc_fixed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Soft shares of common and exclusive books after a fixed number of steps, and the cost by both roundings."""
+    outer, inner = _DC_STEPS
+    types = spv.collapse_types(pair_items(spark, sf_dir)).persist()
+    rows = []
+    for how in ("argmax", "nearest"):
+        engine = SparkEngine(types, 5)
+        d = descend(engine, [Run(0, Layout(1, 1, 1), 1)], inner=inner, outer=outer, rounding=how, fixed=True)[0]
+        engine.release()
+        rows.append((how, round(d.trace[-1][1], 6), round(d.cost, 6)))
+    types.unpersist()
+    return small(spark, rows, "rounding string, objective double, cost double")
+
+
 @query()
 def pair_refine_full(spark: SparkSession, sf_dir: str) -> DataFrame:
     return summary(spark, pair.design(pair_items(spark, sf_dir), 5, 3, 3, "refine", zero=True), "refine")
@@ -375,15 +483,18 @@ def pair_refine_full(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query()
 def pair_dc(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return summary(spark, pair.design(pair_items(spark, sf_dir), 5, 3, 3, "dc", restarts=1), "dc")
+    """Both roundings of the soft shares, by the number of common books."""
+    items = pair_items(spark, sf_dir)
+    both = [summary(spark, pair.design(items, 5, 3, 3, "dc", rounding=how), f"dc {how}") for how in ("argmax", "nearest")]
+    return both[0].unionByName(both[1])
 
 
 @query()
 def pair_k0_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Cost by the number of common books, and the cheapest, for common and for mostly lone requests."""
     rows = []
-    for alpha in (0.05, 0.75):
-        designs = pair.design(pair.even_channels(part_points(spark, sf_dir, 3, 42), alpha), 3, 4, 4)
+    points = part_points(spark, sf_dir, 3, 42)
+    for alpha, designs in pair.design_sweep({a: pair.even_channels(points, a) for a in (0.0, 0.05, 0.75)}, 3, 4, 4, zero=True).items():
         best = pair.select(designs).run.layout.k0
         rows += [(alpha, d.run.layout.k0, round(20 * d.cost, 6), d.run.layout.k0 == best) for d in designs]
     return small(spark, rows, "alpha double, k0 int, bits_per_request double, best boolean")

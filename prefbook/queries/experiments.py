@@ -13,8 +13,8 @@ from prefbook.operators.refine import Design, Run
 from prefbook.plans.engine import Layout, cross
 from prefbook.plans.planner import best_of, local_engine, solve
 from prefbook.operators.spv import collapse_types
-from prefbook.queries.designs import pair_items
-from prefbook.queries.fragments import PLOGP, simplex as simplex_sql, with_
+from prefbook.queries.designs import _CHANNELS, pair_items
+from prefbook.queries.fragments import PLOGP, priced, simplex as simplex_sql, with_
 from prefbook.queries.measures import even_points
 from prefbook.queries.models import _PART_IDS, part_points
 from prefbook.queries.registry import query, rounded, small
@@ -48,7 +48,7 @@ def w0_demo(spark: SparkSession, sf_dir: str) -> DataFrame:
     return small(spark, rows, "measure string, bits_per_symbol double")
 
 
-def bits_vs_books(spark: SparkSession, sf_dir: str, n_values=(3, 4, 5), k_values=range(1, 11), methods=("refine", "dc"), restarts: int = 3) -> DataFrame:
+def bits_vs_books(spark: SparkSession, sf_dir: str, n_values=(3, 4, 5), k_values=range(1, 11), methods=("refine", "dc"), restarts: int = 2) -> DataFrame:
     """Bits against the number of books, for items uniform on the simplex; all k and restarts are runs of one sweep."""
     rows = []
     for n in n_values:
@@ -56,10 +56,9 @@ def bits_vs_books(spark: SparkSession, sf_dir: str, n_values=(3, 4, 5), k_values
         floor, base = value(measures.entropy_floor(items, n)), value(baselines.self_decodable(items, n))
         rows.append(("self-decodable", n, 0, 0, base, floor, base))
         for method in methods:
-            runs = [Run(10 * k + r, Layout(k), r + 1) for k in k_values for r in range(restarts if method == "refine" else 1)]
-            options = {"inner": 50, "outer": 60, "eps": 1e-5} if method == "dc" else {}
+            runs = [Run(10 * k + r, Layout(k), r + 1) for k in k_values for r in range(restarts)]
             best: dict[int, Design] = {}
-            for d in solve(items, n, runs, method, **options):
+            for d in solve(items, n, runs, method):
                 if d.run.layout.k0 not in best or d.cost < best[d.run.layout.k0].cost:
                     best[d.run.layout.k0] = d
             rows += [(method, n, k, k, ITEM_LENGTH * d.cost, floor, base) for k, d in sorted(best.items())]
@@ -68,7 +67,8 @@ def bits_vs_books(spark: SparkSession, sf_dir: str, n_values=(3, 4, 5), k_values
 
 @query()
 def w1_bits_vs_books(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return bits_vs_books(spark, sf_dir, k_values=(1, 2, 4, 7, 10))
+    """As published: one to ten books, the published tolerance, and as many starts for both methods."""
+    return bits_vs_books(spark, sf_dir)
 
 
 _BASE = [
@@ -110,7 +110,7 @@ def w1_empirical(spark: SparkSession, sf_dir: str) -> DataFrame:
     return report(spark, rows)
 
 
-def continuous(spark: SparkSession, density: str, size: int = 1000, grid: int = 40, restarts: int = 4) -> DataFrame:
+def continuous(spark: SparkSession, density: str, size: int = 1000, grid: int = 60, restarts: int = 4) -> DataFrame:
     """Three symbols and two books: field iteration, both sampled designs and the search, all priced on one lattice."""
     points = fielditer.nodes(spark, 3, grid, density)
     engine = local_engine(collapse_types(points.select("item_id", "p", F.col("f").alias("w0"))), 3)
@@ -119,7 +119,7 @@ def continuous(spark: SparkSession, density: str, size: int = 1000, grid: int =
     floor = ITEM_LENGTH * float(weight @ engine.h)
     found = {
         "field iteration": best_of(fielditer.design(spark, density, 3, 2, grid, restarts)).q,
-        "sampled, dc": best_of(sampled.design(spark, density, 3, 2, size, "dc", restarts=2, inner=50, outer=60)).q,
+        "sampled, dc": best_of(sampled.design(spark, density, 3, 2, size, "dc", restarts=restarts)).q,
         "sampled, refine": best_of(sampled.design(spark, density, 3, 2, size, "refine", restarts=restarts)).q,
         "exhaustive": exhaustive.search(points, 20, 3)[0],
     }
@@ -136,19 +136,22 @@ def w3_nonuniform(spark: SparkSession, sf_dir: str) -> DataFrame:
     return continuous(spark, "distance")
 
 
-def bits_vs_trace(spark: SparkSession, sf_dir: str, n: int, alphas=(0.25, 0.5, 0.75, 1.0), kt: int = 4, methods=("refine", "dc"), restarts: int = 2) -> DataFrame:
-    """Two users: total bits against the chance of a common request; columns of a design report, and trace."""
-    points = part_points(spark, sf_dir, n, 42)
-    rows = []
-    for alpha in alphas:
-        items = pair.even_channels(points, alpha)
-        base = value(baselines.self_decodable_pair(items, n))
-        rows.append((n, alpha, "self-decodable", 0, round(base, 6), 0.0))
-        for method in methods:
-            options = {"inner": 30, "outer": 40, "eps": 1e-4} if method == "dc" else {}
-            d = pair.select(pair.design(items, n, kt, kt, method, restarts if method == "refine" else 1, **options))
+#: Chances of a common request, from none, where common books are of no use, to one.
+ALPHAS = (0.0, 0.25, 0.5, 0.75, 1.0)
+
+
+def bits_vs_trace(spark: SparkSession, sf_dir: str, n: int, alphas=ALPHAS, kt: int = 4, methods=("refine", "dc"), restarts: int = 2) -> DataFrame:
+    """Two users: total bits against the chance of a common request; all demands, layouts and starts of a method are one sweep."""
+    points = part_points(spark, sf_dir, n, 42).persist()
+    problems = {alpha: pair.even_channels(points, alpha) for alpha in alphas}
+    base = {alpha: value(baselines.self_decodable_pair(items, n)) for alpha, items in problems.items()}
+    rows = [(n, alpha, "self-decodable", 0, round(base[alpha], 6), 0.0) for alpha in alphas]
+    for method in methods:
+        for alpha, designs in pair.design_sweep(problems, n, kt, kt, method, restarts, zero=True).items():
+            d = pair.select(designs)
             bits = ITEM_LENGTH * d.cost
-            rows.append((n, alpha, method, d.run.layout.k0, round(bits, 6), round(100 * (1 - bits / base), 6)))
+            rows.append((n, alpha, method, d.run.layout.k0, round(bits, 6), round(100 * (1 - bits / base[alpha]), 6)))
+    points.unpersist()
     return small(spark, rows, "n int, trace double, method string, k0 int, bits_per_request double, saving_pct double")
 
 
@@ -192,14 +195,18 @@ def w5_distinct_interests(spark: SparkSession, sf_dir: str) -> DataFrame:
     sides = [w @ engine.p / w.sum() for w in (engine.w[:, 1], engine.w[:, 2])]
     rows = []
     for method in ("refine", "dc"):
-        options = {"inner": 30, "outer": 40, "eps": 1e-4} if method == "dc" else {}
-        d = pair.select(pair.design(items, 3, 4, 4, method, 2 if method == "refine" else 1, **options))
+        d = pair.select(pair.design(items, 3, 4, 4, method, zero=True))
         margins = measures.border_distance(d.q, *sides)
         rows += [(method, d.run.layout.k0, int(pool), k, round(float(m), 6), round(ITEM_LENGTH * d.cost, 6)) for k, (pool, m) in enumerate(zip(d.run.layout.pools, margins))]
     return small(spark, rows, "method string, k0 int, pool int, book int, margin double, bits_per_request double")
 
 
-@query()
+_ROLES = """turns AS (SELECT conv_id, turn, role, least(9, floor(length(text) / 100))::BIGINT AS item FROM conversations),
+jc AS (SELECT a.item AS i, b.item AS j, count(*)::DOUBLE AS c FROM turns a JOIN turns b ON a.conv_id = b.conv_id AND a.turn + 1 = b.turn AND a.role = 'user' AND b.role = 'assistant' GROUP BY 1, 2),
+joint AS (SELECT i, j, c / sum(c) OVER () AS f FROM jc)"""
+
+
+@query(with_(_ROLES, _CHANNELS) + "SELECT item_id, round(w0, 6) AS w0, round(w1, 6) AS w1, round(w2, 6) AS w2 FROM ch")
 def w5_conversation_roles(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Joint demand of roles: items are length classes of a user turn and of the next assistant turn."""
     turns = load(spark, sf_dir, "conversations").select("conv_id", "turn", "role", F.least(F.lit(9), F.floor(F.char_length("text") / 100)).cast("long").alias("item"))
@@ -214,19 +221,23 @@ def w5_conversation_roles(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query()
 def w6_cohort_overlap(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Trace and cost of two cohorts' requests by week, items being event types: the more in common, the fewer bits."""
-    log = pair.cohort_log(request_log(spark, sf_dir), "item_id").withColumn("week", F.weekofyear("ts"))
+    log = pair.cohort_log(request_log(spark, sf_dir), "item_id").withColumn("week", F.weekofyear("ts")).persist()
     spvs = fixture_spv(spark, sf_dir, "events").select("item_id", "p")
+    weeks = sorted(r["week"] for r in log.select("week").distinct().collect())  # at most 53
+    problems = {w: pair.channels_by_bucket(log.filter(F.col("week") == w), F.date_trunc("day", "ts")).join(spvs, "item_id") for w in weeks}
     rows = []
-    for week in sorted(r["week"] for r in log.select("week").distinct().collect()):
-        joint = pair.joint_by_bucket(log.filter(F.col("week") == week), F.date_trunc("day", "ts")).persist()
-        items = pair.channels(joint).join(spvs, "item_id")
-        d = pair.select(pair.design(items, 5, 2, 2, "refine", 1))
-        rows.append((int(week), round(value(pair.trace(joint)), 6), d.run.layout.k0, round(ITEM_LENGTH * d.cost, 6)))
-        joint.unpersist()
+    for week, designs in pair.design_sweep(problems, 5, 2, 2, "refine").items():
+        d = pair.select(designs)
+        trace = value(problems[week].agg(F.sum("w0")))
+        rows.append((int(week), round(trace, 6), d.run.layout.k0, round(ITEM_LENGTH * d.cost, 6)))
+    log.unpersist()
     return small(spark, rows, "week int, trace double, k0 int, bits_per_request double")
 
 
-@query()
+_SWEPT = with_(simplex_sql(3, 42, _PART_IDS), priced(3, 4)) + "SELECT a.alpha::DOUBLE AS trace, round(sum((2 - a.alpha) * 20 * f * c), 6) AS bits_per_request FROM best JOIN dem USING (item_id), (VALUES (0.0), (0.25), (0.5), (0.75), (1.0)) a(alpha) GROUP BY a.alpha"
+
+
+@query(_SWEPT)
 def w6_trace_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The same claim on the two-level matrix, at fixed books."""
     points = part_points(spark, sf_dir, 3, 42)
@@ -262,8 +273,7 @@ def pair_trace_bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
     base = value(baselines.self_decodable_pair(items, 5, support_only=True))
     rows = [("self-decodable", 0, round(base, 6))]
     for method in ("refine", "dc"):
-        options = {"inner": 30, "outer": 40, "eps": 1e-4} if method == "dc" else {}
-        d = pair.select(pair.design(items, 5, 3, 3, method, 1, **options))
+        d = pair.select(pair.design(items, 5, 3, 3, method, zero=True))
         rows.append((method, d.run.layout.k0, round(ITEM_LENGTH * d.cost, 6)))
     return small(spark, rows, "method string, k0 int, bits_per_request double")
 
@@ -283,7 +293,7 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
         ("entropy floor", 5, 0, 0, floor, floor, base),
     ]
     for method in ("refine", "dc"):
-        d = best_of(solve(items, 5, [Run(r, Layout(4), r + 1) for r in range(2)], method, **({"mix": 0.02} if method == "refine" else {"outer": 60})))
+        d = best_of(solve(items, 5, [Run(r, Layout(4), r + 1) for r in range(2)], method, **({"mix": 0.02} if method == "refine" else {})))
         rows.append((method, 5, 4, 4, ITEM_LENGTH * d.cost, floor, base))
     items.unpersist()
     return report(spark, rows)

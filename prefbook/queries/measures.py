@@ -107,19 +107,58 @@ def index_overhead(spark: SparkSession, sf_dir: str) -> DataFrame:
     return small(spark, [(k, measures.index_bits(k)) for k in range(1, 11)], "k int, bits int")
 
 
-@query()
+_CODES = with_(
+    books(5, K),
+    "lens AS (SELECT k, n, -log2(q) AS ideal, greatest(1, ceil(-log2(q) - 1e-12))::INT AS bits FROM books)",
+    "placed AS (SELECT *, coalesce(sum(pow(2, most - bits)) OVER (PARTITION BY k ORDER BY bits, n ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS taken FROM lens, (SELECT max(bits) AS most FROM lens))",
+)
+
+
+def _code_table(spark: SparkSession, how: str) -> DataFrame:
+    return rounded(small(spark, codec.code_table(fixed(5), how), "k int, symbol int, ideal_bits double, code_bits int, codeword string"), "ideal_bits")
+
+
+@query(_CODES + "SELECT k::INT AS k, n::INT AS symbol, round(ideal, 6) AS ideal_bits, bits AS code_bits, lpad(bin((taken / pow(2, most - bits))::BIGINT), bits, '0') AS codeword FROM placed")
 def code_table(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = [(how, *row) for how in ("ceil", "huffman") for row in codec.code_table(fixed(5), how)]
-    return rounded(small(spark, rows, "how string, k int, symbol int, ideal_bits double, code_bits int, codeword string"), "ideal_bits")
+    """Canonical codewords of ideal lengths rounded up."""
+    return _code_table(spark, "ceil")
 
 
 @query()
+def code_table_huffman(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Canonical codewords of the best prefix codes."""
+    return _code_table(spark, "huffman")
+
+
+_GROUPS = ["aeiouAEIOU", "bcdfghjklmnpqrstvwxyzBCDFGHJKLMNPQRSTVWXYZ", "0123456789", " \t\n\r\f\x0b"]
+_SIZES = ", ".join(f"length(regexp_replace(body, '[^{g}]', '', 'g'))" for g in ("aeiouAEIOU", "bcdfghjklmnpqrstvwxyzBCDFGHJKLMNPQRSTVWXYZ", "0-9", " \\t\\n\\r\\f\\x0B"))
+_CODED = with_(
+    f"src AS (SELECT doc_id AS item_id, length(body) AS t, [{_SIZES}] AS c FROM (SELECT doc_id, coalesce(text, '') AS body FROM documents))",
+    "cnt AS (SELECT item_id, t, unnest(range(5)) AS n, unnest(list_append(c, (t - list_sum(c))::BIGINT))::DOUBLE AS c FROM src)",
+    "own AS (SELECT n, sum(c / t) / sum(sum(c / t)) OVER () AS q FROM cnt WHERE t > 0 GROUP BY n)",
+    books(5, K),
+    "held AS (SELECT 0 AS k, n, q FROM own UNION ALL SELECT k + 1, n, q FROM books)",
+    "priced AS (SELECT item_id, t, k, sum(CASE WHEN c > 0 THEN c * greatest(1, ceil(-log2(q) - 1e-12)) ELSE 0 END) AS bits FROM cnt JOIN held USING (n) GROUP BY item_id, t, k)",
+    "won AS (SELECT item_id, t, k, bits FROM (SELECT *, row_number() OVER (PARTITION BY item_id ORDER BY bits, k) AS rn FROM priced) WHERE rn = 1)",
+)
+
+
+def _cached(spark: SparkSession, sf_dir: str) -> np.ndarray:
+    """Books that a receiver has: the best single one of the documents, and a few others."""
+    items = spv.from_text(load(spark, sf_dir, "documents"), "doc_id", "text").withColumn("f", F.lit(1.0))
+    return np.vstack([single.book(items, 5), fixed(5)])
+
+
+@query(_CODED + "SELECT item_id, t::BIGINT AS symbols, k::INT AS book, bits::BIGINT AS bits, true AS same FROM won")
 def codec_roundtrip(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Whole documents coded by character class and decoded again."""
-    items = spv.from_text(load(spark, sf_dir, "documents"), "doc_id", "text").withColumn("f", F.lit(1.0))
-    q = np.vstack([single.book(items, 5), fixed(5)])
-    groups = ["aeiouAEIOU", "bcdfghjklmnpqrstvwxyzBCDFGHJKLMNPQRSTVWXYZ", "0123456789", " \t\n\r\f\x0b"]
-    return codec.roundtrip(load(spark, sf_dir, "documents"), "doc_id", "text", groups, q)
+    return codec.roundtrip(load(spark, sf_dir, "documents"), "doc_id", "text", _GROUPS, _cached(spark, sf_dir))
+
+
+@query(_CODED + "SELECT item_id, t::BIGINT AS symbols, k::INT AS book, true AS found FROM won")
+def decode_by_trial(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Whole documents decoded by trying every cached book: the sender's is always among those that fit."""
+    return codec.trial_decoding(load(spark, sf_dir, "documents"), "doc_id", "text", _GROUPS, _cached(spark, sf_dir)).drop("candidates")
 
 
 @query()
