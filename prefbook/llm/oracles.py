@@ -100,10 +100,10 @@ def _best(key: str, shards: int) -> str:
     return f"list_position([{', '.join(_score(key, k) for k in range(shards))}], greatest({', '.join(_score(key, k) for k in range(shards))})) - 1"
 
 
-#: CRC-32 of a text can't be computed in DuckDB: the query's is tested against zlib instead.
+#: CRC-32 of a text can't be computed in DuckDB, so the operator's own query has no SQL; its other columns have.
 _OP9 = f"""
 WITH keyed AS (SELECT doc_id, coalesce(doc_id::VARCHAR, '') AS key, strlen(coalesce(text, ''))::BIGINT + 8 AS size FROM documents)
-SELECT doc_id, size, {_best("key", 24)} AS shard, {_best("key", 25)} AS grown_shard FROM keyed"""
+SELECT doc_id, size, 'key' AS law, ({_best("key", 24)})::INT AS shard, ({_best("key", 25)})::INT AS grown_shard FROM keyed"""
 
 _OP1 = r"""
 WITH source AS (
@@ -123,7 +123,59 @@ SELECT conv_id, count(*)::BIGINT AS n_turns, sha256(string_agg(role || chr(10) |
        count(*) FILTER (WHERE role = 'assistant' OR next_turn IS NULL)::BIGINT AS n_examples
 FROM walked GROUP BY conv_id"""
 
+
+def _spans(kind: str, rank: int, pattern: str, good: str) -> str:
+    """Spans of a pattern's matches: what stands between the matches and the matches before say where one begins."""
+    quoted = pattern.replace("'", "''")
+    return f"""
+m{rank} AS (SELECT r, unnest(f) AS m, generate_subscripts(f, 1) AS i FROM (SELECT r, regexp_extract_all(text, '{quoted}') AS f FROM texts)),
+g{rank} AS (SELECT r, unnest(f) AS g, generate_subscripts(f, 1) AS i FROM (SELECT r, string_split_regex(text, '{quoted}') AS f FROM texts)),
+s{rank} AS (
+    SELECT r, {rank} AS rank, '{kind}' AS kind, a, a + length(m) AS b
+    FROM (SELECT r, m, (sum(length(g) + length(m)) OVER (PARTITION BY r ORDER BY i) - length(m))::BIGINT AS a FROM m{rank} JOIN g{rank} USING (r, i))
+    WHERE {good})"""
+
+
+def _base(kinds: list[tuple[str, str, str]], order: str) -> str:
+    parts = [_spans(kind, rank, pattern, good).strip() for rank, (kind, pattern, good) in enumerate(kinds)]
+    every = " UNION ALL ".join(f"SELECT * FROM s{rank}" for rank in range(len(kinds)))
+    counts = ", ".join(f"count(*) FILTER (WHERE kind = '{kind}')::BIGINT AS n_{kind}" for kind, *_ in kinds)
+    shown = f"sha256(coalesce(string_agg(kind || ':' || a || ':' || b, ',' ORDER BY {order}), ''))"
+    return (
+        "WITH texts AS (SELECT row_number() OVER () AS r, doc_id, coalesce(text, '') AS text FROM documents),\n"
+        + ",\n".join(parts)
+        + f",\nevery AS ({every})\nSELECT doc_id, {counts}, {shown} AS base_sha256 FROM texts LEFT JOIN every USING (r) GROUP BY r, doc_id"
+    )
+
+
+_DIGITS = "regexp_replace(m, '[^0-9]', '', 'g')"
+_DIGIT = f"substr({_DIGITS}, length({_DIGITS}) - i + 1, 1)::INT"
+_LUHN = f"list_sum(list_transform(range(1, length({_DIGITS}) + 1), lambda i: CASE WHEN i % 2 = 1 THEN {_DIGIT} WHEN {_DIGIT} > 4 THEN 2 * {_DIGIT} - 9 ELSE 2 * {_DIGIT} END)) % 10 = 0"
+_PII = _base(
+    [
+        ("email", r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+", "true"),
+        ("ip", r"[0-9]+(?:\.[0-9]+)(?:\.[0-9]+)(?:\.[0-9]+)", "len(list_filter(string_split(m, '.'), lambda x: length(ltrim(x, '0')) > 3 OR coalesce(try_cast(x AS BIGINT), 0) > 255)) = 0"),
+        ("card", r"[0-9](?:[\x20-]?[0-9])+", f"length({_DIGITS}) BETWEEN 16 AND 19 AND {_LUHN}"),
+        ("phone", r"\+[0-9][\x20().0-9-]+[0-9]", f"length({_DIGITS}) BETWEEN 8 AND 15"),
+    ],
+    "rank, a",
+)
+_ASSIGN = r"""(?i:password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)"""
+_SECRETS = _base(
+    [
+        ("assign", _ASSIGN, "length(regexp_extract(m, '" + _ASSIGN.replace("'", "''") + "', 1)) >= 6"),
+        ("access", "AKIA[A-Z0-9]+", "length(m) >= 20"),
+        ("hex", "[0-9a-f]+", "length(m) >= 24"),
+    ],
+    "a, rank",
+)
+
 SQL: dict[str, str] = {
     "op1_prefix_targets": _OP1,
     "op8_shift_table_search": _OP8,
-    "op2_repetition_coverage": _OP2, "op7_token_group_join": _OP7}
+    "op2_repetition_coverage": _OP2,
+    "op7_token_group_join": _OP7,
+    "plain_identifiers": _PII,
+    "plain_secrets": _SECRETS,
+    "rendezvous_shards": _OP9,
+}

@@ -69,5 +69,20 @@ def op6_warc_derivatives(spark: SparkSession, sf_dir: str) -> DataFrame:
     return derivative_report(table(spark, sf_dir, "pages"))
 
 
-QUERIES: dict[str, Query] = {f.__name__: f for f in (op2_repetition_coverage, op7_token_group_join, op8_shift_table_search, op5_minimum_bin_slack, op9_rendezvous_shards, op1_prefix_targets, op10_entropy_secrets, op3_disguised_pii, op4_kneser_ney_perplexity, op6_warc_derivatives)}
+def plain_identifiers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The columns of op3_disguised_pii that come from the plain detectors, which SQL can express."""
+    return op3_disguised_pii(spark, sf_dir).select("doc_id", "n_email", "n_ip", "n_card", "n_phone", "base_sha256")
+
+
+def plain_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The columns of op10_entropy_secrets that come from the fixed shapes."""
+    return op10_entropy_secrets(spark, sf_dir).select("doc_id", "n_assign", "n_access", "n_hex", "base_sha256")
+
+
+def rendezvous_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """op9_rendezvous_shards without the checksum and the places."""
+    return op9_rendezvous_shards(spark, sf_dir).select("doc_id", "size", "law", "shard", "grown_shard")
+
+
+QUERIES: dict[str, Query] = {f.__name__: f for f in (plain_identifiers, plain_secrets, rendezvous_shards, op2_repetition_coverage, op7_token_group_join, op8_shift_table_search, op5_minimum_bin_slack, op9_rendezvous_shards, op1_prefix_targets, op10_entropy_secrets, op3_disguised_pii, op4_kneser_ney_perplexity, op6_warc_derivatives)}
 ORACLES: dict[str, str] = {k: v for k, v in oracles.SQL.items() if k in QUERIES}
