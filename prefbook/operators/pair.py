@@ -150,7 +150,7 @@ def soft_means(shares: DataFrame, n: int) -> DataFrame:
 
 
 def layouts(k1t: int, k2t: int, zero: bool = False) -> list[Layout]:
-    """One layout for each number of common books; none are common only where asked for."""
+    """One layout for each number of common books; none are common only where asked for, and that serves no common request."""
     return [Layout(k0, k1t - k0, k2t - k0) for k0 in range(0 if zero else 1, min(k1t, k2t) + 1)]
 
 

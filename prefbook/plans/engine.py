@@ -90,12 +90,16 @@ def cross(p: np.ndarray, q: np.ndarray) -> np.ndarray:
 
 
 def hard_block(p: np.ndarray, w: np.ndarray, layout: Layout, q: np.ndarray) -> Sums:
+    """Sums over nearest books; requests of a channel that no book serves cost infinitely much."""
     costs = cross(p, q)
     out = Sums(np.zeros(layout.books), np.zeros((layout.books, p.shape[1])), np.zeros(layout.books))
     for channel in range(3):
         use = np.flatnonzero(w[:, channel] > 0)
         names = np.flatnonzero(layout.allowed(channel))
-        if not len(use) or not len(names):
+        if not len(use):
+            continue
+        if not len(names):
+            out.cost[0] = np.inf
             continue
         own = costs[np.ix_(use, names)]
         best = own.argmin(axis=1)
@@ -273,6 +277,14 @@ class SparkEngine:
         return priced.select("run_id", "item_id", "p", "h", *self.channels, *best)
 
     def hard(self, states: dict[int, tuple[Layout, np.ndarray]]) -> dict[int, Sums]:
+        out = self._hard(states)
+        for r, (layout, _) in states.items():
+            for channel, weight in enumerate(self._sums()[1 + self.n :]):
+                if weight and not layout.allowed(channel).any():
+                    out[r].cost[0] = np.inf
+        return out
+
+    def _hard(self, states: dict[int, tuple[Layout, np.ndarray]]) -> dict[int, Sums]:
         most = max(layout.books for layout, _ in states.values())
         if most * self.n > UNROLLED:
             return self._blocks({r: (layout, q) for r, (layout, q) in states.items()}, lambda p, w, _, state: hard_block(p, w, *state))

@@ -478,7 +478,7 @@ def pair_dc_fixed(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query()
 def pair_refine_full(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return summary(spark, pair.design(pair_items(spark, sf_dir), 5, 3, 3, "refine", zero=True), "refine")
+    return summary(spark, pair.design(pair_items(spark, sf_dir), 5, 3, 3, "refine"), "refine")
 
 
 @query()
@@ -496,7 +496,7 @@ def pair_k0_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
     points = part_points(spark, sf_dir, 3, 42)
     for alpha, designs in pair.design_sweep({a: pair.even_channels(points, a) for a in (0.0, 0.05, 0.75)}, 3, 4, 4, zero=True).items():
         best = pair.select(designs).run.layout.k0
-        rows += [(alpha, d.run.layout.k0, round(20 * d.cost, 6), d.run.layout.k0 == best) for d in designs]
+        rows += [(alpha, d.run.layout.k0, round(20 * d.cost, 6), d.run.layout.k0 == best) for d in designs if np.isfinite(d.cost)]
     return small(spark, rows, "alpha double, k0 int, bits_per_request double, best boolean")
 
 

@@ -195,7 +195,7 @@ def w5_distinct_interests(spark: SparkSession, sf_dir: str) -> DataFrame:
     sides = [w @ engine.p / w.sum() for w in (engine.w[:, 1], engine.w[:, 2])]
     rows = []
     for method in ("refine", "dc"):
-        d = pair.select(pair.design(items, 3, 4, 4, method, zero=True))
+        d = pair.select(pair.design(items, 3, 4, 4, method))
         margins = measures.border_distance(d.q, *sides)
         rows += [(method, d.run.layout.k0, int(pool), k, round(float(m), 6), round(ITEM_LENGTH * d.cost, 6)) for k, (pool, m) in enumerate(zip(d.run.layout.pools, margins))]
     return small(spark, rows, "method string, k0 int, pool int, book int, margin double, bits_per_request double")
@@ -273,7 +273,7 @@ def pair_trace_bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
     base = value(baselines.self_decodable_pair(items, 5, support_only=True))
     rows = [("self-decodable", 0, round(base, 6))]
     for method in ("refine", "dc"):
-        d = pair.select(pair.design(items, 5, 3, 3, method, zero=True))
+        d = pair.select(pair.design(items, 5, 3, 3, method))
         rows.append((method, d.run.layout.k0, round(ITEM_LENGTH * d.cost, 6)))
     return small(spark, rows, "method string, k0 int, bits_per_request double")
 

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from prefbook.functions import info, sqlfuncs
 from prefbook.functions.uniform import hash_uniform, uniform
-from prefbook.operators import codec, simplex
+from prefbook.operators import codec, simplex, spv
 from prefbook.operators.refine import Run
 from prefbook.operators.refine import Design
 from prefbook.plans.engine import Layout
@@ -121,3 +121,33 @@ def test_oracle(spark, small, duck, name):
     assert sorted(got.columns) == sorted(names)
     show = lambda rows: sorted(tuple(str(x) for x in row) for row in rows)
     assert show(got.select(*names).collect()) == show(want.fetchall())
+
+
+def test_codes_by_tables_are_the_plain_ones():
+    import random
+
+    draw = random.Random(3)
+    q = np.array([[0.5, 0.2, 0.15, 0.1, 0.05], [0.1, 0.0, 0.4, 0.3, 0.2]])
+    codes = codec.Codes(q)
+    for _ in range(50):
+        symbols = [draw.choice([0, 2, 3, 4] if draw.random() < 0.5 else [0, 1, 2, 3, 4]) for _ in range(draw.randint(0, 40))]
+        text = "".join(map(chr, symbols))
+        book, bits = codec.encode(symbols, q)
+        books, sizes = codes.cheapest(np.bincount(symbols, minlength=5)[None, :].astype(float) if symbols else np.zeros((1, 5)))
+        assert (books[0], sizes[0]) == (book, len(bits)) and codes.encode(text, book) == bits and codes.decode(bits, book) == text
+        for k in range(2):
+            plain, own = codec.decode(bits + "1", list(q[k])), codes.decode(bits + "1", k)
+            assert (plain is None) == (own is None) and (plain is None or [ord(c) for c in own] == plain)
+
+
+def test_trial_decoding_finds_the_book(spark):
+    docs = spark.createDataFrame([(1, "aab b1"), (2, None), (3, ""), (4, "é" * 50)], "id long, text string")
+    q = np.array([[0.4, 0.3, 0.1, 0.1, 0.1], [0.1, 0.1, 0.1, 0.1, 0.6], [0.5, 0.5, 0.0, 0.0, 0.0]])
+    rows = codec.trial_decoding(docs, "id", "text", ["aeiou", "bcd", "0123456789", " "], q).collect()
+    assert all(r.found and 1 <= r.candidates <= 3 for r in rows) and {r.item_id: r.symbols for r in rows} == {1: 6, 2: 0, 3: 0, 4: 50}
+
+
+def test_characters_are_counted_by_class(spark):
+    docs = spark.createDataFrame([(1, "Ab 1é\U0001f600-z"), (2, ""), (3, None), (4, " " * 5)], "id long, text string")
+    rows = {r.item_id: (r.n_sym, [round(x * r.n_sym) for x in r.p]) for r in spv.from_text(docs, "id", "text").collect()}
+    assert rows == {1: (8, [1, 2, 1, 1, 3]), 4: (5, [0, 0, 0, 5, 0])}

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from prefbook.operators import assign, baselines, exhaustive, measures, pair, simplex, single, spv, verify
 from prefbook.operators.codec import user_channels
 from prefbook.operators.dcdescent import descend, split
-from prefbook.operators.refine import Run, refine, seed_books
+from prefbook.operators.refine import Run, means, refine, seed_books
 from prefbook.plans.engine import Layout, LocalEngine, SparkEngine
 from prefbook.plans.planner import Limits, as_problem, best_of, choose, local_engine, solve
 from prefbook.queries import QUERIES
@@ -294,3 +294,36 @@ def test_profile(spark, points):
 
     result, figures = profile(spark, points.count)
     assert result == 300 and figures["jobs"] >= 1 and figures["seconds"] > 0
+
+
+def test_stop_rules(points):
+    engine = engine_of(points, 3)
+    found = {stop: refine(engine, [Run(0, Layout(4), 1)], stop=stop)[0] for stop in ("cost", "books", "either")}
+    moved = means(engine.hard({0: (Layout(4), found["books"].q)})[0], found["books"].q)
+    assert np.abs(moved - found["books"].q).max() <= 1e-6
+    assert len(found["cost"].trace) <= len(found["books"].trace) and len(found["either"].trace) <= len(found["cost"].trace)
+    with pytest.raises(ValueError, match="never"):
+        refine(engine, [Run(0, Layout(1), 1)], stop="never")
+
+
+def test_common_requests_need_a_common_book(points):
+    q = simplex.portable_books(3, 2)
+    for alpha, finite in ((0.0, True), (0.5, False)):
+        items = pair.even_channels(points, alpha)
+        for engine in (engine_of(items, 3), SparkEngine(as_problem(items), 3)):
+            assert np.isfinite(engine.hard({0: (Layout(0, 1, 1), q)})[0].cost.sum()) == finite
+    designs = pair.design(pair.even_channels(points, 0.5), 3, 2, 2, zero=True)
+    assert pair.select(designs).run.layout.k0 > 0
+
+
+def test_a_sweep_is_its_problems(points):
+    problems = {alpha: pair.even_channels(points, alpha) for alpha in (0.0, 0.5)}
+    swept = pair.design_sweep(problems, 3, 2, 2, restarts=1)
+    for alpha, items in problems.items():
+        for a, b in zip(swept[alpha], pair.design(items, 3, 2, 2, restarts=1)):
+            assert np.array_equal(a.q, b.q) and a.cost == b.cost
+
+
+def test_wide_books_cost_no_more_than_fixed_length(spark, small, middle):
+    for folder in (small, middle):
+        assert QUERIES["refine_wide"](spark, folder).first().bits_per_request <= 120
