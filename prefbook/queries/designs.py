@@ -494,9 +494,9 @@ def pair_k0_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Cost by the number of common books, and the cheapest, for common and for mostly lone requests."""
     rows = []
     points = part_points(spark, sf_dir, 3, 42)
-    for alpha, designs in pair.design_sweep({a: pair.even_channels(points, a) for a in (0.0, 0.05, 0.75)}, 3, 4, 4, zero=True).items():
+    for alpha, designs in pair.design_sweep({a: pair.even_channels(points, a) for a in (0.05, 0.75)}, 3, 4, 4).items():
         best = pair.select(designs).run.layout.k0
-        rows += [(alpha, d.run.layout.k0, round(20 * d.cost, 6), d.run.layout.k0 == best) for d in designs if np.isfinite(d.cost)]
+        rows += [(alpha, d.run.layout.k0, round(20 * d.cost, 6), d.run.layout.k0 == best) for d in designs]
     return small(spark, rows, "alpha double, k0 int, bits_per_request double, best boolean")
 
 

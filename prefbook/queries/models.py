@@ -159,12 +159,14 @@ def region_means(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rounded(spv.exploded(means, "q", "q"), "q")
 
 
-_PART_IDS = "SELECT p_partkey AS item_id FROM part WHERE p_partkey < 1000"
+#: Items of the published simulations.
+POINTS = 1000
+_PART_IDS = f"SELECT i AS item_id FROM range(1, {POINTS} + 1) r(i)"
 
 
 def part_points(spark: SparkSession, sf_dir: str, n: int, seed: int) -> DataFrame:
-    """The stand-in for items uniform on the simplex: part keys below 1000 seed the points."""
-    return simplex.uniform_points(load(spark, sf_dir, "part").filter("p_partkey < 1000"), n, seed, "p_partkey")
+    """Items uniform on the simplex, as many as published: points are generated from a range of numbers."""
+    return simplex.uniform_points(spark.range(1, POINTS + 1).withColumnRenamed("id", "item_id"), n, seed)
 
 
 _POINTS = "SELECT item_id, n::INT AS n, round(p, 6) AS p FROM spv"

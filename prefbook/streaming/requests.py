@@ -61,8 +61,8 @@ def joint_requests(requests: DataFrame, minutes: int = 10, late: str = "1 hour")
     return left.join(right, (F.col("b0") == F.col("b1")) & (F.col("t1") >= F.col("t0") - gap) & (F.col("t1") <= F.col("t0") + gap)).select("i", "j", F.col("t0").alias("ts"))
 
 
-def user_demand(requests: DataFrame, decay: float = 0.5, most: int = 64) -> DataFrame:
-    """(user_id, requests, top_item, weight): per-user demand whose past fades by ``decay`` with each batch; at most ``most`` items are held."""
+def user_demand(requests: DataFrame, decay: float = 0.5) -> DataFrame:
+    """(user_id, requests, top_item, weight): per-user demand whose past fades by ``decay`` with each batch; all items that a user ever asked for are held."""
 
     def update(key: tuple[Any, ...], frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         seen, items, weights = state.get if state.exists else (0, [], [])
@@ -71,7 +71,7 @@ def user_demand(requests: DataFrame, decay: float = 0.5, most: int = 64) -> Data
             seen += len(frame)
             for item, n in frame["item_id"].value_counts().items():
                 held[item] = held.get(item, 0.0) + float(n)
-        kept = sorted(held.items(), key=lambda x: (-x[1], x[0]))[:most]
+        kept = sorted(held.items(), key=lambda x: (-x[1], x[0]))
         state.update((int(seen), [int(i) for i, _ in kept], [float(w) for _, w in kept]))
         yield pd.DataFrame({"user_id": [key[0]], "requests": [int(seen)], "top_item": [int(kept[0][0])], "weight": [float(kept[0][1])]})
 
