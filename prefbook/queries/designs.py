@@ -427,19 +427,19 @@ def pair_refine_pools(spark: SparkSession, sf_dir: str) -> DataFrame:
     return book_table(spark, d.q, d.cost)
 
 
-_CURVE = [(k0, 2 - k0, 2 - k0) for k0 in range(3)]
+_CURVE = {k0: (k0, 3 - k0, 3 - k0) for k0 in (1, 2, 3)}
 
 
 def _curve_sql() -> str:
-    parts = [x for k0, layout in enumerate(_CURVE) for x in (pools(layout, f"pools{k0}"), *pool_seeds(layout, 1, f"z{k0}"), *pool_refined(f"z{k0}s{sum(layout) - 1}", STEPS, f"z{k0}", f"pools{k0}"))]
-    costs = " UNION ALL ".join(f"SELECT {k0} AS k0, (SELECT 20 * sum(w * c) FROM z{k0}b{STEPS}) AS bits" for k0 in range(len(_CURVE)))
+    parts = [x for k0, layout in _CURVE.items() for x in (pools(layout, f"pools{k0}"), *pool_seeds(layout, 1, f"z{k0}"), *pool_refined(f"z{k0}s{sum(layout) - 1}", STEPS, f"z{k0}", f"pools{k0}"))]
+    costs = " UNION ALL ".join(f"SELECT {k0} AS k0, (SELECT 20 * sum(w * c) FROM z{k0}b{STEPS}) AS bits" for k0 in _CURVE)
     return _pool_sql(_POOLED, *parts) + f"SELECT k0::INT AS k0, round(bits, 6) AS bits_per_request, k0 = arg_min(k0, bits) OVER () AS best FROM ({costs})"
 
 
 @query(_curve_sql())
 def pair_k0_fixed(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Cost by the number of common books after a fixed number of updates, and the cheapest."""
-    runs = [Run(k0, Layout(*layout), 1) for k0, layout in enumerate(_CURVE)]
+    runs = [Run(k0, Layout(*layout), 1) for k0, layout in _CURVE.items()]
     designs = solve(pair_items(spark, sf_dir), 5, runs, "refine", iterations=STEPS, fixed=True)
     best = pair.select(designs).run.layout.k0
     return small(spark, [(d.run.layout.k0, round(20 * d.cost, 6), d.run.layout.k0 == best) for d in designs], "k0 int, bits_per_request double, best boolean")
