@@ -32,3 +32,11 @@ def test_codes_of_empty_and_single_books(spark):
     got = [tuple(r) for r in codec.code_tables(books).orderBy("item_id", "symbol").collect()]
     assert got == [(1, 1, 0.0, 1, "0"), (2, 0, 1.0, 1, "0"), (2, 1, 1.0, 1, "1")]
     assert codec.code_tables(books.filter("item_id > 2")).count() == 0
+
+
+def test_huffman_code_tables(spark, small):
+    rows = reads(spark, small, "code_table_huffman", "orders").toPandas()
+    own = {r.item_id: r.p for r in fixture_spv(spark, small, "customers").collect()}
+    assert set(rows.item_id) == set(own) and len(rows) == sum(x > 0 for p in own.values() for x in p)
+    for item, words in rows.groupby("item_id"):
+        assert {r.symbol: (r.code_bits, r.codeword) for r in words.itertuples()} == codec.integer_code(own[item], "huffman")
