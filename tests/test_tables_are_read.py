@@ -2,7 +2,6 @@
 
 import math
 
-import numpy as np
 import pandas as pd
 from pyspark.sql import functions as F
 
@@ -40,3 +39,12 @@ def test_huffman_code_tables(spark, small):
     assert set(rows.item_id) == set(own) and len(rows) == sum(x > 0 for p in own.values() for x in p)
     for item, words in rows.groupby("item_id"):
         assert {r.symbol: (r.code_bits, r.codeword) for r in words.itertuples()} == codec.integer_code(own[item], "huffman")
+
+
+def test_demo_items(spark, small):
+    rows = reads(spark, small, "demo_items", "orders").toPandas()
+    orders = load(spark, small, "orders").toPandas()
+    share = pd.crosstab(orders.o_custkey, orders.o_orderdate.dt.quarter, normalize="index")
+    got = rows.pivot(index="item_id", columns="quarter", values="p")
+    assert list(got.columns) == ["Q1", "Q2", "Q3", "Q4"] and list(got.index) == list(share.index) and len(rows) == 4 * len(share)
+    assert abs(got.to_numpy() - share.to_numpy()).max() <= 1e-6 and (got == 0).any(axis=None)
