@@ -2,10 +2,12 @@
 
 import math
 
+import numpy as np
 import pandas as pd
+import pytest
 from pyspark.sql import functions as F
 
-from prefbook.operators import codec
+from prefbook.operators import codec, exhaustive, simplex
 from prefbook.queries import QUERIES
 from prefbook.sources.tables import fixture_spv, load
 
@@ -48,3 +50,18 @@ def test_demo_items(spark, small):
     got = rows.pivot(index="item_id", columns="quarter", values="p")
     assert list(got.columns) == ["Q1", "Q2", "Q3", "Q4"] and list(got.index) == list(share.index) and len(rows) == 4 * len(share)
     assert abs(got.to_numpy() - share.to_numpy()).max() <= 1e-6 and (got == 0).any(axis=None)
+
+
+@pytest.mark.parametrize("name, density", [("exhaustive_nonuniform", "distance")])
+def test_all_pairs_on_all_parts(spark, small, name, density):
+    rows = reads(spark, small, name, "lineitem").toPandas().set_index(["a", "b"])["cost"]
+    lines = load(spark, small, "lineitem").toPandas()
+    p = pd.crosstab(lines.l_partkey, lines.l_returnflag, normalize="index")[["A", "N", "R"]].to_numpy()
+    f = np.ones(len(p)) if density == "uniform" else np.sqrt(((p - 1 / 3) ** 2).sum(axis=1))
+    books = {r.item_id: np.log2(r.p) for r in simplex.lattice(spark, 6).collect()}
+    want = {(a, b): f @ np.minimum(-p @ books[a], -p @ books[b]) / f.sum() for a in books for b in books if a < b}
+    assert set(rows.index) == set(want) and all(abs(rows[x] - want[x]) <= 1e-6 for x in want)
+
+
+def test_pair_costs_of_no_points(spark):
+    assert exhaustive.pair_costs(spark.createDataFrame([], "item_id long, p array<double>, f double"), 3).count() == 0
