@@ -52,7 +52,7 @@ def test_demo_items(spark, small):
     assert abs(got.to_numpy() - share.to_numpy()).max() <= 1e-6 and (got == 0).any(axis=None)
 
 
-@pytest.mark.parametrize("name, density", [("exhaustive_nonuniform", "distance")])
+@pytest.mark.parametrize("name, density", [("exhaustive_nonuniform", "distance"), ("exhaustive_uniform", "uniform")])
 def test_all_pairs_on_all_parts(spark, small, name, density):
     rows = reads(spark, small, name, "lineitem").toPandas().set_index(["a", "b"])["cost"]
     lines = load(spark, small, "lineitem").toPandas()
