@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from prefbook.operators import codec, exhaustive, simplex
 from prefbook.queries import QUERIES
-from prefbook.sources.tables import fixture_spv, load
+from prefbook.sources.tables import fixture_items, fixture_spv, load
 
 
 def reads(spark, folder, name, *tables):
@@ -65,3 +65,13 @@ def test_all_pairs_on_all_parts(spark, small, name, density):
 
 def test_pair_costs_of_no_points(spark):
     assert exhaustive.pair_costs(spark.createDataFrame([], "item_id long, p array<double>, f double"), 3).count() == 0
+
+
+def test_field_nodes_hold_the_demand_near_them(spark, small):
+    rows = reads(spark, small, "field_nodes", "orders").toPandas()
+    nodes = rows.pivot(index="item_id", columns="n", values="p").to_numpy()
+    items = fixture_items(spark, small, "quarters").toPandas()
+    near = (-np.array(items.p.tolist()) @ np.log2(nodes).T).argmin(axis=1)
+    want = np.bincount(near, items.f, len(nodes))
+    assert nodes.shape == (400, 4) and abs(rows.drop_duplicates("item_id").sort_values("item_id").f.to_numpy() - want).max() <= 1e-6
+    assert want.max() > 0.01 and abs(want.sum() - 1) < 1e-9
