@@ -7,7 +7,7 @@ import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
-from prefbook.operators import codec, exhaustive, simplex
+from prefbook.operators import baselines, codec, exhaustive, simplex
 from prefbook.queries import QUERIES
 from prefbook.sources.tables import fixture_items, fixture_spv, load
 
@@ -75,3 +75,12 @@ def test_field_nodes_hold_the_demand_near_them(spark, small):
     want = np.bincount(near, items.f, len(nodes))
     assert nodes.shape == (400, 4) and abs(rows.drop_duplicates("item_id").sort_values("item_id").f.to_numpy() - want).max() <= 1e-6
     assert want.max() > 0.01 and abs(want.sum() - 1) < 1e-9
+
+
+def test_fixed_length_of_the_symbols_that_occur(spark, small):
+    rows = reads(spark, small, "fixed_length", "orders", "events", "lineitem").toPandas().set_index("fixture")
+    orders, events, lines = (load(spark, small, t).toPandas() for t in ("orders", "events", "lineitem"))
+    want = {"customers": orders.o_orderpriority.nunique(), "events": events.event_type.nunique(), "parts": lines.l_returnflag.nunique(), "suppliers": (lines.l_returnflag + lines.l_linestatus).nunique()}
+    assert rows.n.to_dict() == want
+    assert rows.bits_per_request.to_dict() == pytest.approx({k: baselines.fixed_length(n) for k, n in want.items()}, abs=1e-6)
+    assert [r[0] for r in spark.range(3).orderBy("id").select(baselines.fixed_bits(F.col("id"))).collect()] == [0.0, 0.0, 20.0]
