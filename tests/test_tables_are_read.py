@@ -7,7 +7,7 @@ import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
-from prefbook.operators import baselines, codec, exhaustive, simplex
+from prefbook.operators import baselines, codec, exhaustive, measures, simplex
 from prefbook.queries import QUERIES
 from prefbook.sources.tables import fixture_items, fixture_spv, load
 
@@ -84,3 +84,16 @@ def test_fixed_length_of_the_symbols_that_occur(spark, small):
     assert rows.n.to_dict() == want
     assert rows.bits_per_request.to_dict() == pytest.approx({k: baselines.fixed_length(n) for k, n in want.items()}, abs=1e-6)
     assert [r[0] for r in spark.range(3).orderBy("id").select(baselines.fixed_bits(F.col("id"))).collect()] == [0.0, 0.0, 20.0]
+
+
+def test_index_overhead_of_users(spark, small):
+    rows = reads(spark, small, "index_overhead", "events").toPandas().set_index("user_id")
+    events = load(spark, small, "events").toPandas()
+    assert rows.k.to_dict() == events.groupby("user_id").props.nunique().to_dict()
+    assert all(r.k == 1 and r.bits == 0 or 2 ** (r.bits - 1) < r.k <= 2**r.bits for r in rows.itertuples())
+
+
+def test_index_bits_at_powers_of_two(spark):
+    counts = [0, 1, 2, 3, 4, 5, 8, 9, 2**29, 2**29 + 1, 2**48, 2**48 + 1]
+    rows = spark.createDataFrame([(k,) for k in counts], "k long").select("k", measures.index_bits(F.col("k")).alias("bits"))
+    assert {r.k: r.bits for r in rows.collect()} == {k: (k - 1).bit_length() if k else 0 for k in counts}
