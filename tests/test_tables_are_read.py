@@ -97,3 +97,14 @@ def test_index_bits_at_powers_of_two(spark):
     counts = [0, 1, 2, 3, 4, 5, 8, 9, 2**29, 2**29 + 1, 2**48, 2**48 + 1]
     rows = spark.createDataFrame([(k,) for k in counts], "k long").select("k", measures.index_bits(F.col("k")).alias("bits"))
     assert {r.k: r.bits for r in rows.collect()} == {k: (k - 1).bit_length() if k else 0 for k in counts}
+
+
+def test_kraft_sums_of_users(spark, small):
+    rows = reads(spark, small, "kraft_sum", "events").toPandas().set_index("user_id")
+    events = load(spark, small, "events").toPandas()
+    own = pd.crosstab(events.props, events.event_type, normalize="index")
+    for user, asked in events.groupby("user_id"):
+        q = own.loc[asked.props].mean().to_numpy()
+        assert rows.kraft_sum[user] == pytest.approx(1.0)
+        assert rows.whole_bits[user] == pytest.approx(sum(2.0 ** -np.ceil(-np.log2(x) - 1e-12) for x in q if x > 0), abs=1e-6)
+    assert len(rows) == events.user_id.nunique() and (rows.whole_bits < 1).any()
