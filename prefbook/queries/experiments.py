@@ -167,9 +167,9 @@ def w4_bits_vs_trace(spark: SparkSession, sf_dir: str) -> DataFrame:
     + "SELECT 'self-decodable' AS method, round(regr_slope(y, x), 5) AS slope, round(regr_intercept(y, x), 5) AS intercept, round(regr_r2(y, x), 6) AS r2 FROM pts"
 )
 def trace_linearity(spark: SparkSession, sf_dir: str) -> DataFrame:
-    from prefbook.queries.designs import self_decodable_pair
+    from prefbook.queries.designs import self_decodable_by_alpha
 
-    points = self_decodable_pair(spark, sf_dir).select(F.lit("self-decodable").alias("method"), F.col("alpha").alias("trace"), "bits_per_request")
+    points = self_decodable_by_alpha(part_points(spark, sf_dir, 5, 42), 5).select(F.lit("self-decodable").alias("method"), F.col("alpha").alias("trace"), "bits_per_request")
     fit = measures.trace_fit(points, ["method"])
     return fit.select("method", F.round("slope", 5).alias("slope"), F.round("intercept", 5).alias("intercept"), F.round("r2", 6).alias("r2"))
 

@@ -108,3 +108,11 @@ def test_kraft_sums_of_users(spark, small):
         assert rows.kraft_sum[user] == pytest.approx(1.0)
         assert rows.whole_bits[user] == pytest.approx(sum(2.0 ** -np.ceil(-np.log2(x) - 1e-12) for x in q if x > 0), abs=1e-6)
     assert len(rows) == events.user_id.nunique() and (rows.whole_bits < 1).any()
+
+
+def test_self_decodable_pair_of_customers(spark, small):
+    rows = reads(spark, small, "self_decodable_pair", "orders").toPandas().set_index("alpha").bits_per_request
+    own = np.array(fixture_spv(spark, small, "customers").toPandas().p.tolist())
+    logs = -np.log2(np.where(own > 0, own, 1.0))
+    bits = (20 * own * logs + logs).sum(axis=1).mean()
+    assert (own == 0).any() and rows.to_dict() == pytest.approx({a: (2 - a) * bits for a in (0.0, 0.25, 0.5, 0.75, 1.0)}, abs=1e-6)
