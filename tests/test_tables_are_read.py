@@ -116,3 +116,31 @@ def test_self_decodable_pair_of_customers(spark, small):
     logs = -np.log2(np.where(own > 0, own, 1.0))
     bits = (20 * own * logs + logs).sum(axis=1).mean()
     assert (own == 0).any() and rows.to_dict() == pytest.approx({a: (2 - a) * bits for a in (0.0, 0.25, 0.5, 0.75, 1.0)}, abs=1e-6)
+
+
+def test_lattice_cells_hold_the_parts(spark, small):
+    rows = reads(spark, small, "simplex_lattice", "lineitem").toPandas()
+    parts = np.array(fixture_spv(spark, small, "parts").toPandas().p.tolist())
+    assert len(rows) == 432 and rows[rows.n == 0]["items"].sum() == len(parts)
+    assert rows[rows.n == 0].set_index("item_id")["items"].to_dict() == {k: sum(c == k for c in map(_cell, parts)) for k in rows.item_id}
+
+
+def _cell(p, grid=12):
+    """The same with loops: the first cell whose corners have the point between them."""
+    u, v = p[0] * grid, p[1] * grid
+    for a in range(grid):
+        for b in range(grid - a):
+            x, y = u - a, v - b
+            if 0 <= x and 0 <= y and x + y <= 1 and (x < 1 or a == grid - 1) and (y < 1 or a + b == grid - 1):
+                return a * grid + b
+            if a + b < grid - 1 and x < 1 and y < 1 and x + y > 1:
+                return (grid + a) * grid + b
+
+
+def test_cells_hold_centres_corners_and_borders(spark):
+    cells = simplex.lattice(spark, 12)
+    assert cells.filter(simplex.cell(F.col("p"), 12) != F.col("item_id")).count() == 0
+    points = [[1.0, 0.0, 0.0], [0.0, 1.0, 0.0], [0.0, 0.0, 1.0], [0.5, 0.5, 0.0], [1 / 3] * 3, [0.0, 0.5, 0.5], [0.7, 0.3, 0.0]]
+    border = spark.createDataFrame([(p,) for p in points], "p array<double>").select("p", simplex.cell(F.col("p"), 12).alias("item_id"))
+    inside = border.join(cells.withColumnRenamed("p", "centre"), "item_id").collect()
+    assert len(inside) == len(points) and all(abs(x - y) <= 2 / 36 + 1e-9 for r in inside for x, y in zip(r.p, r.centre))
