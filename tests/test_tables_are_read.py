@@ -7,6 +7,7 @@ import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
+from prefbook.functions.uniform import uniform
 from prefbook.operators import baselines, codec, exhaustive, measures, simplex
 from prefbook.queries import QUERIES
 from prefbook.sources.tables import fixture_items, fixture_spv, load
@@ -144,3 +145,12 @@ def test_cells_hold_centres_corners_and_borders(spark):
     border = spark.createDataFrame([(p,) for p in points], "p array<double>").select("p", simplex.cell(F.col("p"), 12).alias("item_id"))
     inside = border.join(cells.withColumnRenamed("p", "centre"), "item_id").collect()
     assert len(inside) == len(points) and all(abs(x - y) <= 2 / 36 + 1e-9 for r in inside for x, y in zip(r.p, r.centre))
+
+
+def test_parts_accepted_by_their_density(spark, middle):
+    rows = reads(spark, middle, "simplex_rejection", "lineitem").toPandas().set_index("item_id").d
+    parts = fixture_spv(spark, middle, "parts").toPandas()
+    d = dict(zip(parts.item_id, np.sqrt(((np.array(parts.p.tolist()) - 1 / 3) ** 2).sum(axis=1))))
+    kept = {i: x for i, x in d.items() if uniform(43, i, 999) * np.sqrt(2 / 3) <= x}
+    assert set(rows.index) == set(kept) and 0 < len(kept) < len(d) and rows.to_dict() == pytest.approx(kept, abs=1e-6)
+    assert np.mean(list(kept.values())) > np.mean(list(d.values()))
