@@ -1,7 +1,5 @@
 """Queries whose jobs are on given tables: they read them whole, and agree with plain counts of them."""
 
-import math
-
 import numpy as np
 import pandas as pd
 import pytest
@@ -14,7 +12,7 @@ from prefbook.sources.tables import fixture_items, fixture_spv, load
 
 
 def reads(spark, folder, name, *tables):
-    """The rows of a query, whose plan has to scan the tables; more rows of them change nothing but the items that they add."""
+    """The rows of a query, whose plan has to scan the tables."""
     rows = QUERIES[name](spark, folder)
     files = {f.split("/")[-1].split("?")[0] for f in rows.inputFiles()}
     assert {f"{t}.parquet" for t in tables} <= files, files
